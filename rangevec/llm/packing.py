@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import functools
 import heapq
+import unicodedata
 import zlib
 
 import numpy as np
@@ -14,41 +15,83 @@ from pyspark.sql import DataFrame, functions as F
 
 from .shared import by_row, settle, slices
 
-CACHE_WORDS = 200_000
+CACHE_WORDS = 900_000
+MARKS = tuple(".,;:!?|")
+TEXT_BYTES = 12 << 20
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
 
 
 class WordTokenizer:
     """Ids of whole texts, made from the ids of their distinct words: this kind of vocabulary never looks across white space."""
 
+    #: How the vocabulary cuts words before merging; the last id of each cut, and no other, ends a word.
+    CUT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
+
     def __init__(self, path: str):
+        import regex
         from tokenizers import Tokenizer
 
-        self.inner, self.known = Tokenizer.from_file(path), {}
-
-    def _words(self, words: list[str]) -> list[np.ndarray]:
-        new = [w for w in words if w not in self.known]
-        if len(self.known) + len(new) > CACHE_WORDS:
-            self.known.clear()
-            new = words
-        for w, e in zip(new, self.inner.encode_batch_fast(new, add_special_tokens=False), strict=True):
-            self.known[w] = np.array(e.ids, np.uint32)
-        return [self.known[w] for w in words]
+        self.inner, self.cut = Tokenizer.from_file(path), regex.compile(self.CUT)
+        vocab = self.inner.get_vocab()
+        self.ends = np.zeros(max(vocab.values()) + 1, bool)
+        self.ends[[i for w, i in vocab.items() if w.endswith("</w>")]] = True
+        self._forget()
+
+    def _forget(self) -> None:
+        self.at: dict[str, int] = {}
+        self.flat, self.sizes = np.zeros(0, np.uint32), np.zeros(0, np.int64)
+
+    def _cuts(self, words: list[str]) -> list[int]:
+        return [1 if w.isalpha() else len(self.cut.findall(unicodedata.normalize("NFC", w).lower())) for w in words]
+
+    def _ids(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all words, and how many each has. Words go in together and come apart at the ids that end words; where the cuts don't add up, one by one."""
+        if len(words) == 1:
+            ids = np.array(self.inner.encode(words[0], add_special_tokens=False).ids, np.uint32)
+            return ids, np.array([len(ids)])
+        ids = np.array(self.inner.encode_batch_fast([" ".join(words)], add_special_tokens=False)[0].ids, np.uint32)
+        cuts = np.cumsum(self._cuts(words))
+        stops = np.flatnonzero(self.ends[ids]) + 1
+        if len(stops) == cuts[-1] and cuts[0] and (not len(ids) or stops[-1] == len(ids)):
+            return ids, np.diff(np.concatenate([[0], stops])[cuts], prepend=0)
+        each = [self._ids([w]) for w in words]
+        return np.concatenate([x for x, _ in each]), np.concatenate([n for _, n in each])
+
+    def _add(self, words: list[str], flat: list[np.ndarray], sizes: list[np.ndarray]) -> None:
+        self.at.update(zip(words, range(len(self.at), len(self.at) + len(words)), strict=True))
+        self.flat = np.concatenate([self.flat, *flat])
+        self.sizes = np.concatenate([self.sizes, *sizes])
+
+    def _joined(self, places: np.ndarray) -> pa.Array:
+        """The ids of words by place."""
+        lists = pa.LargeListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(self.sizes)])), pa.array(self.flat))
+        return lists.take(pa.array(places)).flatten()
+
+    def _places(self, words: list[str]) -> np.ndarray:
+        if len(self.at) + len(words) > CACHE_WORDS:
+            self._forget()
+        new = [w for w in words if w not in self.at]
+        # ASCII words are lower-cased first; a mark behind letters is a cut of its own, so both are looked up apart.
+        plain = [w.lower() if w.isascii() else w for w in new]
+        marked = [(w, s[:-1], s[-1]) for w, s in zip(new, plain, strict=True) if s[-1:] in MARKS and s[:-1].isalpha()]
+        alone = [s for s in plain if not (s[-1:] in MARKS and s[:-1].isalpha())]
+        need = [s for s in dict.fromkeys([*alone, *(s for _, s, _ in marked), *MARKS]) if s not in self.at]
+        parts = [self._ids(need[i : i + 2000]) for i in range(0, len(need), 2000)]
+        self._add(need, [x for x, _ in parts], [n for _, n in parts])
+        if marked := [x for x in marked if x[0] not in self.at]:
+            pair = np.array([(self.at[s], self.at[m]) for _, s, m in marked])
+            self._add([w for w, _, _ in marked], [self._joined(pair.ravel()).to_numpy()], [self.sizes[pair].sum(axis=1)])
+        at = self.at
+        return np.fromiter([at[w] if w in at else at[w.lower()] for w in words], np.int64, len(words))
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts, and where each text's ids begin, with their end."""
         lists = pc.ascii_split_whitespace(pc.fill_null(texts, ""))
         ends = np.concatenate([[0], np.cumsum(pc.list_value_length(lists).to_numpy(zero_copy_only=False))]).astype(np.int64)
         coded = lists.flatten().dictionary_encode()
-        codes = coded.indices.to_numpy(zero_copy_only=False)
-        each = self._words(coded.dictionary.to_pylist())
-        sizes = np.fromiter(map(len, each), np.int64, len(each))
-        flat = np.concatenate([*each, np.zeros(0, np.uint32)])
-        first = np.cumsum(sizes) - sizes
-        n = sizes[codes]
-        at = np.cumsum(n) - n
-        starts = np.concatenate([[0], np.cumsum(by_row(n, ends))]).astype(np.int64)
-        return flat[np.arange(starts[-1]) + np.repeat(first[codes] - at, n)], starts
+        place = self._places(coded.dictionary.to_pylist())[coded.indices.to_numpy(zero_copy_only=False)]
+        starts = np.concatenate([[0], np.cumsum(by_row(self.sizes[place], ends))]).astype(np.int64)
+        return self._joined(place).to_numpy(), starts
 
 
 @functools.cache
@@ -59,7 +102,7 @@ def _tokenizer(path: str) -> WordTokenizer:
 def _pieces(path: str, end_id: int, window: int):
     def run(batches):
         tokenizer = _tokenizer(path)
-        for b in slices(batches, "text"):
+        for b in slices(batches, "text", TEXT_BYTES):
             ids, offs = tokenizer.encode(b.column("text"))
             out = []
             for doc, lo, hi in zip(b.column("doc_id").to_pylist(), offs[:-1], offs[1:], strict=True):
