@@ -54,7 +54,7 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id
 
     The sample is bounded by ``per_class`` labels of each kind, about, and texts of at most ``most_chars`` characters. A label speaks of
     a whole document. First, words far commoner in toxic documents than in clean ones stand for the toxic ones; then, in turns, the model is
-    fitted to each toxic document's worst runs and to clean documents' worst and other runs. A fifth is held back to fit the probability.
+    fitted to each toxic document's telling and worst runs and to clean documents' worst and other runs. A fifth is held back to fit the probability.
     """
     marked = labels.where(learn & F.col(label_col).isin(0, 1)).select(F.col(label_col).cast("int").alias("y"), F.lit("").alias("x"), F.col(id_col).cast("long").alias("i"))
     chosen = sample(marked, "y", "x", "i", per_class, seed)
@@ -94,8 +94,9 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id
                 continue
             order = np.argsort(-margin[own], kind="stable")
             if y[k]:
-                worst = order[:3][margin[own[order[:3]]] >= max(margin[own[order[0]]] * 0.5, 0)] if len(order) else order
-                for at in worst[:2] if turn else worst[:1]:
+                # Every word whose own share speaks for toxicity, and the one the model finds worst.
+                telling = [at for at in np.argsort(-lift[own], kind="stable")[:8] if lift[own[at]] >= max(1.0, 0.5 * lift[own].max())]
+                for at in dict.fromkeys([*map(int, telling), *map(int, order[:1])] if turn or not telling else map(int, telling)):
                     a = max(0, int(at) - int(rng.integers(0, 2)))
                     bags += [bag(part(own[at])), bag(np.concatenate([part(c) for c in own[a : a + RUN]]))]
                     marks += [1, 1]
@@ -121,10 +122,13 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id
         weight = weight / weight.sum()
         mid, wide = z[use].mean(), z[use].std() + 1e-9
         zs = (z[use] - mid) / wide
-        for _ in range(3000):
-            p = 1 / (1 + np.exp(-np.clip(a * zs + b, -30, 30)))
-            g = (p - y[use]) * weight
-            a, b = a - 4 * (g @ zs) - 4e-4 * a, b - 4 * g.sum()
+        x, ridge = np.stack([zs, np.ones(len(zs))], axis=1), 1e-4
+        beta = np.array([a, b])
+        for _ in range(50):
+            p = 1 / (1 + np.exp(-np.clip(x @ beta, -30, 30)))
+            h = (x * (p * (1 - p) * weight + 1e-9)[:, None]).T @ x + ridge * np.eye(2)
+            beta = beta - np.clip(np.linalg.solve(h, x.T @ ((p - y[use]) * weight) + ridge * beta), -2, 2)
+        a, b = beta
         out.slope, out.shift = a / wide, b - a * mid / wide
     return out
 
