@@ -17,7 +17,7 @@ BANDS, ROWS = 28, 4
 SLACK = 0.23
 SALTS = 64
 CHUNK = 1 << 14
-TILE_OTHERS, TILE_ALL = 512, 2048
+TILE_OTHERS, TILE_ALL = 256, 1024
 
 
 def _odd(n: int, seed: int) -> np.ndarray:
@@ -116,32 +116,58 @@ def _salted(pairs: DataFrame, rows: DataFrame, key: str, other: str) -> DataFram
     return left.join(right, [key, "salt"]).drop("salt")
 
 
-def _verify(pairs: DataFrame, reps: DataFrame, docs: DataFrame, k: int, percent: int, least: float) -> DataFrame:
+def _verify(pairs: DataFrame, reps: DataFrame, texts: DataFrame, k: int, percent: int, least: float) -> DataFrame:
     """The pairs (a, b) that signatures don't exclude and full sets confirm."""
-    if least > 0:
-        signed = _salted(pairs, reps.select(F.col("doc_id").alias("b"), F.col("sig").alias("sig_b")), "b", "a").join(reps.select(F.col("doc_id").alias("a"), F.col("sig").alias("sig_a")), "a")
-        pairs = settle(signed.mapInArrow(_agree(least), "a long, b long"))
-    ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
-    texts = docs.join(ids, "doc_id", "left_semi")
+    signed = _salted(pairs, reps.select(F.col("doc_id").alias("b"), F.col("sig").alias("sig_b")), "b", "a").join(reps.select(F.col("doc_id").alias("a"), F.col("sig").alias("sig_a")), "a")
+    pairs = settle(signed.mapInArrow(_agree(least), "a long, b long"))
     full = _salted(pairs, texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b")), "b", "a")
     full = full.join(texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a")), "a")
     return settle(full.select("a", "b", "text_a", "text_b").mapInArrow(_confirm(k, percent), "a long, b long"))
 
 
-def _tile_pairs(least: float):
+def _tile_links(k: int, percent: int, least: float):
+    """Links between a tile's others and all of its members that join different components; each pair is tested on full sets unless its ends are already joined."""
     schema = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
     def run(table: pa.Table) -> pa.Table:
-        side = table.column("other").to_numpy()
-        ids, comp = table.column("doc_id").to_numpy(), table.column("component").to_numpy()
+        other = table.column("other").to_numpy()
+        ids = table.column("doc_id").to_numpy()
+        _, root = np.unique(table.column("component").to_numpy(), return_inverse=True)
         sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), "<u4").reshape(table.num_rows, -1)
-        rest, found = np.flatnonzero(~side), []
-        for i in np.flatnonzero(side):
-            same = (sig[rest] == sig[i]).mean(axis=1)
-            j = rest[(same >= least) & (comp[rest] != comp[i])]
-            found.append(np.stack([np.maximum(ids[j], ids[i]), np.minimum(ids[j], ids[i])]))
-        pairs = np.concatenate([*found, np.zeros((2, 0), np.int64)], axis=1)
-        return pa.Table.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], schema=schema)
+        rest, asked = np.flatnonzero(~other), []
+        for i in np.flatnonzero(other):
+            share = (sig[rest] == sig[i]).mean(axis=1)
+            near = (share >= least) & (root[rest] != root[i])
+            asked.append(np.stack([np.full(near.sum(), i), rest[near], -share[near]]))
+        asked = np.concatenate([*asked, np.zeros((3, 0))], axis=1)
+        parent = list(range(int(root.max()) + 1))
+
+        def find(x: int) -> int:
+            while parent[x] != x:
+                parent[x] = parent[parent[x]]
+                x = parent[x]
+            return x
+
+        sets: dict[int, np.ndarray] = {}
+        used = np.unique(asked[:2]).astype(np.int64)
+        text = table.column("text").combine_chunks()
+        for at in range(0, len(used), 64):
+            sets.update(zip(used[at : at + 64].tolist(), (s for s, _ in shingle_sets(text.take(pa.array(used[at : at + 64])), k)), strict=True))
+        found = []
+        # The likeliest first: most ends are joined before their other pairs come up.
+        for i, j in asked[:2, np.argsort(asked[2], kind="stable")].T.astype(np.int64).tolist():
+            u, v = find(int(root[i])), find(int(root[j]))
+            if u == v:
+                continue
+            x, y = sets[i], sets[j]
+            if 100 * min(len(x), len(y)) < percent * max(len(x), len(y)):
+                continue
+            place = np.minimum(np.searchsorted(x, y), len(x) - 1)
+            common = int((x[place] == y).sum())
+            if 100 * common >= percent * (len(x) + len(y) - common):
+                parent[u] = v
+                found.append((int(ids[i]), int(ids[j])))
+        return pa.Table.from_arrays([pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int64())], schema=schema)
 
     return run
 
@@ -154,42 +180,52 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     100 * intersection >= percent * union. ``component_id`` is the smallest id reachable by links, ``kept`` whether it is the own one.
 
     Documents with one word sequence are one representative. Every bucket of a band compares its members with its smallest one, which
-    is a row per member and not per pair, and confirmed links give components. Where a bucket still holds several components,
-    its members outside its smallest one's component are compared with all members, in tiles of bounded size. So each pair that shares a
-    bucket is either in one component or has been tested. Rows that repeat an id are documents of their own. Other columns are ignored; an
-    empty table gives an empty result.
+    is a row per member and not per pair, and confirmed links give components. Buckets that then still hold several components are joined,
+    where they share members, to clusters. In a cluster, members outside its largest component meet all members of fitting set sizes in tiles of
+    bounded size, which test pairs on full sets and hand on only links that join components. So each pair that shares a bucket is
+    either in one component or has been tested. Rows that repeat an id are documents of their own,
+    of which one stands for the id where it is compared. Other columns are ignored; an empty table gives an empty result.
     """
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     signed = settle(texts.mapInArrow(_sign(shingle, bands * rows), "doc_id long, h binary, n_shingles long, sig binary"))
     full = signed.where("n_shingles > 0")
     groups = settle(full.groupBy("h").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n")))
-    reps = settle(full.alias("s").join(groups.alias("g"), (F.col("s.h") == F.col("g.h")) & (F.col("s.doc_id") == F.col("g.rep"))).select("s.doc_id", "s.sig").dropDuplicates(["doc_id"]))
+    reps = settle(full.alias("s").join(groups.alias("g"), (F.col("s.h") == F.col("g.h")) & (F.col("s.doc_id") == F.col("g.rep"))).select("s.doc_id", "s.n_shingles", "s.sig").dropDuplicates(["doc_id"]))
+    repeated = not groups.groupBy("rep").count().where("count > 1").isEmpty()
     cut = [F.xxhash64(F.lit(i), F.substring("sig", i * rows * 4 + 1, rows * 4)) for i in range(bands)]
     spread = reps.select("doc_id", F.posexplode(F.array(*cut)).alias("band", "bucket"))
     shared = settle(spread.groupBy("band", "bucket").agg(F.min("doc_id").alias("hub"), F.count(F.lit(1)).alias("n")).where("n > 1"))
     members = settle(join_hot(spread, shared, ["band", "bucket"], "n"))
     least = percent / 100 - SLACK if percent > 100 * SLACK else 0.0
     pairs = settle(members.where("doc_id != hub").select(F.col("doc_id").alias("a"), F.col("hub").alias("b")).distinct())
+    ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
+    texts = texts.join(ids, "doc_id", "left_semi")
+    texts = settle(texts.dropDuplicates(["doc_id"]) if repeated else texts)
     links = _verify(pairs, reps, texts, shingle, percent, least)
     found = settle(components(links))
 
     # Buckets that still hold several components.
-    placed = members.join(found.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
-    placed = settle(placed)
-    mixed = placed.groupBy("band", "bucket").agg(F.min(F.when(F.col("doc_id") == F.col("hub"), F.col("component"))).alias("main"), F.min("component").alias("lo"), F.max("component").alias("hi"), F.max("n").alias("n")).where("lo != hi").select("band", "bucket", "main", "n")
-    mixed = settle(mixed)
+    placed = settle(members.select("band", "bucket", "doc_id", "hub", "n").join(found.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id")))
+    mixed = settle(placed.groupBy("band", "bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.max("n").alias("n")).where("lo != hi").select("band", "bucket", "n"))
     if not mixed.isEmpty():
-        rest = settle(join_hot(placed.drop("n"), mixed, ["band", "bucket"], "n").withColumn("other", F.col("component") != F.col("main")))
-        sizes = settle(rest.groupBy("band", "bucket", "n").agg(F.sum(F.col("other").cast("long")).alias("others")))
-        rest = join_hot(rest.drop("n"), sizes, ["band", "bucket"], "n")
-        ni, nj = F.ceil(F.col("others") / TILE_OTHERS), F.ceil(F.col("n") / TILE_ALL)
-        at_i, at_j = F.pmod(F.xxhash64("doc_id"), ni), F.pmod(F.xxhash64("doc_id"), nj)
+        rest = settle(join_hot(placed.drop("n"), mixed, ["band", "bucket"], "n").select("doc_id", "hub", "component").distinct())
+        clusters = components(rest.select(F.col("doc_id").alias("a"), F.col("hub").alias("b"))).withColumnsRenamed({"node": "doc_id", "component": "cluster"})
+        rest = settle(rest.select("doc_id", "component").distinct().join(clusters, "doc_id"))
+        largest = rest.groupBy("cluster", "component").agg(F.count(F.lit(1)).alias("c")).groupBy("cluster").agg(F.max_by("component", F.struct("c", "component")).alias("main"), F.sum("c").alias("n"))
+        rest = join_hot(rest, settle(largest), ["cluster"], "n").join(reps.select("doc_id", "n_shingles", "sig"), "doc_id")
+        # Linked sets differ in size by one step of this scale at most.
+        step = F.floor(F.log("n_shingles") / F.log(F.lit(100 / percent)) + 1e-9).cast("int") if percent < 100 else F.col("n_shingles")
+        rest = settle(rest.select("cluster", "doc_id", "component", (F.col("component") != F.col("main")).alias("apart"), step.alias("step"), "sig"))
+        as_all = rest.select("cluster", "step", "doc_id", "component", F.lit(False).alias("other"), "sig")
+        as_other = rest.where("apart").select("cluster", F.explode(F.array(F.col("step") - 1, F.col("step"), F.col("step") + 1)).alias("step"), "doc_id", "component", F.lit(True).alias("other"), "sig")
+        both = as_all.unionByName(as_other)
+        sizes = both.groupBy("cluster", "step").agg(F.sum(F.col("other").cast("long")).alias("others"), F.sum((~F.col("other")).cast("long")).alias("alls"), F.count(F.lit(1)).alias("n")).where("others > 0 AND alls > 0")
+        tiled = join_hot(settle(both), settle(sizes), ["cluster", "step"], "n")
+        ni, nj = F.ceil(F.col("others") / TILE_OTHERS), F.ceil(F.col("alls") / TILE_ALL)
         upto = lambda n: F.sequence(F.lit(0).cast("long"), n - 1)
-        as_all = rest.select("band", "bucket", "doc_id", "component", F.lit(False).alias("other"), F.explode(upto(ni)).alias("i"), at_j.alias("j"))
-        as_other = rest.where("other").select("band", "bucket", "doc_id", "component", F.lit(True).alias("other"), at_i.alias("i"), F.explode(upto(nj)).alias("j"))
-        tiles = as_all.unionByName(as_other).join(reps, "doc_id")
-        more = tiles.groupBy("band", "bucket", "i", "j").applyInArrow(_tile_pairs(least), "a long, b long").distinct().join(pairs, ["a", "b"], "left_anti")
-        late = _verify(settle(more), reps, texts, shingle, percent, 0.0)
+        tiled = tiled.withColumn("i", F.when(F.col("other"), F.array(F.pmod(F.xxhash64("doc_id"), ni))).otherwise(upto(ni))).withColumn("j", F.when(F.col("other"), upto(nj)).otherwise(F.array(F.pmod(F.xxhash64("doc_id"), nj))))
+        tiled = tiled.select("cluster", "step", "doc_id", "component", "other", "sig", F.explode("i").alias("i"), "j").select("cluster", "step", "doc_id", "component", "other", "sig", "i", F.explode("j").alias("j"))
+        late = settle(tiled.join(texts, "doc_id").groupBy("cluster", "step", "i", "j").applyInArrow(_tile_links(shingle, percent, least), "a long, b long"))
         if not late.isEmpty():
             found = settle(components(late.unionByName(found.select(F.col("node").alias("a"), F.col("component").alias("b")))))
 
