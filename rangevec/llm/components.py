@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, functions as F
 
-from .shared import join_hot, settle
+from .shared import join_hot, settle, unsized
 
 
 def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
@@ -15,7 +15,7 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     Links with a null end, loops and repeats are ignored.
     """
     ends = links.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where(F.col(a).isNotNull() & F.col(b).isNotNull() & (F.col("u") != F.col("v")))
-    edges = settle(ends.distinct())
+    edges = unsized(settle(ends.distinct()))
     while True:
         parents = edges.groupBy("u").agg(F.count(F.lit(1)).alias("n"))
         nested = edges.select(F.col("v").alias("u")).distinct().join(edges.select("u"), "u", "left_semi")
@@ -28,5 +28,5 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         lowest = settle(large.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")))
         met = join_hot(large, lowest, ["u"], "n")
         small = met.select(F.col("v").alias("u"), F.col("m").alias("v")).where("u != v").unionByName(lowest.select("u", F.col("m").alias("v")))
-        edges = settle(small.distinct())
+        edges = unsized(settle(small.distinct()))
     return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())

@@ -40,6 +40,12 @@ def settle(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def unsized(df: DataFrame) -> DataFrame:
+    """A settled frame without the size that Spark guesses from the plan it came from: in a loop of joins those guesses are multiplied at each turn until the planner is lost in long numbers."""
+    spark = df.sparkSession
+    return DataFrame(spark._jsparkSession.internalCreateDataFrame(df._jdf.queryExecution().toRdd(), df._jdf.schema(), False), spark)
+
+
 def join_hot(facts: DataFrame, groups: DataFrame, keys: list[str], size: str) -> DataFrame:
     """Inner join of many rows with one row per key, where one key may hold any share of the rows.
 
