@@ -160,7 +160,7 @@ def incremental(spark: SparkSession, shard: Shard, queries: list[tuple], rounds:
                     if name == "index":
                         if method is None:
                             # Boundaries come from the first part and stay.
-                            method = METHODS["index"](here, Params(m=m, ef_cons=ef_cons))
+                            method = METHODS["index"](here, Params(m=m, ef_cons=ef_cons, candidates="beam"))
                             g = method.g
                         else:
                             for c, new in (("x", s.x[part]), ("attr", s.attr[part]), ("vid", s.vid[part]), ("level", s.level[part]), ("seg", np.searchsorted(method.cuts, s.attr[part], "right"))):
@@ -172,7 +172,7 @@ def incremental(spark: SparkSession, shard: Shard, queries: list[tuple], rounds:
                         cost = method.build_dist - before
                         before = method.build_dist
                     else:
-                        method = METHODS[name](here, Params(m=m, ef_cons=ef_cons))
+                        method = METHODS[name](here, Params(m=m, ef_cons=ef_cons, candidates="beam"))
                         cost = method.build_dist
                     took = time.perf_counter() - began
                     rec, n = [], []

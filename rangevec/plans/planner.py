@@ -86,6 +86,27 @@ def drifted(old: DataFrame, new: DataFrame, threshold: float = 0.2) -> bool:
     return (drift(old, new).first()["psi"] or 0.0) > threshold
 
 
+def adapt(index, old: DataFrame, base: DataFrame, threshold: float = 0.2, sample: float = 0.05, **how):
+    """The index with new thresholds if the attributes of ``base`` have drifted from the histogram ``old`` beyond ``threshold``, else the index as it is.
+
+    Objects of the updated base, chosen by a hash, become queries with random ranges and are run under all strategies.
+    """
+    from dataclasses import replace
+
+    from ..functions.columns import uniform
+    from ..operators.index import RangeIndex
+    from ..operators.segment import bounds_of
+    from ..sources.durable import settle
+    from ..sources.tables import rank_ranges
+
+    if not drifted(old, table(base.where("attr is not null"), bounds_of(old)), threshold):
+        return index
+    q = base.where(uniform("vid", "recalibration") < sample).select(F.col("vid").alias("qid"), F.col("vec").alias("qvec"))
+    _, points = calibrate(index, base, settle(rank_ranges(base, q, how.get("k", 10), salt="recalibration")), **how)
+    p = points.first()
+    return RangeIndex(index.spark, index.nodes, replace(index.manifest, tau=(p["tau_a"], p["tau_b"])))
+
+
 def narrowest(queries: DataFrame, estimates: dict[str, DataFrame]) -> DataFrame:
     """(qid, attribute, y_est): of several attributes the one whose range holds the fewest objects drives the search."""
     out = None

@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from functools import partial
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ..functions.columns import cosine_distance, inner_product, l2, level, norm, register_sql
@@ -249,6 +250,17 @@ def _(spark, sf):
     return spark.createDataFrame(rows, "batch string, psi double, ks double, drifted boolean")
 
 
+@query("drift_recalibrated")
+def _(spark, sf):
+    """Thresholds before and after a batch whose attributes are shifted."""
+    v = settle(t.emb_value(spark, sf).where("vid < 300"))
+    index = RangeIndex.build(v, 4, 8, 50)
+    old = settle(segment.table(v, segment.fit(v, 8)))
+    same = planner.adapt(index, old, v)
+    moved = planner.adapt(index, old, settle(v.withColumn("attr", F.col("attr") * 3)), sample=0.1)
+    return spark.createDataFrame([("before", *index.manifest.tau), ("same", *same.manifest.tau), ("shifted", *moved.manifest.tau)], "state string, tau_a double, tau_b double")
+
+
 # Distances.
 _PAIRS = "FROM embeddings a JOIN embeddings b ON a.vec_id % 10 = 0 AND b.vec_id % 10 = 1"
 
@@ -731,7 +743,7 @@ def _(spark, sf):
 @query("experiment_incremental")
 def _(spark, sf):
     base, q = work(spark, sf)
-    return ex.incremental(spark, ex.shard_of(base), ex.query_rows(q)).drop("build_s")
+    return ex.incremental(spark, ex.shard_of(base), ex.query_rows(q), ef_cons=24).drop("build_s")
 
 
 @query("experiment_scaling")
@@ -821,6 +833,15 @@ def _(spark, sf):
     return memory_result(twice, "rv_dedup")
 
 
+@query("stream_late_rows", "SELECT count(*) AS late FROM events WHERE ts < TIMESTAMP '2024-01-10 00:00:00'")
+def _(spark, sf):
+    """Rows behind a bound go to a side count instead of a window."""
+    from ..streaming.ingest import memory_result
+
+    late = _event_stream(spark, sf).where(F.col("ts") < F.to_timestamp(F.lit("2024-01-10 00:00:00"))).withColumn("k", F.lit(0)).groupBy("k").agg(F.count(F.lit(1)).alias("late"))
+    return memory_result(late, "rv_late", "complete").select("late")
+
+
 @query("stream_drift_monitor")
 def _(spark, sf):
     from ..streaming.ingest import drift_monitor, memory_result
@@ -851,6 +872,16 @@ def _(spark, sf):
     return index.search(q, "pre").groupBy("qid").agg(F.count(F.lit(1)).alias("found")).join(q.select("qid", "y"), "qid").crossJoin(index.vectors().agg(F.count(F.lit(1)).alias("rows")))
 
 
+@query("join_asof", "SELECT q.o_orderkey AS okey, b.price FROM (SELECT o_orderkey, o_totalprice AS v FROM orders WHERE o_orderkey % 10 = 0) q ASOF LEFT JOIN (SELECT o_totalprice AS v, o_totalprice AS price FROM orders WHERE o_orderkey % 10 <> 0) b ON q.v >= b.v")
+def _(spark, sf):
+    from ..operators.asof import asof
+
+    o = t.load(spark, sf, "orders")
+    left = o.where("o_orderkey % 10 = 0").select(F.col("o_orderkey").alias("okey"), F.col("o_totalprice").alias("v"))
+    right = o.where("o_orderkey % 10 <> 0").select("o_orderkey", F.col("o_totalprice").alias("v"), F.col("o_totalprice").alias("price"))
+    return asof(left, right, "v", "price", "o_orderkey").select("okey", "price")
+
+
 # Sources, sinks and user functions.
 def _roundtrip(fmt: str, spark: SparkSession, sf: str) -> DataFrame:
     import uuid
@@ -876,7 +907,6 @@ _NORM_SQL = "SELECT vec_id AS vid, round(sqrt(list_inner_product(embedding::DOUB
 @query("udf_pandas", _NORM_SQL)
 def _(spark, sf):
     import numpy as np
-    import pandas as pd
 
     @F.pandas_udf("double")
     def length(v: pd.Series) -> pd.Series:
@@ -885,10 +915,21 @@ def _(spark, sf):
     return t.embeddings(spark, sf).select("vid", F.round(length("vec"), 6).alias("n"))
 
 
-@query("udf_grouped_topk", knn_sql(work_sql("emb_price")))
+@query("udf_arrow", _NORM_SQL)
 def _(spark, sf):
-    import pandas as pd
+    import numpy as np
+    import pyarrow as pa
+
+    def run(batches):
+        for b in batches:
+            x = np.array(b.column("vec").to_pylist(), np.float64).reshape(b.num_rows, -1)
+            yield pa.RecordBatch.from_arrays([b.column("vid"), pa.array(np.round(np.sqrt((x**2).sum(axis=1)), 6))], names=["vid", "n"])
 
+    return t.embeddings(spark, sf).select("vid", "vec").mapInArrow(run, "vid long, n double")
+
+
+@query("udf_grouped_topk", knn_sql(work_sql("emb_price")))
+def _(spark, sf):
     base, q = work(spark, sf)
     near = base.join(F.broadcast(q), F.col("attr").between(F.col("lo"), F.col("hi"))).select("qid", "vid", "k", l2("vec", "qvec").alias("dist"))
 
