@@ -122,7 +122,7 @@ def fit(docs: DataFrame, labels: DataFrame, learn: Column, id_col: str = "doc_id
         weight = weight / weight.sum()
         mid, wide = z[use].mean(), z[use].std() + 1e-9
         zs = (z[use] - mid) / wide
-        x, ridge = np.stack([zs, np.ones(len(zs))], axis=1), 1e-4
+        x, ridge = np.stack([zs, np.ones(len(zs))], axis=1), 1e-6
         beta = np.array([a, b])
         for _ in range(50):
             p = 1 / (1 + np.exp(-np.clip(x @ beta, -30, 30)))
