@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from .components import components
-from .shared import HOT_LEAST, HOT_PARTS, Words, hashes, join_hot, settle, slices
+from .shared import HOT_LEAST, HOT_PARTS, Words, hashes, join_hot, release, settle, slices
 
 #: 28 bands of 4 minima miss a pair of similarity 0.8 with probability 4e-7.
 BANDS, ROWS = 28, 4
@@ -167,6 +167,7 @@ def _tile_links(k: int, percent: int, least: float):
             if 100 * common >= percent * (len(x) + len(y) - common):
                 parent[u] = v
                 found.append((int(ids[i]), int(ids[j])))
+        release()
         return pa.Table.from_arrays([pa.array([f[0] for f in found], pa.int64()), pa.array([f[1] for f in found], pa.int64())], schema=schema)
 
     return run

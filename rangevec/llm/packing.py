@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import functools
 import heapq
+import threading
 import unicodedata
 import zlib
 
@@ -13,9 +14,9 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, functions as F
 
-from .shared import by_row, settle, slices
+from .shared import by_row, release, settle, slices
 
-CACHE_WORDS = 900_000
+CACHE_WORDS, REST_SECONDS = 700_000, 2.0
 MARKS = tuple(".,;:!?|")
 TEXT_BYTES = 12 << 20
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
@@ -35,8 +36,25 @@ class WordTokenizer:
         vocab = self.inner.get_vocab()
         self.ends = np.zeros(max(vocab.values()) + 1, bool)
         self.ends[[i for w, i in vocab.items() if w.endswith("</w>")]] = True
+        self.lock, self.idle = threading.Lock(), None
         self._forget()
 
+    def wake(self) -> None:
+        if self.idle:
+            self.idle.cancel()
+
+    def rest(self) -> None:
+        """Known words help the next task of this worker, if it comes soon; otherwise their memory is given back."""
+
+        def forget() -> None:
+            with self.lock:
+                self._forget()
+                release()
+
+        self.idle = threading.Timer(REST_SECONDS, forget)
+        self.idle.daemon = True
+        self.idle.start()
+
     def _forget(self) -> None:
         self.at: dict[str, int] = {}
         self.flat, self.sizes = np.zeros(0, np.uint32), np.zeros(0, np.int64)
@@ -86,6 +104,10 @@ class WordTokenizer:
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts, and where each text's ids begin, with their end."""
+        with self.lock:
+            return self._encode(texts)
+
+    def _encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         lists = pc.ascii_split_whitespace(pc.fill_null(texts, ""))
         ends = np.concatenate([[0], np.cumsum(pc.list_value_length(lists).to_numpy(zero_copy_only=False))]).astype(np.int64)
         coded = lists.flatten().dictionary_encode()
@@ -102,6 +124,7 @@ def _tokenizer(path: str) -> WordTokenizer:
 def _pieces(path: str, end_id: int, window: int):
     def run(batches):
         tokenizer = _tokenizer(path)
+        tokenizer.wake()
         for b in slices(batches, "text", TEXT_BYTES):
             ids, offs = tokenizer.encode(b.column("text"))
             out = []
@@ -109,6 +132,7 @@ def _pieces(path: str, end_id: int, window: int):
                 own = np.append(ids[lo:hi], np.uint32(end_id)).astype("<u4")
                 out += [(doc, s, len(own[s : s + window]), zlib.crc32(own[s : s + window].tobytes()), len(own)) for s in range(0, len(own), window)]
             yield pa.RecordBatch.from_pandas(pd.DataFrame(out, columns=["doc_id", "start", "length", "ids_crc32", "doc_tokens"]), preserve_index=False)
+        tokenizer.rest()
 
     return run
 

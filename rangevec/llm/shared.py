@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 import tempfile
 from collections.abc import Iterator
 
@@ -61,6 +63,13 @@ def join_hot(facts: DataFrame, groups: DataFrame, keys: list[str], size: str) ->
     return few.unionByName(many)
 
 
+def release() -> None:
+    """Give freed memory back to the system: a worker waits for its next task with what its last one left."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+
 def slices(batches: Iterator[pa.RecordBatch], column: str, most: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
     """The same rows in batches of about ``most`` bytes of text; one longer text is a batch of its own."""
     for batch in batches:
@@ -73,6 +82,8 @@ def slices(batches: Iterator[pa.RecordBatch], column: str, most: int = SLICE_BYT
             stop = max(start + 1, int(np.searchsorted(ends, base + most, "right")))
             yield batch.slice(start, stop - start)
             start = stop
+        del batch
+    release()
 
 
 class Words:
