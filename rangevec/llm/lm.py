@@ -13,6 +13,7 @@ from urllib.parse import urlparse
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.fs as pafs
 from pyspark.sql import Column, DataFrame, functions as F
 
 from .shared import Words, by_row, hashes, shared_folder, slices
@@ -34,7 +35,7 @@ def _put(folder: str, name: str, array: np.ndarray) -> None:
             np.save(f, array)
         os.replace(f"{path}/{own}", f"{path}/{name}.npy")
         return
-    fs, path = pa.fs.FileSystem.from_uri(folder)
+    fs, path = pafs.FileSystem.from_uri(folder)
     fs.create_dir(path)
     with fs.open_output_stream(f"{path}/{own}") as f:
         np.save(f, array)
@@ -53,7 +54,7 @@ def _get(folder: str, name: str) -> np.ndarray:
     """The array, mapped from the shared folder; from a store without paths a worker's own copy is mapped."""
     path = f"{urlparse(folder).path}/{name}.npy"
     if urlparse(folder).scheme not in ("", "file"):
-        fs, source = pa.fs.FileSystem.from_uri(f"{folder}/{name}.npy")
+        fs, source = pafs.FileSystem.from_uri(f"{folder}/{name}.npy")
         path = f"{_copies()}/{uuid.uuid4().hex}"
         with fs.open_input_stream(source) as f, open(path, "wb") as g:
             shutil.copyfileobj(f, g)
@@ -351,13 +352,13 @@ def _mass(v: Vocabulary, number: np.ndarray, begun: int) -> tuple[np.ndarray, np
 def _known_parts(folder: str, parts: int) -> list[int]:
     if urlparse(folder).scheme in ("", "file"):
         return [p for p in range(parts) if os.path.exists(f"{urlparse(folder).path}/stats-{p}.npy")]
-    fs, path = pa.fs.FileSystem.from_uri(folder)
-    return [p for p, i in enumerate(fs.get_file_info([f"{path}/stats-{p}.npy" for p in range(parts)])) if i.type != pa.fs.FileType.NotFound]
+    fs, path = pafs.FileSystem.from_uri(folder)
+    return [p for p, i in enumerate(fs.get_file_info([f"{path}/stats-{p}.npy" for p in range(parts)])) if i.type != pafs.FileType.NotFound]
 
 
 def _rename(folder: str, known: list[int]) -> None:
     """Close the gaps that empty parts leave."""
-    fs, path = pa.fs.FileSystem.from_uri(folder if "://" in folder or folder.startswith("file:") else f"file://{folder}")
+    fs, path = pafs.FileSystem.from_uri(folder if "://" in folder or folder.startswith("file:") else f"file://{folder}")
     for new, old in enumerate(known):
         for name in ("pairs", "times", "contexts", "stats") if new != old else ():
             fs.move(f"{path}/{name}-{old}.npy", f"{path}/{name}-{new}.npy")
