@@ -194,9 +194,10 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     reps = settle(full.alias("s").join(groups.alias("g"), (F.col("s.h") == F.col("g.h")) & (F.col("s.doc_id") == F.col("g.rep"))).select("s.doc_id", "s.n_shingles", "s.sig").dropDuplicates(["doc_id"]))
     repeated = not groups.groupBy("rep").count().where("count > 1").isEmpty()
     cut = [F.xxhash64(F.lit(i), F.substring("sig", i * rows * 4 + 1, rows * 4)) for i in range(bands)]
-    spread = reps.select("doc_id", F.posexplode(F.array(*cut)).alias("band", "bucket"))
-    shared = settle(spread.groupBy("band", "bucket").agg(F.min("doc_id").alias("hub"), F.count(F.lit(1)).alias("n")).where("n > 1"))
-    members = settle(join_hot(spread, shared, ["band", "bucket"], "n"))
+    # A bucket's number covers its band; if two numbers coincide, their members are compared in vain.
+    spread = reps.select("doc_id", F.explode(F.array(*cut)).alias("bucket"))
+    shared = settle(spread.groupBy("bucket").agg(F.min("doc_id").alias("hub"), F.count(F.lit(1)).alias("n")).where("n > 1"))
+    members = settle(join_hot(spread, shared, ["bucket"], "n").drop("n"))
     least = percent / 100 - SLACK if percent > 100 * SLACK else 0.0
     pairs = settle(members.where("doc_id != hub").select(F.col("doc_id").alias("a"), F.col("hub").alias("b")).distinct())
     ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
@@ -206,32 +207,34 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     found = settle(components(links))
 
     # Buckets that still hold several components.
-    placed = settle(members.select("band", "bucket", "doc_id", "hub", "n").join(found.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id")))
-    mixed = settle(placed.groupBy("band", "bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.max("n").alias("n")).where("lo != hi").select("band", "bucket", "n"))
+    named = found.withColumnRenamed("node", "doc_id")
+    placed = members.join(named, "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
+    mixed = settle(placed.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo != hi").select("bucket", "n"))
     if not mixed.isEmpty():
-        rest = settle(join_hot(placed.drop("n"), mixed, ["band", "bucket"], "n").select("doc_id", "hub", "component").distinct())
+        rest = join_hot(members, mixed, ["bucket"], "n").select("doc_id", "hub").distinct()
+        rest = settle(rest.join(named, "doc_id", "left").select("doc_id", "hub", F.coalesce("component", "doc_id").alias("component")))
         clusters = components(rest.select(F.col("doc_id").alias("a"), F.col("hub").alias("b"))).withColumnsRenamed({"node": "doc_id", "component": "cluster"})
         rest = settle(rest.select("doc_id", "component").distinct().join(clusters, "doc_id"))
         largest = rest.groupBy("cluster", "component").agg(F.count(F.lit(1)).alias("c")).groupBy("cluster").agg(F.max_by("component", F.struct("c", "component")).alias("main"), F.sum("c").alias("n"))
-        rest = join_hot(rest, settle(largest), ["cluster"], "n").join(reps.select("doc_id", "n_shingles", "sig"), "doc_id")
+        rest = join_hot(rest, settle(largest), ["cluster"], "n").join(reps.select("doc_id", "n_shingles"), "doc_id")
         # Linked sets differ in size by one step of this scale at most.
         step = F.floor(F.log("n_shingles") / F.log(F.lit(100 / percent)) + 1e-9).cast("int") if percent < 100 else F.col("n_shingles")
-        rest = settle(rest.select("cluster", "doc_id", "component", (F.col("component") != F.col("main")).alias("apart"), step.alias("step"), "sig"))
-        as_all = rest.select("cluster", "step", "doc_id", "component", F.lit(False).alias("other"), "sig")
-        as_other = rest.where("apart").select("cluster", F.explode(F.array(F.col("step") - 1, F.col("step"), F.col("step") + 1)).alias("step"), "doc_id", "component", F.lit(True).alias("other"), "sig")
+        rest = settle(rest.select("cluster", "doc_id", "component", (F.col("component") != F.col("main")).alias("apart"), step.alias("step")))
+        as_all = rest.select("cluster", "step", "doc_id", "component", F.lit(False).alias("other"))
+        as_other = rest.where("apart").select("cluster", F.explode(F.array(F.col("step") - 1, F.col("step"), F.col("step") + 1)).alias("step"), "doc_id", "component", F.lit(True).alias("other"))
         both = as_all.unionByName(as_other)
         sizes = both.groupBy("cluster", "step").agg(F.sum(F.col("other").cast("long")).alias("others"), F.sum((~F.col("other")).cast("long")).alias("alls"), F.count(F.lit(1)).alias("n")).where("others > 0 AND alls > 0")
         tiled = join_hot(settle(both), settle(sizes), ["cluster", "step"], "n")
         ni, nj = F.ceil(F.col("others") / TILE_OTHERS), F.ceil(F.col("alls") / TILE_ALL)
         upto = lambda n: F.sequence(F.lit(0).cast("long"), n - 1)
         tiled = tiled.withColumn("i", F.when(F.col("other"), F.array(F.pmod(F.xxhash64("doc_id"), ni))).otherwise(upto(ni))).withColumn("j", F.when(F.col("other"), upto(nj)).otherwise(F.array(F.pmod(F.xxhash64("doc_id"), nj))))
-        tiled = tiled.select("cluster", "step", "doc_id", "component", "other", "sig", F.explode("i").alias("i"), "j").select("cluster", "step", "doc_id", "component", "other", "sig", "i", F.explode("j").alias("j"))
-        late = settle(tiled.join(texts, "doc_id").groupBy("cluster", "step", "i", "j").applyInArrow(_tile_links(shingle, percent, least), "a long, b long"))
+        tiled = tiled.select("cluster", "step", "doc_id", "component", "other", F.explode("i").alias("i"), "j").select("cluster", "step", "doc_id", "component", "other", "i", F.explode("j").alias("j"))
+        late = settle(tiled.join(reps.select("doc_id", "sig"), "doc_id").join(texts, "doc_id").groupBy("cluster", "step", "i", "j").applyInArrow(_tile_links(shingle, percent, least), "a long, b long"))
         if not late.isEmpty():
             found = settle(components(late.unionByName(found.select(F.col("node").alias("a"), F.col("component").alias("b")))))
 
-    named = settle(groups.join(found.withColumnRenamed("node", "rep"), "rep", "left").select("h", "n", F.coalesce("component", "rep").alias("component_id")))
-    out = join_hot(full.select("doc_id", "h", "n_shingles"), named, ["h"], "n").select("doc_id", "n_shingles", "component_id")
+    whole = settle(groups.join(found.withColumnRenamed("node", "rep"), "rep", "left").select("h", "n", F.coalesce("component", "rep").alias("component_id")))
+    out = join_hot(full.select("doc_id", "h", "n_shingles"), whole, ["h"], "n").select("doc_id", "n_shingles", "component_id")
     out = out.unionByName(signed.where("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id")))
     return out.select(F.col("doc_id").alias(id_col), "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"))
 
