@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 from functools import partial
 
@@ -802,8 +803,8 @@ def _(spark, sf):
 # Streams.
 def _event_stream(spark: SparkSession, sf: str) -> DataFrame:
     files = t.load(spark, sf, "events")
-    folder = f"{shared_folder(spark)}/events-{id(files)}-{F.__name__}"
-    files.write.mode("overwrite").parquet(folder)
+    folder = f"{shared_folder(spark)}/events-{uuid.uuid4().hex}"
+    files.write.parquet(folder)
     return spark.readStream.schema(files.schema).option("maxFilesPerTrigger", 4).parquet(folder)
 
 
@@ -856,8 +857,6 @@ def _(spark, sf):
 @query("stream_ingest_final")
 def _(spark, sf):
     """Events arrive as a stream; the index afterwards holds all of them and answers as an exact search."""
-    import uuid
-
     from ..streaming.ingest import IndexWriter, ingest
 
     v = settle(t.event_vec(spark, sf).where("vid < 600"))
@@ -884,8 +883,6 @@ def _(spark, sf):
 
 # Sources, sinks and user functions.
 def _roundtrip(fmt: str, spark: SparkSession, sf: str) -> DataFrame:
-    import uuid
-
     df = t.load(spark, sf, "orders").select("o_orderkey", "o_totalprice", "o_orderpriority")
     path = f"{shared_folder(spark)}/{fmt}-{uuid.uuid4().hex}"
     df.write.format(fmt).option("header", "true").save(path)
