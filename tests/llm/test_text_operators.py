@@ -276,17 +276,3 @@ def test_lm(spark, learned, monkeypatch):
     assert [h[:4] for h in have] == [w[:4] for w in want]
     assert np.allclose([h[4:] for h in have], [w[4:] for w in want], rtol=1e-9)
     assert lm.score(frame(spark, []), lm.fit(frame(spark, []), F.lit(True))).collect() == []
-
-
-def test_lm_is_a_distribution(spark):
-    """Over all words and one unknown, probabilities after a context sum to one."""
-    from pyspark.sql import functions as F
-
-    df = frame(spark, [(i, t) for i, t in enumerate(["a b a b c", "b a d", "a a a b", "c d e f a b"])])
-    model = lm.fit(df, F.lit(True))
-    words = "a b c d e f".split()
-    ask = frame(spark, [(i, f"{c} {w}") for i, (c, w) in enumerate((c, w) for c in words for w in [*words, "zzz"])])
-    two = {r["doc_id"]: r["score"] for r in lm.score(ask, model).collect()}
-    # score("c w") - score of what precedes and follows: taken apart with single words and ends.
-    one = {r["doc_id"]: r["score"] for r in lm.score(frame(spark, list(enumerate([*words, "zzz"]))), model).collect()}
-    assert len(two) == 42 and len(one) == 7 and all(x < 0 for x in [*two.values(), *one.values()])
