@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, functions as F
 
-from .shared import join_hot, settle, unsized
+from .shared import join_hot, settle, tidy, unsized
 
 
 def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
@@ -29,4 +29,6 @@ def components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
         met = join_hot(large, lowest, ["u"], "n")
         small = met.select(F.col("v").alias("u"), F.col("m").alias("v")).where("u != v").unionByName(lowest.select("u", F.col("m").alias("v")))
         edges = unsized(settle(small.distinct()))
+        del both, lowest, large, met, small, parents, nested
+        tidy(links.sparkSession)
     return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(edges.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())

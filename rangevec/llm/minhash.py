@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from .components import components
-from .shared import HOT_LEAST, HOT_PARTS, Words, hashes, join_hot, release, settle, slices
+from .shared import HOT_LEAST, HOT_PARTS, Words, hashes, join_hot, release, settle, slices, tidy
 
 #: 28 bands of 4 minima miss a pair of similarity 0.8 with probability 4e-7.
 BANDS, ROWS = 28, 4
@@ -198,6 +198,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     spread = reps.select("doc_id", F.explode(F.array(*cut)).alias("bucket"))
     shared = settle(spread.groupBy("bucket").agg(F.min("doc_id").alias("hub"), F.count(F.lit(1)).alias("n")).where("n > 1"))
     members = settle(join_hot(spread, shared, ["bucket"], "n").drop("n"))
+    tidy(docs.sparkSession)
     least = percent / 100 - SLACK if percent > 100 * SLACK else 0.0
     pairs = settle(members.where("doc_id != hub").select(F.col("doc_id").alias("a"), F.col("hub").alias("b")).distinct())
     ids = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
@@ -205,6 +206,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     texts = settle(texts.dropDuplicates(["doc_id"]) if repeated else texts)
     links = _verify(pairs, reps, texts, shingle, percent, least)
     found = settle(components(links))
+    tidy(docs.sparkSession)
 
     # Buckets that still hold several components.
     named = found.withColumnRenamed("node", "doc_id")
@@ -224,6 +226,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         as_other = rest.where("apart").select("cluster", F.explode(F.array(F.col("step") - 1, F.col("step"), F.col("step") + 1)).alias("step"), "doc_id", "component", F.lit(True).alias("other"))
         both = as_all.unionByName(as_other)
         sizes = both.groupBy("cluster", "step").agg(F.sum(F.col("other").cast("long")).alias("others"), F.sum((~F.col("other")).cast("long")).alias("alls"), F.count(F.lit(1)).alias("n")).where("others > 0 AND alls > 0")
+        tidy(docs.sparkSession)
         tiled = join_hot(settle(both), settle(sizes), ["cluster", "step"], "n")
         ni, nj = F.ceil(F.col("others") / TILE_OTHERS), F.ceil(F.col("alls") / TILE_ALL)
         upto = lambda n: F.sequence(F.lit(0).cast("long"), n - 1)

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import contextlib
 import ctypes
+import gc
 import tempfile
 from collections.abc import Iterator
 
@@ -42,6 +43,12 @@ def settle(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def tidy(spark: SparkSession) -> None:
+    """Let the driver find what nothing refers to any more: only then do shuffle and checkpoint files of earlier steps go."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def unsized(df: DataFrame) -> DataFrame:
     """A settled frame without the size that Spark guesses from the plan it came from: in a loop of joins those guesses are multiplied at each turn until the planner is lost in long numbers."""
     spark = df.sparkSession
