@@ -78,9 +78,14 @@ def prune(cands: Column, m: int, fill: bool = False) -> Column:
     kept = F.aggregate(ordered, empty, step)
     if not fill:
         return kept
-    ids = F.transform(kept, lambda c: c["id"])
-    rest = F.filter(ordered, lambda c: ~F.array_contains(ids, c["id"]))
-    return F.array_sort(F.slice(F.concat(kept, rest), 1, m))
+
+    def filled(kept: Column) -> Column:
+        ids = F.transform(kept, lambda c: c["id"])
+        rest = F.filter(ordered, lambda c: ~F.array_contains(ids, c["id"]))
+        return F.array_sort(F.slice(F.concat(kept, rest), 1, m))
+
+    # As a variable of a lambda, the kept ones are found once and not again for each candidate.
+    return F.element_at(F.transform(F.array(kept), filled), 1)
 
 
 def pruned_edges(edges: DataFrame, base: DataFrame, m: int, by: list[str], fill: bool = False) -> DataFrame:

@@ -21,6 +21,8 @@ Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
 SQL: dict[str, str] = {}
 K, S, M = 10, 4, 4
+#: Rows of a shard that the beam of the full-beam searches holds whole.
+FULL_BEAM_ROWS = 300
 
 
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
@@ -328,13 +330,13 @@ def _(spark, sf):
 
 # Graphs.
 def _base(spark: SparkSession, sf: str, s: int = S) -> tuple[DataFrame, list[float]]:
-    """A tenth of the priced vectors, so that the exact graphs, which compare all pairs, stay small."""
-    v = t.emb_price(spark, sf).where("vid % 5 = 1")
+    """All priced vectors in segments. The exact graphs compare all pairs, so their work grows with the square of the rows."""
+    v = t.emb_price(spark, sf)
     bounds = segment.fit(v, s)
     return settle(segment.assign(v, bounds)), bounds
 
 
-_G = f"v AS MATERIALIZED (SELECT * FROM ({TABLE_SQL['emb_price']}) WHERE vid % 5 = 1), {seg_sql(S, 'v')}, {assigned_sql('v')}, pr AS MATERIALIZED (SELECT a.vid AS src, b.vid AS dst, a.seg AS src_seg, b.seg AS chunk, list_distance(a.vec, b.vec) AS dist FROM sb a JOIN sb b ON a.vid <> b.vid)"
+_G = f"v AS MATERIALIZED ({TABLE_SQL['emb_price']}), {seg_sql(S, 'v')}, {assigned_sql('v')}, pr AS MATERIALIZED (SELECT a.vid AS src, b.vid AS dst, a.seg AS src_seg, b.seg AS chunk, list_distance(a.vec, b.vec) AS dist FROM sb a JOIN sb b ON a.vid <> b.vid)"
 _CH = "ch AS MATERIALIZED (SELECT * FROM (SELECT src, src_seg, chunk, dst, dist, row_number() OVER (PARTITION BY src, chunk ORDER BY dist, dst) AS rnk FROM pr) WHERE rnk <= 3)"
 
 
@@ -422,20 +424,20 @@ def prune_sql(cands: str, keys: str, m: int) -> str:
         fin AS (SELECT {keys}, arg_max(ids, i) AS ids FROM kept GROUP BY {keys})"""
 
 
-_PRUNE = prune_sql("SELECT src, dst, dist, sb.vec FROM pr JOIN sb ON sb.vid = pr.dst WHERE src < 100", "src", M)
+_PRUNE = prune_sql("SELECT src, dst, dist, sb.vec FROM pr JOIN sb ON sb.vid = pr.dst", "src", M)
 
 
 @query("prune_kept", f"WITH RECURSIVE {_G}, {_PRUNE} SELECT f.src, c.dst, round(c.dist, 6) AS dist FROM fin f JOIN cand c ON c.src = f.src AND list_contains(f.ids, c.dst)")
 def _(spark, sf):
     base, _ = _base(spark, sf)
-    pairs = graphs._pairs(base.where("vid < 100").select("vid", "vec"), base.select("vid", "vec"))
+    pairs = graphs._pairs(base.select("vid", "vec"), base.select("vid", "vec"))
     return rounded(graphs.pruned_edges(pairs, base, M, ["src"]).select("src", "dst", "dist"))
 
 
 @query("prune_filled", f"WITH RECURSIVE {_G}, {_PRUNE} SELECT src, dst, round(dist, 6) AS dist FROM (SELECT c.src, c.dst, c.dist, row_number() OVER (PARTITION BY c.src ORDER BY NOT list_contains(f.ids, c.dst), c.dist, c.dst) AS r FROM fin f JOIN cand c ON c.src = f.src) WHERE r <= {M}")
 def _(spark, sf):
     base, _ = _base(spark, sf)
-    pairs = graphs._pairs(base.where("vid < 100").select("vid", "vec"), base.select("vid", "vec"))
+    pairs = graphs._pairs(base.select("vid", "vec"), base.select("vid", "vec"))
     return rounded(graphs.pruned_edges(pairs, base, M, ["src"], fill=True).select("src", "dst", "dist"))
 
 
@@ -540,25 +542,25 @@ def _(spark, sf):
     return rounded(index.work(index.search(q, "pre", counters=True), q, K)[0])
 
 
-def _small(spark: SparkSession, sf: str) -> tuple[RangeIndex, DataFrame]:
-    """Every edge is kept, so both graph searches are exact."""
-    v = t.emb_price(spark, sf).where("vid % 5 = 1 AND vid < 400")
-    q = t.emb_price(spark, sf).where("vid % 50 = 0 AND vid < 400").select(F.col("vid").alias("qid"), F.col("vec").alias("qvec"), F.lit(30000.0).alias("lo"), F.lit(250000.0).alias("hi"), F.lit(K).alias("k"))
-    return RangeIndex.build(v, 4, 100, 200, base_degree=200, mask_degree=400), q
+def _full_beam(spark: SparkSession, sf: str) -> tuple[RangeIndex, DataFrame]:
+    """The beam holds all of a shard, so both graph searches are exact: shards stay below its width, and their number follows the table."""
+    v = settle(t.emb_price(spark, sf))
+    q = v.where("vid % 50 = 0").select(F.col("vid").alias("qid"), F.col("vec").alias("qvec"), F.lit(30000.0).alias("lo"), F.lit(250000.0).alias("hi"), F.lit(K).alias("k"))
+    return RangeIndex.build(v, 4, 100, 200, shards=max(1, -(-v.count() // FULL_BEAM_ROWS)), base_degree=200, mask_degree=400), q
 
 
-_SMALL_SQL = knn_sql(f"v AS ({TABLE_SQL['emb_price']}), base AS (SELECT * FROM v WHERE vid % 5 = 1 AND vid < 400), q AS (SELECT vid AS qid, vec AS qvec, 30000.0 AS lo, 250000.0 AS hi, {K} AS k FROM v WHERE vid % 50 = 0 AND vid < 400)")
+_FULL_BEAM_SQL = knn_sql(f"base AS MATERIALIZED ({TABLE_SQL['emb_price']}), q AS (SELECT vid AS qid, vec AS qvec, 30000.0 AS lo, 250000.0 AS hi, {K} AS k FROM base WHERE vid % 50 = 0)")
 
 
-@query("search_post_full_beam", _SMALL_SQL)
+@query("search_post_full_beam", _FULL_BEAM_SQL)
 def _(spark, sf):
-    index, q = _small(spark, sf)
+    index, q = _full_beam(spark, sf)
     return rounded(index.search(q, "post", ef=500))
 
 
-@query("search_hybrid_full_beam", _SMALL_SQL)
+@query("search_hybrid_full_beam", _FULL_BEAM_SQL)
 def _(spark, sf):
-    index, q = _small(spark, sf)
+    index, q = _full_beam(spark, sf)
     return rounded(index.search(q, "hybrid", ef=500, m=800))
 
 

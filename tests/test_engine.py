@@ -62,6 +62,27 @@ def test_every_combination_is_in_the_chunked_graph(spark):
     assert len(graphs.subsets([0, 1, 2])) == 7 and len(graphs.subsets([0, 1, 2], True)) == 6
 
 
+def test_graph_queries_take_all_rows(spark, sf):
+    """Every priced vector is a source, and the full beams answer as a brute-force scan of the table."""
+    v = settle(tables.emb_price(spark, sf))
+    ids, found = {r["vid"] for r in v.select("vid").collect()}, vector_queries.QUERIES
+    assert {r["src"] for r in found["knn_graph_full"](spark, sf).collect()} == ids == {r["vid"] for r in found["chain_links"](spark, sf).collect()}
+    vec = {r["vid"]: np.array(r["vec"]) for r in v.collect()}
+    near = {s: sorted((float(np.sqrt(((vec[o] - vec[s]) ** 2).sum())), o) for o in ids if o != s) for s in sorted(ids)[-3:]}
+    filled = found["prune_filled"](spark, sf).toPandas().groupby("src").dst.apply(list)
+    kept = found["prune_kept"](spark, sf).toPandas().groupby("src").dst.apply(set)
+    assert set(filled.index) == ids == set(kept.index)
+    for s, cands in near.items():
+        want = []
+        for d, o in cands:
+            if len(want) < 4 and all(np.sqrt(((vec[e] - vec[o]) ** 2).sum()) >= d for e in want):
+                want.append(o)
+        assert kept[s] == set(want) and set(want) <= set(filled[s]) and len(filled[s]) == 4
+    q = v.where("vid % 50 = 0").select(F.col("vid").alias("qid"), F.col("vec").alias("qvec"), F.lit(30000.0).alias("lo"), F.lit(250000.0).alias("hi"), F.lit(10).alias("k"))
+    want = rows(range_knn(v, q).select("qid", "rnk", "vid"))
+    assert want and all(rows(found[f"search_{how}_full_beam"](spark, sf).select("qid", "rnk", "vid")) == want for how in ("post", "hybrid"))
+
+
 def test_levels_shrink(spark):
     n = {r["level"]: r["count"] for r in spark.range(20000).select(level("id", 16).alias("level")).groupBy("level").count().collect()}
     assert 0.92 < n[0] / 20000 < 0.955
