@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 import hashlib
+import string
 
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, functions as F
 
-from .shared import join_hot, settle, slices
+from .shared import join_hot, null_safe, settle, slices, unclear
 
 
 def _digests(id_col: str, text_col: str, with_text: bool, bits: int):
@@ -29,8 +30,8 @@ def duplicate_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     """One row per document: id, ``keep_id``, ``group_size``, ``kept``, ``text_sha256``.
 
     Texts are equal when identical after lower-casing A-Z; null counts as empty, so null and empty texts form one group. ``keep`` says
-    whether the smallest or largest id stays. Rows that repeat an id count as rows of their own and all carry that id. Other columns are
-    ignored; an empty table gives an empty result.
+    whether the smallest or largest id stays; a missing one does only where no row of the group has an id. Rows that repeat an id count as
+    rows of their own and all carry that id. Other columns are ignored; an empty table gives an empty result.
 
     Hash groups are split by their bytes: the aggregation key holds the normalised text itself, combined before the shuffle, so a group of
     any size is one row for each map task and a hash collision (``bits`` can be lowered to test it) joins nothing.
@@ -44,15 +45,18 @@ def duplicate_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "t
     narrow, schema = _digests(id_col, text_col, False, bits)
     members = settle(rows.mapInArrow(narrow, schema))
     out = join_hot(members, groups, ["h", "sha"], "group_size")
-    return out.select(id_col, "keep_id", "group_size", (F.col(id_col) == F.col("keep_id")).alias("kept"), F.lower(F.hex("sha")).alias("text_sha256"))
+    return out.select(id_col, "keep_id", "group_size", F.col(id_col).eqNullSafe(F.col("keep_id")).alias("kept"), F.lower(F.hex("sha")).alias("text_sha256"))
 
 
 def drop_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "min") -> DataFrame:
-    """The documents that stay, with all their columns; of rows that repeat id and text one stays."""
+    """The documents that stay, with all their columns: one of each group of equal texts.
+
+    Where ids are missing or on several rows, a row is known by its id and the hash of its normalised text; of rows that share both one stays.
+    """
     rows = docs.select(F.struct(*docs.columns).alias("row"), F.col(id_col).cast("long").alias("_id"))
-    groups = duplicate_groups(docs, id_col, text_col, keep).where("kept").groupBy(F.col(id_col).alias("_id")).agg(F.count(F.lit(1)).alias("n"))
-    groups = settle(groups)
-    out = rows.join(groups.select("_id"), "_id", "left_semi")
-    if not groups.where("n > 1").isEmpty():
-        out = out.dropDuplicates(["_id"])
-    return out.select("row.*")
+    kept = duplicate_groups(docs, id_col, text_col, keep).where("kept").select(F.col(id_col).alias("_id"), F.col("text_sha256").alias("_sha"))
+    if not unclear(docs, id_col):
+        return rows.join(kept.select("_id"), "_id", "left_semi").select("row.*")
+    low = F.translate(F.coalesce(F.col(f"row.{text_col}"), F.lit("")), string.ascii_uppercase, string.ascii_lowercase)
+    out = rows.withColumn("_sha", F.sha2(low, 256)).alias("a").join(kept.alias("b"), null_safe("a", "b", ["_id", "_sha"]), "left_semi")
+    return out.dropDuplicates(["_id", "_sha"]).select("row.*")

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from .components import components
-from .shared import HOT_LEAST, HOT_PARTS, Words, hashes, join_hot, release, settle, slices, tidy
+from .shared import HOT_LEAST, HOT_PARTS, Words, hashes, join_hot, null_safe, release, settle, slices, tidy, unclear
 
 #: 28 bands of 4 minima miss a pair of similarity 0.8 with probability 4e-7.
 BANDS, ROWS = 28, 4
@@ -184,9 +184,27 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     is a row per member and not per pair, and confirmed links give components. Buckets that then still hold several components are joined,
     where they share members, to clusters. In a cluster, members outside its largest component meet all members of fitting set sizes in tiles of
     bounded size, which test pairs on full sets and hand on only links that join components. So each pair that shares a bucket is
-    either in one component or has been tested. Rows that repeat an id are documents of their own,
-    of which one stands for the id where it is compared. Other columns are ignored; an empty table gives an empty result.
+    either in one component or has been tested. Where ids are missing or on several rows, each id and text is a document of its own, in
+    the order of ids (missing ones last) and hashes of the texts. Other columns are ignored; an empty table gives an empty result.
     """
+    if not unclear(docs, id_col):
+        return _linked(docs, id_col, text_col, shingle, percent, bands, rows)
+    return _by_row(docs, id_col, text_col, shingle, percent, bands, rows).drop("_sha")
+
+
+def _by_row(docs: DataFrame, id_col: str, text_col: str = "text", shingle: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
+    """``near_duplicates`` over keys that stand for id and text, with the hash of the text as ``_sha``."""
+    texts = docs.select(F.col(id_col).cast("long").alias("_id"), F.sha2(F.coalesce(F.col(text_col), F.lit("")), 256).alias("_sha"), F.col(text_col).alias("text"))
+    # Numbers that grow over a sorted frame keep its order.
+    keys = settle(texts.select("_id", "_sha").distinct().orderBy(F.col("_id").asc_nulls_last(), "_sha").withColumn("_key", F.monotonically_increasing_id()))
+    keyed = texts.alias("a").join(keys.alias("b"), null_safe("a", "b", ["_id", "_sha"])).select("_key", "text")
+    found = _linked(keyed, "_key", "text", shingle, percent, bands, rows).join(keys, "_key")
+    heads = keys.select(F.col("_key").alias("component_id"), F.col("_id").alias("_head"))
+    return found.join(heads, "component_id").select(F.col("_id").alias(id_col), "n_shingles", F.col("_head").alias("component_id"), "kept", "_sha")
+
+
+def _linked(docs: DataFrame, id_col: str, text_col: str, shingle: int, percent: int, bands: int, rows: int) -> DataFrame:
+    """``near_duplicates`` where equal ids have equal texts and none is missing."""
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     signed = settle(texts.mapInArrow(_sign(shingle, bands * rows), "doc_id long, h binary, n_shingles long, sig binary"))
     full = signed.where("n_shingles > 0")
@@ -242,8 +260,12 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return out.select(F.col("doc_id").alias(id_col), "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"))
 
 
-def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", **how) -> DataFrame:
-    """One document of each component, with all columns; of rows that repeat an id all or none stay."""
-    kept = near_duplicates(docs, id_col, **how).where("kept").select(F.col(id_col).alias("_id")).distinct()
+def drop_near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
+    """One document of each component, with all columns; of rows that repeat id and text all or none stay."""
     rows = docs.select(F.struct(*docs.columns).alias("row"), F.col(id_col).cast("long").alias("_id"))
-    return rows.join(kept, "_id", "left_semi").select("row.*")
+    if not unclear(docs, id_col):
+        kept = near_duplicates(docs, id_col, text_col, **how).where("kept").select(F.col(id_col).alias("_id")).distinct()
+        return rows.join(kept, "_id", "left_semi").select("row.*")
+    kept = _by_row(docs, id_col, text_col, **how).where("kept").select(F.col(id_col).alias("_id"), "_sha")
+    rows = rows.withColumn("_sha", F.sha2(F.coalesce(F.col(f"row.{text_col}"), F.lit("")), 256))
+    return rows.alias("a").join(kept.alias("b"), null_safe("a", "b", ["_id", "_sha"]), "left_semi").select("row.*")

@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
-from .shared import settle
+from .shared import null_safe, settle, unclear
 
 WORD = r"[^\x20\x09-\x0D]+"
 
@@ -66,6 +66,11 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     None gives more than ``most`` times its size. Null text has size 0, a null source is one source. A row that repeats an id is a document
     of its own; equal ids order by size. Reruns agree. Other columns are ignored; an empty table gives an empty result.
     """
+    return _mix(docs, id_col, text_col, source_col, cycle, most, block_words, shard_docs, seed).drop("_source")
+
+
+def _mix(docs: DataFrame, id_col: str, text_col: str, source_col: str, cycle: tuple[float, ...] = (5, 2, 1), most: float = 3.0, block_words: int = 32, shard_docs: int = 512, seed: int = 7) -> DataFrame:
+    """``mix`` with each row's source as ``_source``."""
     rows = settle(docs.select(F.col(id_col).cast("long").alias(id_col), F.col(source_col).cast("string").alias("source"), F.coalesce(F.regexp_count(F.col(text_col), F.lit(WORD)), F.lit(0)).cast("long").alias("size")))
     sources = rows.groupBy("source").agg(F.sum("size").alias("source_size"), F.count(F.lit(1)).alias("docs"))
     total = rows.agg(F.sum("size")).first()[0] or 0
@@ -84,11 +89,25 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     rounds = F.when(F.col("words") > 0, F.floor(F.col("quota") / F.col("words"))).otherwise(F.lit(0))
     dealt = dealt.withColumn("_rounds", rounds)
     rest = F.least(F.greatest(F.col("quota") - F.col("_rounds") * F.col("words") - F.col("_at"), F.lit(0)), F.col("size"))
-    return dealt.select(id_col, "size", "source_size", F.col("target").cast("double").alias("target"), (F.col("_rounds") * F.col("size") + rest).cast("long").alias("taken"))
+    return dealt.select(F.col("source").alias("_source"), id_col, "size", "source_size", F.col("target").cast("double").alias("target"), (F.col("_rounds") * F.col("size") + rest).cast("long").alias("taken"))
 
 
-def mixed_documents(docs: DataFrame, id_col: str = "doc_id", **how) -> DataFrame:
-    """The documents of the mix with all their columns: each as often as ``taken`` asks, a part counting as one copy."""
-    taken = mix(docs, id_col, **how).where("taken > 0").groupBy(F.col(id_col).alias("_id")).agg(F.max(F.ceil(F.col("taken") / F.col("size"))).cast("int").alias("_copies"))
+def mixed_documents(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", **how) -> DataFrame:
+    """The documents of the mix with all their columns: each as often as ``taken`` asks, a part counting as one copy.
+
+    Where ids are missing or on several rows, rows that share id, source and size get the copies of those that ``mix`` deals them in the order of their texts' hashes.
+    """
+    every = _mix(docs, id_col, text_col, source_col, **how)
+    copies = F.ceil(F.col("taken") / F.col("size")).cast("int").alias("_copies")
     rows = docs.select(F.struct(*docs.columns).alias("row"), F.col(id_col).cast("long").alias("_id"))
-    return rows.join(taken, "_id").select(F.explode(F.array_repeat("row", F.col("_copies"))).alias("row")).select("row.*")
+    if not unclear(docs, id_col):
+        out = rows.join(every.where("taken > 0").select(F.col(id_col).alias("_id"), copies), "_id")
+    else:
+        keys, text = ["_id", "_source", "_size"], F.col(f"row.{text_col}")
+        size = F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
+        rows = rows.select("row", "_id", F.col(f"row.{source_col}").cast("string").alias("_source"), size.alias("_size"), F.sha2(F.coalesce(text, F.lit("")), 256).alias("_sha"))
+        rows = rows.withColumn("_n", F.row_number().over(Window.partitionBy(*keys).orderBy("_sha")))
+        taken = every.select(F.col(id_col).alias("_id"), "_source", F.col("size").alias("_size"), copies)
+        taken = taken.withColumn("_n", F.row_number().over(Window.partitionBy(*keys).orderBy(F.col("_copies").desc()))).where("_copies > 0")
+        out = rows.alias("a").join(taken.alias("b"), null_safe("a", "b", [*keys, "_n"])).select("row", "_copies")
+    return out.select(F.explode(F.array_repeat("row", F.col("_copies"))).alias("row")).select("row.*")

@@ -11,7 +11,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, SparkSession, functions as F
+from pyspark.sql import Column, DataFrame, SparkSession, functions as F
 
 #: A key with more than one part in so many of all rows is joined by broadcast; there are at most so many such keys.
 HOT_PARTS = 1024
@@ -55,6 +55,20 @@ def unsized(df: DataFrame) -> DataFrame:
     return DataFrame(spark._jsparkSession.internalCreateDataFrame(df._jdf.queryExecution().toRdd(), df._jdf.schema(), False), spark)
 
 
+def unclear(docs: DataFrame, id_col: str) -> bool:
+    """Whether some id is missing or on several rows, so that ids alone don't name the rows."""
+    ids = docs.groupBy(F.col(id_col).cast("long").alias("_id")).agg(F.count(F.lit(1)).alias("_n"))
+    return not ids.where("_id IS NULL OR _n > 1").isEmpty()
+
+
+def null_safe(left: str, right: str, keys: list[str]) -> Column:
+    """The condition that two aliased frames have equal keys; null equals null."""
+    same = F.lit(True)
+    for c in keys:
+        same = same & F.col(f"{left}.{c}").eqNullSafe(F.col(f"{right}.{c}"))
+    return same
+
+
 def join_hot(facts: DataFrame, groups: DataFrame, keys: list[str], size: str) -> DataFrame:
     """Inner join of many rows with one row per key, where one key may hold any share of the rows.
 

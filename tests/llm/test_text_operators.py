@@ -62,6 +62,23 @@ def test_exact_drop(spark):
     assert sorted(r["doc_id"] for r in out.collect()) == [1, 3, 4, 6, 7, 8, 9, 11, 12]
 
 
+TWICE = [(5, "A"), (5, "B"), (5, "B"), (3, "b"), (None, "c d"), (None, "e"), (None, "E"), (7, "c d"), (None, "f g h i j"), (6, "b b b b k"), (6, "q r s t u v"), (8, "Q R S T U V")]
+
+
+def test_rows_without_an_id_of_their_own(spark):
+    """Missing ids and one id with several texts: each text is a row of its own."""
+    df = frame(spark, TWICE)
+    texts = lambda out: sorted(((r["doc_id"], low(r["text"])) for r in out.collect()), key=str)
+    once = sorted([(5, "a"), (3, "b"), (7, "c d"), (None, "e"), (None, "f g h i j"), (6, "b b b b k"), (6, "q r s t u v")], key=str)
+    assert texts(exact_dedup.drop_duplicates(df)) == once
+    near = minhash.near_duplicates(df)
+    assert near.count() == len(TWICE)
+    assert Counter((r["doc_id"], r["component_id"], r["kept"]) for r in near.collect()) == Counter([(5, 5, True), (5, 3, False), (5, 3, False), (3, 3, True), (None, 7, False), (None, None, True), (None, None, False), (7, 7, True), (None, None, True), (6, 6, True), (6, 6, True), (8, 6, False)])
+    assert texts(minhash.drop_near_duplicates(df)) == once
+    # One source takes all of itself.
+    assert sorted(((r["doc_id"], r["text"]) for r in mixing.mixed_documents(df).collect()), key=str) == sorted(TWICE, key=str)
+
+
 def naive_targets(sizes, cycle, most):
     names = sorted(sizes, key=lambda s: (s is None, s or ""))
     weight = {s: cycle[i % len(cycle)] for i, s in enumerate(names)}
