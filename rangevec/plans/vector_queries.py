@@ -97,11 +97,11 @@ for _name, _table in {"price": "emb_price", "uniform": "emb_uniform", "date": "e
     query(f"exact_range_knn_{_name}", knn_sql(work_sql(_table)))(partial(_exact, _table))
 
 
-@query("exact_range_knn_lines", knn_sql(work_sql("line_num").replace("WHERE vid % 10 = 0", "WHERE vid % 1000 = 0")))
+@query("exact_range_knn_lines", knn_sql(work_sql("line_num").replace("WHERE vid % 10 = 0", "WHERE vid % 100 = 0")))
 def _(spark, sf):
     base, q = t.held_out(t.line_num(spark, sf))
     base = settle(base)
-    return rounded(range_knn_blocks(base, t.rank_ranges(base, q.where("qid % 1000 = 0"), K)))
+    return rounded(range_knn_blocks(base, t.rank_ranges(base, q.where("qid % 100 = 0"), K)))
 
 
 def _passages(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
@@ -265,14 +265,14 @@ def _(spark, sf):
 
 
 # Distances.
-_PAIRS = "FROM embeddings a JOIN embeddings b ON a.vec_id % 10 = 0 AND b.vec_id % 10 = 1"
+_PAIRS = "FROM embeddings a JOIN embeddings b ON a.vec_id % 100 = 0"
 
 
 def _distance(f, spark: SparkSession, sf: str) -> DataFrame:
     e = t.embeddings(spark, sf)
-    a = e.where("vid % 10 = 0").select(F.col("vid").alias("a"), F.col("vec").alias("x"))
-    b = e.where("vid % 10 = 1").select(F.col("vid").alias("b"), F.col("vec").alias("y"))
-    return a.crossJoin(F.broadcast(b)).select("a", "b", F.round(f("x", "y"), 6).alias("dist"))
+    a = e.where("vid % 100 = 0").select(F.col("vid").alias("a"), F.col("vec").alias("x"))
+    b = e.select(F.col("vid").alias("b"), F.col("vec").alias("y"))
+    return b.crossJoin(F.broadcast(a)).select("a", "b", F.round(f("x", "y"), 6).alias("dist"))
 
 
 for _name, _f, _sql in (("l2", l2, "list_distance(a.embedding::DOUBLE[], b.embedding::DOUBLE[])"), ("cosine", cosine_distance, "1 - list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[])"), ("ip", inner_product, "list_inner_product(a.embedding::DOUBLE[], b.embedding::DOUBLE[])")):

@@ -83,6 +83,16 @@ def test_graph_queries_take_all_rows(spark, sf):
     assert want and all(rows(found[f"search_{how}_full_beam"](spark, sf).select("qid", "rnk", "vid")) == want for how in ("post", "hybrid"))
 
 
+def test_query_sets_are_whole(spark, sf):
+    """Ids divisible by 100 are queries, and each meets all rows."""
+    ids, found = {r["vid"] for r in tables.embeddings(spark, sf).select("vid").collect()}, vector_queries.QUERIES
+    asked = {i for i in ids if i % 100 == 0}
+    for name in ("distance_l2", "distance_cosine", "distance_ip", "distance_sql_function"):
+        assert {(r["a"], r["b"]) for r in found[name](spark, sf).select("a", "b").collect()} == {(a, b) for a in asked for b in ids}, name
+    lines = tables.load(spark, sf, "lineitem").count()
+    assert {r["qid"] for r in found["exact_range_knn_lines"](spark, sf).collect()} == set(range(0, lines, 100))
+
+
 def test_levels_shrink(spark):
     n = {r["level"]: r["count"] for r in spark.range(20000).select(level("id", 16).alias("level")).groupBy("level").count().collect()}
     assert 0.92 < n[0] / 20000 < 0.955
