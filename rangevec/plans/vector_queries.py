@@ -23,6 +23,8 @@ SQL: dict[str, str] = {}
 K, S, M = 10, 4, 4
 #: Rows of a shard that the beam of the full-beam searches holds whole.
 FULL_BEAM_ROWS = 300
+#: Rows of a shard of an index that grows: a task holds it whole.
+SHARD_ROWS = 2000
 
 
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
@@ -253,11 +255,15 @@ def _(spark, sf):
     return spark.createDataFrame(rows, "batch string, psi double, ks double, drifted boolean")
 
 
+def _shards(v: DataFrame) -> int:
+    return max(1, -(-v.count() // SHARD_ROWS))
+
+
 @query("drift_recalibrated")
 def _(spark, sf):
     """Thresholds before and after a batch whose attributes are shifted."""
-    v = settle(t.emb_value(spark, sf).where("vid < 300"))
-    index = RangeIndex.build(v, 4, 8, 50)
+    v = settle(t.emb_value(spark, sf))
+    index = RangeIndex.build(v, 4, 8, 50, shards=_shards(v))
     old = settle(segment.table(v, segment.fit(v, 8)))
     same = planner.adapt(index, old, v)
     moved = planner.adapt(index, old, settle(v.withColumn("attr", F.col("attr") * 3)), sample=0.1)
@@ -611,14 +617,27 @@ def _(spark, sf):
     return load(spark, index.save(), 60000, 90000).select("vid", "attr")
 
 
+def _halves(v: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """The rows with the smaller ids and the others."""
+    mid = v.agg(F.percentile("vid", 0.5)).first()[0] or 0
+    return v.where(F.col("vid") <= mid), v.where(F.col("vid") > mid)
+
+
 @query("append_rounds")
 def _(spark, sf):
-    """Building at once and appending in the same order give the same edges."""
-    base, _ = work(spark, sf)
-    base = settle(base.where("vid < 300"))
-    half = RangeIndex.build(base.where("vid < 200"), 4, 8, 50)
-    grown = half.append(base.where("vid >= 200"))
-    return grown.edges().groupBy("layer").agg(F.count(F.lit(1)).alias("edges"), F.sum(F.col("masked").cast("long")).alias("masked"))
+    """Building at once and appending in the same order give the same edges: per layer their number, and how many only one of both has.
+
+    The half that is built first takes the boundaries of the whole table, since appending keeps them.
+    """
+    base = settle(work(spark, sf)[0])
+    whole = RangeIndex.build(base, 4, 8, 50, shards=_shards(base))
+    first, rest = _halves(base)
+    placed = first.select("vid", "vec", "attr").withColumn("shard", segment.segment_of(F.col("attr"), whole.manifest.outer))
+    grown = RangeIndex._inserted(spark, None, settle(placed), whole.manifest, "vid").append(rest)
+    keys = ["shard", "layer", "src", "chunk", "dst", "rnk", "masked"]
+    both = grown.edges().select(*keys, F.lit(1).alias("here")).join(whole.edges().select(*keys, F.lit(1).alias("there")), keys, "full")
+    one = lambda c: F.sum(F.col(c).isNull().cast("long"))
+    return both.groupBy("layer").agg(F.count("here").alias("edges"), F.sum(F.when(F.col("here") == 1, F.col("masked").cast("long")).otherwise(0)).alias("masked"), one("there").alias("only_appended"), one("here").alias("only_at_once"))
 
 
 @query("calibration_log")
@@ -858,19 +877,24 @@ def _(spark, sf):
 
 @query("stream_ingest_final")
 def _(spark, sf):
-    """Events arrive as a stream; the index afterwards holds all of them and answers as an exact search."""
+    """Half of the events are there, half arrive as a stream; the index afterwards holds all of them and answers as an exact search: ``right`` of those found."""
     from ..streaming.ingest import IndexWriter, ingest
 
-    v = settle(t.event_vec(spark, sf).where("vid < 600"))
+    v = settle(t.event_vec(spark, sf))
+    # Ids follow time: every other event at the start, so that the first boundaries deal the later ones over all shards.
+    first, rest = v.where("vid % 2 = 0"), v.where("vid % 2 <> 0")
     root = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
-    v.where("vid >= 300").repartition(3).write.parquet(f"{root}/in")
+    rest.repartition(3).write.parquet(f"{root}/in")
     writer = IndexWriter(f"{root}/index")
-    writer.start(RangeIndex.build(v.where("vid < 300"), 4, 8, 50))
+    writer.start(RangeIndex.build(first, 4, 8, 50, shards=_shards(v)))
     stream = spark.readStream.schema(v.schema).option("maxFilesPerTrigger", 2).parquet(f"{root}/in")
     ingest(stream, writer, f"{root}/cp").awaitTermination()
     index = writer.current(spark)
-    q = settle(t.rank_ranges(v, v.where("vid % 60 = 0").select(F.col("vid").alias("qid"), F.col("vec").alias("qvec")), K))
-    return index.search(q, "pre").groupBy("qid").agg(F.count(F.lit(1)).alias("found")).join(q.select("qid", "y"), "qid").crossJoin(index.vectors().agg(F.count(F.lit(1)).alias("rows")))
+    q = settle(t.rank_ranges(v, v.where("vid % 100 = 0").select(F.col("vid").alias("qid"), F.col("vec").alias("qvec")), K))
+    found, truth = index.search(q, "pre"), range_knn_blocks(v, q)
+    right = found.join(truth.select("qid", "rnk", "vid"), ["qid", "rnk", "vid"]).groupBy("qid").agg(F.count(F.lit(1)).alias("right"))
+    counts = found.groupBy("qid").agg(F.count(F.lit(1)).alias("found")).join(q.select("qid", "y"), "qid").join(right, "qid", "left")
+    return counts.select("qid", "found", "y", F.coalesce("right", F.lit(0)).alias("right")).crossJoin(index.vectors().agg(F.count(F.lit(1)).alias("rows")))
 
 
 @query("join_asof", "SELECT q.o_orderkey AS okey, b.price FROM (SELECT o_orderkey, o_totalprice AS v FROM orders WHERE o_orderkey % 10 = 0) q ASOF LEFT JOIN (SELECT o_totalprice AS v, o_totalprice AS price FROM orders WHERE o_orderkey % 10 <> 0) b ON q.v >= b.v")

@@ -93,6 +93,20 @@ def test_query_sets_are_whole(spark, sf):
     assert {r["qid"] for r in found["exact_range_knn_lines"](spark, sf).collect()} == set(range(0, lines, 100))
 
 
+def test_growing_indexes_take_all_rows(spark, sf, monkeypatch):
+    """Streamed and appended rows are all there over several shards, answers are exact, and appending gives the edges of a build at once."""
+    monkeypatch.setattr(vector_queries, "SHARD_ROWS", 400)
+    found, n = vector_queries.QUERIES, tables.load(spark, sf, "events").count()
+    got = found["stream_ingest_final"](spark, sf).toPandas()
+    assert set(got.qid) == set(range(0, n, 100)) and (got.rows == n).all() and (got.right == got.found).all() and (got.found == np.minimum(10, got.y)).all()
+    grown = found["append_rounds"](spark, sf).toPandas().set_index("layer")
+    assert (grown.only_appended == 0).all() and (grown.only_at_once == 0).all() and grown.edges[0] > 10_000
+    seen = []
+    monkeypatch.setattr(vector_queries.planner, "adapt", lambda index, old, new, **how: seen.append((index.manifest.rows, new.count())) or index)
+    found["drift_recalibrated"](spark, sf)
+    assert seen == [(tables.emb_value(spark, sf).count(),) * 2] * 2
+
+
 def test_levels_shrink(spark):
     n = {r["level"]: r["count"] for r in spark.range(20000).select(level("id", 16).alias("level")).groupBy("level").count().collect()}
     assert 0.92 < n[0] / 20000 < 0.955
