@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import functools
 import heapq
+import json
 import threading
 import unicodedata
 import zlib
@@ -28,6 +29,17 @@ class WordTokenizer:
     #: How the vocabulary cuts words before merging; the last id of each cut, and no other, ends a word.
     CUT = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 
+    @classmethod
+    def reads(cls, kind: dict) -> bool:
+        """Whether a tokenizer file is of this kind: white space goes, letters become small, words are cut as above and their last ids marked."""
+        model, norm, cut = kind.get("model") or {}, kind.get("normalizer") or {}, kind.get("pre_tokenizer") or {}
+        steps, cuts = [n.get("type") for n in norm.get("normalizers", [])], cut.get("pretokenizers", [])
+        return (
+            model.get("type") == "BPE" and model.get("end_of_word_suffix") == "</w>" and not model.get("dropout") and steps == ["NFC", "Replace", "Lowercase"]
+            and len(cuts) == 2 and cuts[0].get("type") == "Split" and cuts[0].get("pattern") == {"Regex": cls.CUT} and cuts[0].get("behavior") == "Removed" and bool(cuts[0].get("invert"))
+            and cuts[1].get("type") == "ByteLevel" and not cuts[1].get("add_prefix_space") and not cuts[1].get("use_regex")
+        )
+
     def __init__(self, path: str):
         import regex
         from tokenizers import Tokenizer
@@ -116,9 +128,27 @@ class WordTokenizer:
         return self._joined(place).to_numpy(), starts
 
 
+class WholeTokenizer:
+    """Ids of whole texts by any vocabulary."""
+
+    def __init__(self, path: str):
+        from tokenizers import Tokenizer
+
+        self.inner = Tokenizer.from_file(path)
+
+    def wake(self) -> None: ...
+
+    def rest(self) -> None: ...
+
+    def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        found = [np.array(e.ids, np.uint32) for e in self.inner.encode_batch_fast(pc.fill_null(texts, "").to_pylist(), add_special_tokens=False)]
+        return np.concatenate([*found, np.zeros(0, np.uint32)]), np.concatenate([[0], np.cumsum([len(x) for x in found])]).astype(np.int64)
+
+
 @functools.cache
-def _tokenizer(path: str) -> WordTokenizer:
-    return WordTokenizer(path)
+def _tokenizer(path: str) -> WordTokenizer | WholeTokenizer:
+    with open(path, encoding="utf-8") as f:
+        return WordTokenizer(path) if WordTokenizer.reads(json.load(f)) else WholeTokenizer(path)
 
 
 def _pieces(path: str, end_id: int, window: int):
@@ -181,13 +211,18 @@ def differencing(sizes: list[int], k: int) -> list[list[int]]:
 
 
 def pack_group(sizes: list[int], window: int) -> list[list[int]]:
-    """As few windows as differencing fills without one above capacity: the count rises until none is."""
-    k = max(1, -(-sum(sizes) // window))
+    """As few windows as differencing fills without one above capacity.
+
+    No two pieces above half a window share one, which bounds the count from below. It rises by what the windows above capacity hold too much,
+    in windows, and by one at least, until none is above.
+    """
+    k = max(1, -(-sum(sizes) // window), sum(2 * s > window for s in sizes))
     while True:
         found = differencing(sizes, k)
-        if all(sum(sizes[i] for i in g) <= window for g in found):
+        over = sum(max(0, sum(sizes[i] for i in g) - window) for g in found)
+        if not over:
             return found
-        k += 1
+        k += max(1, over // window)
 
 
 def pack(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col: str = "text", window: int = 4096, end_id: int = 2, group_pieces: int = 1024) -> DataFrame:
@@ -195,8 +230,9 @@ def pack(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col:
 
     A document's ids, with ``end_id`` behind them, are cut into full windows and a rest. Pieces meet in hash groups of about
     ``group_pieces``; in a group full pieces are windows of their own and rests are packed by differencing. A null or empty text is one
-    piece that holds ``end_id``. A row that repeats an id is a document of its own. Sequence ids are unique, not gapless. Other columns are
-    ignored; an empty table gives an empty result.
+    piece that holds ``end_id``; whole texts are read, however long. A row that repeats an id is a document of its own, and one without an id
+    too. Sequence ids are unique, not gapless. Other columns are ignored; an empty table gives an empty result. Vocabularies that never look across
+    white space are read word by word, others text by text.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
     pieces = settle(rows.mapInArrow(_pieces(tokenizer_path, end_id, window), PIECES))
