@@ -166,7 +166,7 @@ def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "emb
     groups = read.where("key is not null").groupBy("key").agg(F.min("id").alias("rep"), F.count(F.lit(1)).alias("n"), F.min_by(F.struct("vec", "dim"), "id").alias("v"))
     groups = settle(groups.select("key", "rep", "n", "v.vec", "v.dim"))
     total = groups.count()
-    none = members.select("id", F.lit(0).cast("long").alias("n_links"), F.col("id").alias("component_id"))
+    none = members.where("key IS NULL").select("id", F.lit(0).cast("long").alias("n_links"), F.col("id").alias("component_id"))
     if total:
         block = min(max(total // 16, LEAST_BLOCK), MOST_BLOCK)
         chosen = groups.orderBy(F.xxhash64("key")).limit(max(1, min(most_pivots, -(-total // block)))).select("vec").toArrow()
@@ -182,5 +182,5 @@ def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "emb
         named = components(found.where("b is not null").select("a", "b")).withColumnRenamed("node", "rep")
         named = groups.select("key", "rep", "n").join(links, "rep", "left").join(named, "rep", "left")
         named = settle(named.select("key", "n", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("component", "rep").alias("component_id")))
-        none = join_hot(members, named, ["key"], "n").select("id", "n_links", "component_id").unionByName(none.join(members.where("key is null"), "id", "left_semi"))
-    return none.select(F.col("id").alias(id_col), "n_links", "component_id", (F.col("id") == F.col("component_id")).alias("kept"))
+        none = join_hot(members, named, ["key"], "n").select("id", "n_links", "component_id").unionByName(none)
+    return none.select(F.col("id").alias(id_col), "n_links", "component_id", F.col("id").eqNullSafe(F.col("component_id")).alias("kept"))
