@@ -83,8 +83,13 @@ class ShardStore:
         rows = rows.withColumn("n", F.count(F.lit(1)).over(run)).where(F.col("n") >= self.fan)
         return rows.select("path", F.concat_ws("-", "tier", "part").alias("run"))
 
+    def _keys(self, n: int) -> list[int]:
+        """``n`` numbers that a shuffle into ``n`` partitions sends to different ones."""
+        place = F.pmod(F.hash("id"), F.lit(n))
+        return [r["k"] for r in self.spark.range(64 * n).groupBy(place.alias("p")).agg(F.min("id").alias("k")).collect()]
+
     def compact_once(self) -> bool:
-        """Merge at most ``most_runs`` runs and commit; False if there is nothing to merge."""
+        """Merge at most ``most_runs`` runs, each a task of its own, and commit; False if there is nothing to merge."""
         base, plan = self.version(), self.plan().orderBy("run", "path").collect()
         chosen = sorted({r["run"] for r in plan})[: self.most_runs]
         moved = [(r["path"], r["run"]) for r in plan if r["run"] in set(chosen)]
@@ -93,10 +98,12 @@ class ShardStore:
         old = self.shards(base)
         folder = f"{self.root}/data/m-{uuid.uuid4().hex}"
         # One commit's runs are bounded, and with them this list.
-        runs = self.spark.createDataFrame(moved, "path string, run string")
+        keys = self._keys(len(chosen))
+        key = {run: keys[i % len(keys)] for i, run in enumerate(chosen)}
+        runs = self.spark.createDataFrame([(p, r, key[r]) for p, r in moved], "path string, run string, key long")
         df = self.spark.read.parquet(*[p for p, _ in moved])
         merged = df.select(F.struct(*df.columns).alias("row"), F.col("_metadata.file_path").alias("path")).join(F.broadcast(runs), "path")
-        merged.repartition(len(chosen), "run").select("row.*", F.col("run").alias("_run")).write.option("compression", "zstd").partitionBy("_run").parquet(folder)
+        merged.repartition(len(chosen), "key").select("row.*", F.col("run").alias("_run")).write.option("compression", "zstd").partitionBy("_run").parquet(folder)
         gone = {p for p, _ in moved}
         self.commit(base, [s for s in old if s["path"] not in gone] + self._written(folder))
         return True
@@ -122,7 +129,7 @@ class ShardStore:
         return self.spark.read.parquet(*paths) if paths else None
 
 
-def shard(docs: DataFrame, id_col: str = "doc_id", root: str | None = None, **how) -> DataFrame:
+def shard(docs: DataFrame, id_col: str = "doc_id", root: str | None = None, text_col: str = "text", **how) -> DataFrame:
     """Store all rows, with all their columns, compact them, and give one row per document: id, ``shard_id``, ``shard_rows``, ``shard_bytes``, ``tier``, ``n_bytes``, ``version``.
 
     ``shard_id`` is the shard's place in the manifest, ``n_bytes`` the length of the text read back (null: 0). Rows that repeat an id are stored as
@@ -132,7 +139,7 @@ def shard(docs: DataFrame, id_col: str = "doc_id", root: str | None = None, **ho
     if clash := {c.lower() for c in docs.columns} & {"_run", "_metadata"}:
         raise ValueError(f"columns {clash} clash with the store's")
     store = ShardStore(spark, root or f"{shared_folder(spark)}/shards-{uuid.uuid4().hex}", **how)
-    width = docs.agg(F.coalesce(F.avg(F.octet_length("text")), F.lit(0)).cast("long")).first()[0] + 32
+    width = docs.agg(F.coalesce(F.avg(F.octet_length(F.col(text_col))), F.lit(0)).cast("long")).first()[0] + 32
     store.append(docs, width // 2)
     store.compact()
     store.vacuum()
@@ -141,5 +148,5 @@ def shard(docs: DataFrame, id_col: str = "doc_id", root: str | None = None, **ho
     if df is None:
         return docs.select(F.col(id_col).cast("long").alias(id_col), *[F.lit(0).cast("long").alias(c) for c in ("shard_id", "shard_rows", "shard_bytes")], F.lit(0).alias("tier"), F.lit(0).cast("long").alias("n_bytes"), F.lit(0).alias("version")).limit(0)
     shards = spark.createDataFrame(listed, "shard_id long, path string, shard_rows long, shard_bytes long, tier int, version int")
-    rows = df.select(F.col(id_col).cast("long").alias(id_col), F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"), F.col("_metadata.file_path").alias("path"))
+    rows = df.select(F.col(id_col).cast("long").alias(id_col), F.coalesce(F.octet_length(F.col(text_col)), F.lit(0)).cast("long").alias("n_bytes"), F.col("_metadata.file_path").alias("path"))
     return rows.join(shards, "path").select(id_col, "shard_id", "shard_rows", "shard_bytes", "tier", "n_bytes", "version")
