@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 import numpy as np
 
-from .kernel import Counters, Edge, Graph, Params
+from .kernel import DIST, Graph, Params, estimated, histogram
+
+Found = list[tuple[float, int]]
 
 
 @dataclass
@@ -33,8 +35,8 @@ class Shard:
         return np.argsort(self.vid, kind="stable")
 
 
-def _graph(s: Shard, params: Params, segments: np.ndarray | None = None, cls: type[Graph] = Graph, order: np.ndarray | None = None, **more) -> Graph:
-    order = s.by_id() if order is None else order
+def _graph(s: Shard, params: Params, segments: np.ndarray | None = None, cls: type[Graph] = Graph, **more) -> Graph:
+    order = s.by_id()
     seg = np.zeros(len(s.vid), np.int64) if segments is None else segments
     g = cls(s.x[order], s.attr[order], s.vid[order], seg[order], s.level[order], int(seg.max()) + 1 if len(seg) else 1, params, **more)
     for v in range(len(g.vid)):
@@ -43,12 +45,12 @@ def _graph(s: Shard, params: Params, segments: np.ndarray | None = None, cls: ty
 
 
 class Method:
-    """``search`` gives (distance, id) of at most k objects in range, nearest first; ``spent`` counts distances since the last search began."""
+    """``many`` gives for each query the (distance, id) of at most k objects in range, nearest first; ``spent`` holds the distances that each of them took."""
 
     name = ""
 
     def __init__(self, s: Shard, params: Params, **how):
-        self.s, self.params, self.how, self.spent, self.build_dist = s, params, how, 0, 0
+        self.s, self.params, self.how, self.spent, self.build_dist = s, params, how, np.zeros(0), 0
         self.prepare()
 
     def prepare(self) -> None: ...
@@ -57,29 +59,36 @@ class Method:
         """Bytes beside the vectors, with 32-bit edges."""
         return 0
 
-    def _scan(self, q: np.ndarray, ids: np.ndarray, k: int) -> list[tuple[float, int]]:
-        self.spent += len(ids)
+    def _scan(self, q: np.ndarray, ids: np.ndarray, k: int) -> Found:
         d = np.sqrt(((self.s.x[ids] - q) ** 2).sum(axis=1))
         best = np.lexsort([self.s.vid[ids], d])[:k]
         return [(float(d[i]), int(self.s.vid[ids[i]])) for i in best]
 
-    def search(self, q: np.ndarray, lo: float, hi: float, k: int, ef: int = 100, m: int = 16) -> list[tuple[float, int]]:
+    def one(self, q: np.ndarray, lo: float, hi: float, k: int, ef: int, m: int) -> tuple[Found, float]:
+        """Results of one query and the distances that it took, for methods that don't search side by side."""
         raise NotImplementedError
 
+    def many(self, q: np.ndarray, lo: np.ndarray, hi: np.ndarray, k: int, ef: int = 100, m: int = 16) -> list[Found]:
+        got = [self.one(*a, k, ef, m) for a in zip(q, lo, hi, strict=True)]
+        self.spent = np.array([n for _, n in got])
+        return [f for f, _ in got]
+
+    def search(self, q: np.ndarray, lo: float, hi: float, k: int, ef: int = 100, m: int = 16) -> Found:
+        return self.many(np.asarray(q)[None], np.array([lo], np.float64), np.array([hi], np.float64), k, ef, m)[0]
+
 
 class OrderedScan(Method):
     """An ordered attribute index, then distances to all objects of the range."""
 
     name = "btree_pre"
 
-    def search(self, q, lo, hi, k, ef=100, m=16):
-        self.spent = 0
+    def one(self, q, lo, hi, k, ef, m):
         a, b = self.s.range(lo, hi)
-        return self._scan(q, np.arange(a, b), k)
+        return self._scan(q, np.arange(a, b), k), b - a
 
 
 class Segmented(Method):
-    """The index itself; ``strategy`` pre, post, hybrid or auto."""
+    """The index itself; ``strategy`` pre, post, hybrid or auto, which goes by the estimated share of a range."""
 
     name = "index"
 
@@ -87,25 +96,31 @@ class Segmented(Method):
         n, s = len(self.s.vid), self.how.get("segments", 8)
         starts = sorted({-(-j * n // s) for j in range(1, s)} - {0, n})
         self.cuts = sorted({float(self.s.attr[i]) for i in starts} - {float(self.s.attr[0])}) if n else []
-        seg = np.searchsorted(self.cuts, self.s.attr, "right")
-        self.g = _graph(self.s, self.params, seg)
-        self.build_dist = self.g.count.dist
+        self.g = _graph(self.s, self.params, np.searchsorted(self.cuts, self.s.attr, "right"))
+        self.hist, self.build_dist = histogram(self.s.attr), self.g.dist
 
     def size(self):
-        e = sum(len(c) for adj in self.g.adj for chunks in adj.values() for c in chunks)
-        return int(e * (4 + 1 / 8) + 4 * sum(map(len, self.g.adj)))
-
-    def search(self, q, lo, hi, k, ef=100, m=16):
-        g, how = self.g, self.how.get("strategy", "auto")
-        g.count = Counters()
-        a, b = self.s.range(lo, hi)
-        share = (b - a) / max(1, len(self.s.vid))
-        if how == "auto":
-            how = "pre" if share <= self.how.get("tau_a", 0.01) else "post" if share >= self.how.get("tau_b", 0.5) else "hybrid"
-        segs = list(range(int(np.searchsorted(self.cuts, lo, "right")), int(np.searchsorted(self.cuts, hi, "right")) + 1))
-        found: list[Edge] = g.pre(q, lo, hi, k) if how == "pre" else g.post(q, lo, hi, k, ef) if how == "post" else g.hybrid(q, lo, hi, k, ef, segs, m, self.how.get("pick", "chunk"))
-        self.spent = g.count.dist
-        return [(d, int(g.vid[v])) for d, v in found]
+        return self.g.bytes()
+
+    def many(self, q, lo, hi, k, ef=100, m=16):
+        g, out = self.g, [[] for _ in q]
+        share = estimated(self.hist, lo, hi) / max(1, g.size)
+        given = self.how.get("strategy", "auto")
+        how = np.where(share <= self.how.get("tau_a", 0.01), "pre", np.where(share >= self.how.get("tau_b", 0.5), "post", "hybrid")) if given == "auto" else np.full(len(q), given)
+        hit = (np.arange(g.segments) >= np.searchsorted(self.cuts, lo, "right")[:, None]) & (np.arange(g.segments) <= np.searchsorted(self.cuts, hi, "right")[:, None])
+        self.spent = np.zeros(len(q))
+        for name in np.unique(how):
+            at = np.flatnonzero(how == name)
+            if name == "pre":
+                found = g.pre_many(q[at], lo[at], hi[at], k)
+            elif name == "post":
+                found = g.post_many(q[at], lo[at], hi[at], k, ef)
+            else:
+                found = g.hybrid_many(q[at], lo[at], hi[at], k, ef, hit[at], m, self.how.get("pick", "chunk"))
+            self.spent[at] = g.spent[:, DIST]
+            for i, f in zip(at, found, strict=True):
+                out[i] = [(d, int(g.vid[v])) for d, v in f]
+        return out
 
 
 class Layered(Method):
@@ -115,18 +130,31 @@ class Layered(Method):
 
     def prepare(self):
         self.g = _graph(self.s, self.params)
-        self.build_dist = self.g.count.dist
+        self.build_dist = self.g.dist
 
     def size(self):
-        return 4 * sum(len(c) for adj in self.g.adj for chunks in adj.values() for c in chunks)
+        return 4 * self.g.edge_count()
 
-    def search(self, q, lo, hi, k, ef=100, m=16):
+    def _layered(self, q, ef) -> tuple[np.ndarray, np.ndarray]:
+        g = self.g
+        d, found = [np.zeros((0, ef))], [np.zeros((0, ef), np.int64)]
+        self.spent = np.zeros(len(q))
+        for at in g.blocks(len(q)):
+            g.spent = np.zeros((len(at), 5), np.int64)
+            one, two = g.layered(q[at], np.full(len(at), g.entry[0]), ef, lambda layer, n=len(at): g.chunks(layer, np.zeros(n, np.int64)))
+            self.spent[at] = g.spent[:, DIST]
+            d.append(one)
+            found.append(two)
+        return np.concatenate(d), np.concatenate(found)
+
+    def many(self, q, lo, hi, k, ef=100, m=16):
         g = self.g
-        g.count = Counters()
-        ep = g.starts([0])
-        found = g.layered(q, ep, ef, lambda layer: g.chunk(layer, 0)) if ep is not None else []
-        self.spent = g.count.dist
-        return [(d, int(g.vid[v])) for d, v in found if lo <= g.attr[v] <= hi][:k]
+        if g.entry[0] < 0:
+            self.spent = np.zeros(len(q))
+            return [[] for _ in q]
+        d, found = self._layered(q, ef)
+        ok = (found >= 0) & (g.attr[found] >= lo[:, None]) & (g.attr[found] <= hi[:, None])
+        return [[(float(x), int(g.vid[v])) for x, v in zip(d[i][ok[i]][:k], found[i][ok[i]][:k], strict=True)] for i in range(len(q))]
 
 
 class VectorStore(Layered):
@@ -134,12 +162,12 @@ class VectorStore(Layered):
 
     name = "vecdb_postfilter"
 
-    def search(self, q, lo, hi, k, ef=100, m=16):
-        return super().search(q, lo, hi, k, ef * self.how.get("widen", 2), m)
+    def many(self, q, lo, hi, k, ef=100, m=16):
+        return super().many(q, lo, hi, k, ef * self.how.get("widen", 2), m)
 
 
 class FlatGraph(Method):
-    """Nearest-neighbour graph made mutual and pruned, searched from fixed starts, filter afterwards."""
+    """Nearest-neighbour graph made mutual and pruned, searched from the nearest of some fixed starts, filter afterwards."""
 
     name = "graph_postfilter"
 
@@ -153,33 +181,58 @@ class FlatGraph(Method):
             for o in np.argsort(d, kind="stable")[:k]:
                 if np.isfinite(d[o]):
                     links[v][int(o)] = links[int(o)][v] = float(d[o])
-        self.build_dist = n * n
-        self.adj = [[o for _, o in self.g.prune([(d, o) for o, d in c.items()], k)] for c in links]
-        self.heads = list(range(0, n, max(1, n // 8)))[:8]
+        self.build_dist, self.adj = n * n, np.full((n, k), -1, np.int64)
+        for v, own in enumerate(links):
+            near = sorted((d, o) for o, d in own.items())
+            if near:
+                ids = np.array([o for _, o in near])
+                kept = ids[self.g.prune(np.array([[d for d, _ in near]]), ids[None], k)[0]]
+                self.adj[v, : len(kept)] = kept
+        self.heads = np.arange(0, n, max(1, n // 8))[:8]
 
     def size(self):
-        return 4 * sum(map(len, self.adj))
-
-    def search(self, q, lo, hi, k, ef=100, m=16):
-        self.g.count = Counters()
-        found = self.g.beam(0, q, self.g.near(q, self.heads), ef, lambda o: self.adj[o]) if self.heads else []
-        self.spent = self.g.count.dist
-        return [(d, int(self.s.vid[v])) for d, v in found if lo <= self.s.attr[v] <= hi][:k]
+        return 4 * int((self.adj >= 0).sum())
+
+    def many(self, q, lo, hi, k, ef=100, m=16):
+        self.spent, out = np.zeros(len(q)), []
+        if not len(self.heads):
+            return [[] for _ in q]
+        for at in self.g.blocks(len(q)):
+            d = np.sqrt(((self.s.x[self.heads][None] - q[at][:, None]) ** 2).sum(axis=2))
+            near = d.argmin(axis=1)
+            self.g.spent = np.zeros((len(at), 5), np.int64)
+            d, found = self.g.spread(q[at], self.heads[near], d.min(axis=1), ef, lambda rows, nodes: self.adj[nodes])
+            self.spent[at] = self.g.spent[:, DIST] + len(self.heads)
+            ok = (found >= 0) & (self.s.attr[found] >= lo[at][:, None]) & (self.s.attr[found] <= hi[at][:, None])
+            out += [[(float(x), int(self.s.vid[v])) for x, v in zip(d[i][ok[i]][:k], found[i][ok[i]][:k], strict=True)] for i in range(len(at))]
+        return out
 
 
-@dataclass
 class _Fused(Graph):
-    """The last coordinate is the attribute over its spread; gaps count beyond ``slack``."""
+    """The last coordinate is the attribute over its spread; gaps count beyond each query's ``slack``."""
 
-    weight: float = 1.0
-    slack: float = 0.0
+    def __init__(self, *a, weight: float = 1.0):
+        super().__init__(*a)
+        self.weight, self.slack = weight, None
 
-    def lengths(self, d):
-        v = d[:, :-1]
-        return np.sqrt(np.einsum("ij,ij->i", v, v)) + self.weight * np.maximum(np.abs(d[:, -1]) - self.slack, 0)
+    def lengths(self, d, rows=None):
+        v, gap = d[..., :-1], np.abs(d[..., -1])
+        if self.slack is not None and rows is not None:
+            gap = np.maximum(gap - self.slack[rows], 0)
+        return np.sqrt(np.einsum("...j,...j->...", v, v)) + self.weight * gap
 
+    def closer(self, ids, own):
+        x = self.x[ids]
+        v, a = x[..., :-1], x[..., -1]
+        square = np.einsum("...j,...j->...", v, v)
+        d2 = square[:, :, None] + square[:, None, :] - 2 * np.matmul(v, np.swapaxes(v, 1, 2))
+        return np.sqrt(np.maximum(d2, 0)) + self.weight * np.abs(a[:, :, None] - a[:, None, :]) < own[:, None, :] - 1e-12
 
-class FusedDistance(Method):
+    def beside(self, x, square, own, at):
+        return self.lengths(x - x[np.arange(len(x)), at][:, None]) < own - 1e-12
+
+
+class FusedDistance(Layered):
     """One graph over vector distance plus weighted attribute gap; a range asks for its middle, gaps inside it are free."""
 
     name = "fused_distance_graph"
@@ -189,72 +242,115 @@ class FusedDistance(Method):
         self.spread = float(a.max() - a.min()) or 1.0 if len(a) else 1.0
         wide = Shard(self.s.vid, np.hstack([self.s.x, a[:, None] / self.spread]), a, self.s.level)
         self.g = _graph(wide, self.params, cls=_Fused, weight=self.how.get("weight", 1.0))
-        self.build_dist = self.g.count.dist
-
-    def size(self):
-        return 4 * sum(len(c) for adj in self.g.adj for chunks in adj.values() for c in chunks)
-
-    def search(self, q, lo, hi, k, ef=100, m=16):
-        g = self.g
-        lo2, hi2 = max(lo, float(self.s.attr[0])), min(hi, float(self.s.attr[-1]))
-        g.count, g.slack = Counters(), max(0.0, (hi2 - lo2) / 2 / self.spread)
-        ep = g.starts([0])
-        found = g.layered(np.append(q, (lo2 + hi2) / 2 / self.spread), ep, ef, lambda layer: g.chunk(layer, 0)) if ep is not None else []
-        g.slack, self.spent = 0.0, g.count.dist
-        ids = [v for _, v in found if lo <= g.attr[v] <= hi]
-        d = np.sqrt(((g.x[ids][:, :-1] - q) ** 2).sum(axis=1)) if ids else []
-        return sorted((float(x), int(g.vid[v])) for x, v in zip(d, ids, strict=True))[:k]
-
-
-@dataclass
-class _Timed(Graph):
-    """Inserted in attribute order; edges keep the span of insertions during which they exist."""
-
-    born: list[dict[int, list[list]]] = field(default_factory=list)
-
-    def link(self, layer, v, j, cands):
-        while len(self.born) <= layer:
-            self.born.append({})
-        before = {o: {x for _, x in self.adj[layer][o][0]} for _, o in cands}
-        super().link(layer, v, j, cands)
-        log = self.born[layer]
-        for o in {v, *before}:
-            now, old = {x for _, x in self.adj[layer][o][0]}, before.get(o, set())
-            for x in now - old:
-                log.setdefault(o, []).append([x, v, np.inf])
-            for x in old - now:
-                next(e for e in log[o] if e[0] == x and e[2] == np.inf)[2] = v
+        self.build_dist = self.g.dist
+
+    def many(self, q, lo, hi, k, ef=100, m=16):
+        g, out, spent = self.g, [], np.zeros(len(q))
+        if g.entry[0] < 0:
+            self.spent = spent
+            return [[] for _ in q]
+        low, high = np.maximum(lo, self.s.attr[0]), np.minimum(hi, self.s.attr[-1])
+        wide = np.hstack([q, ((low + high) / 2 / self.spread)[:, None]])
+        for at in g.blocks(len(q)):
+            g.slack = np.maximum(0.0, (high[at] - low[at]) / 2 / self.spread)
+            _, found = self._layered(wide[at], ef)
+            spent[at] = self.spent
+            for i, ids in zip(at, found, strict=True):
+                ids = ids[ids >= 0]
+                ids = ids[(g.attr[ids] >= lo[i]) & (g.attr[ids] <= hi[i])]
+                d = np.sqrt(((g.x[ids][:, :-1] - q[i]) ** 2).sum(axis=1))
+                out.append(sorted((float(x), int(g.vid[v])) for x, v in zip(d, ids, strict=True))[:k])
+        g.slack, self.spent = None, spent
+        return out
 
 
 class IntervalEdges(Method):
-    """Many graphs in one: that of every prefix of the attribute order can be read from the edges' spans. A range uses the graph of the prefix up to its end and
-    keeps to objects from its start on. An object that arrives out of order asks for a new build."""
+    """Many graphs in one: that of every range of the attribute order can be read from the edges' intervals.
+
+    Objects arrive in attribute order. A new one looks for neighbours among all objects from a lower bound on, the bound being the first object at first;
+    the edges it keeps hold for lower bounds from there up to their ends, and the bound then leaps beyond the last of them, so that it keeps
+    edges for every lower bound. Edges back are born with the new object, and one that a later object's edge crowds out dies with that object's arrival: that is the
+    interval of upper bounds. A range reads the edges whose two intervals hold its ends. An object that arrives out of order asks for a new build.
+    """
 
     name = "interval_edge_graph"
 
     def prepare(self):
-        self.g = _graph(self.s, self.params, cls=_Timed, order=np.arange(len(self.s.vid)))
-        self.build_dist = self.g.count.dist
+        n, m = len(self.s.vid), self.params.m
+        self.g = Graph(self.s.x, self.s.attr, self.s.vid, np.zeros(n, np.int64), np.zeros(n, np.int64), 1, self.params)
+        # Target, first and last lower bound, birth and death of each edge, and its length.
+        self.to, self.low, self.high = np.full((n, 4 * m), -1, np.int64), np.zeros((n, 4 * m), np.int64), np.zeros((n, 4 * m), np.int64)
+        self.born, self.died, self.far, self.count = np.zeros((n, 4 * m), np.int64), np.zeros((n, 4 * m), np.int64), np.zeros((n, 4 * m)), np.zeros(n, np.int64)
+        total = 0
+        for v in range(1, n):
+            at = 0
+            while at < v:
+                start = np.array([at + (v - at) // 2])
+                self.g.spent = np.zeros((1, 5), np.int64)
+                d, found = self.g.spread(self.s.x[v][None], start, self.g.lengths(self.s.x[start] - self.s.x[v]), self.params.ef_cons, self._alive(np.array([at]), np.array([v])), wave=self.params.waves(self.params.ef_cons))
+                keep = self.g.prune(d, found, m)
+                ends = found[keep]
+                for o, far in zip(ends.tolist(), d[keep].tolist(), strict=True):
+                    self._add(v, o, at, o, v, far)
+                    self._add(o, v, at, o, v, far)
+                    self._crowd(o, v)
+                total += self.g.dist + 1
+                at = int(ends.max()) + 1
+        self.build_dist = total
+
+    def _add(self, a: int, b: int, low: int, high: int, born: int, far: float) -> None:
+        i = self.count[a]
+        if i == self.to.shape[1]:
+            for name in ("to", "low", "high", "born", "died", "far"):
+                old = getattr(self, name)
+                setattr(self, name, np.concatenate([old, np.full_like(old, -1)], axis=1))
+        self.to[a, i], self.low[a, i], self.high[a, i], self.born[a, i], self.died[a, i], self.far[a, i] = b, low, high, born, np.iinfo(np.int64).max, far
+        self.count[a] += 1
+
+    def _crowd(self, o: int, v: int) -> None:
+        """Of the living edges to later objects, m stay."""
+        n = self.count[o]
+        late = np.flatnonzero((self.to[o, :n] > o) & (self.died[o, :n] > v))
+        # One target may have edges for several lower bounds.
+        order = late[np.argsort(self.far[o, late], kind="stable")]
+        _, first = np.unique(self.to[o, order], return_index=True)
+        own = order[np.sort(first)]
+        if len(own) > self.params.m:
+            keep = self.g.prune(self.far[o, own][None], self.to[o, own][None], self.params.m)[0]
+            gone = np.isin(self.to[o, late], self.to[o, own[~keep]])
+            self.died[o, late[gone]] = v
+
+    def _alive(self, low: np.ndarray, high: np.ndarray):
+        """Neighbours in the graph of objects ``low`` to ``high`` - 1 of each row."""
+
+        def look(rows, nodes):
+            a, b = low[rows][:, None], high[rows][:, None]
+            ok = (self.to[nodes] >= a) & (self.to[nodes] < b) & (self.low[nodes] <= a) & (a <= self.high[nodes]) & (self.born[nodes] < b) & (b <= self.died[nodes])
+            return np.where(ok, self.to[nodes], -1)
+
+        return look
+
+    def edges(self, low: int, high: int) -> set[tuple[int, int]]:
+        nodes = np.arange(low, high)
+        near = self._alive(np.full(len(nodes), low), np.full(len(nodes), high))(np.arange(len(nodes)), nodes)
+        r, c = np.nonzero(near >= 0)
+        return set(zip(nodes[r].tolist(), near[r, c].tolist(), strict=True))
 
     def size(self):
-        return 12 * sum(len(e) for log in self.g.born for e in log.values())
-
-    def search(self, q, lo, hi, k, ef=100, m=16):
-        g = self.g
-        g.count = Counters()
-        a, b = self.s.range(lo, hi)
-        self.spent = 0
-        if a >= b:
-            return []
-        top = int(np.argmax(g.level[a:b])) + a
-
-        def alive(layer: int):
-            log = g.born[layer] if layer < len(g.born) else {}
-            return lambda o: [x for x, t, end in log.get(o, ()) if t < b <= end and x < b]
-
-        found = g.layered(q, top, ef, alive, lambda v: a <= v < b)
-        self.spent = g.count.dist
-        return [(d, int(g.vid[v])) for d, v in found][:k]
+        return 20 * int(self.count.sum())
+
+    def many(self, q, lo, hi, k, ef=100, m=16):
+        a, b = np.searchsorted(self.s.attr, lo, "left"), np.searchsorted(self.s.attr, hi, "right")
+        self.spent, out, some = np.zeros(len(q)), [[] for _ in q], np.flatnonzero(a < b)
+        for part in self.g.blocks(len(some)):
+            at = some[part]
+            start = (a[at] + b[at]) // 2
+            self.g.spent = np.zeros((len(at), 5), np.int64)
+            d, found = self.g.spread(q[at], start, self.g.lengths(self.s.x[start] - q[at]), ef, self._alive(a[at], b[at]))
+            self.spent[at] = self.g.spent[:, DIST] + 1
+            for i, x, v in zip(at, d, found, strict=True):
+                out[i] = [(float(y), int(self.s.vid[w])) for y, w in zip(x[:k], v[:k], strict=True) if w >= 0]
+        return out
 
 
 class ManyGraphs(Method):
@@ -271,14 +367,17 @@ class ManyGraphs(Method):
     def size(self):
         return sum(p.size() for _, _, p in self.parts)
 
-    def search(self, q, lo, hi, k, ef=100, m=16):
-        a, b = self.s.range(lo, hi)
-        self.spent, found = 0, []
+    def many(self, q, lo, hi, k, ef=100, m=16):
+        a, b = np.searchsorted(self.s.attr, lo, "left"), np.searchsorted(self.s.attr, hi, "right")
+        spent, out = np.zeros(len(q)), [[] for _ in q]
         for x, y, p in self.parts:
-            if x < b and a < y:
-                found += p.search(q, lo, hi, k, ef, m)
-                self.spent += p.spent
-        return sorted(found)[:k]
+            at = np.flatnonzero((x < b) & (a < y))
+            if len(at):
+                for i, f, n in zip(at, p.many(q[at], lo[at], hi[at], k, ef, m), p.spent, strict=True):
+                    out[i] += f
+                    spent[i] += n
+        self.spent = spent
+        return [sorted(f)[:k] for f in out]
 
 
 class BuiltPerQuery(Method):
@@ -286,15 +385,12 @@ class BuiltPerQuery(Method):
 
     name = "optimal_hnsw"
 
-    def search(self, q, lo, hi, k, ef=100, m=16):
+    def one(self, q, lo, hi, k, ef, m):
         a, b = self.s.range(lo, hi)
         if a >= b:
-            self.spent = 0
-            return []
+            return [], 0
         own = Layered(self.s.take(np.arange(a, b)), self.params)
-        out = own.search(q, lo, hi, k, ef, m)
-        self.spent = own.spent
-        return out
+        return own.search(q, lo, hi, k, ef, m), own.spent[0]
 
 
 class Dedicated(Method):
@@ -309,28 +405,44 @@ class Dedicated(Method):
     def size(self):
         return sum(p.size() for p in self.parts)
 
-    def search(self, q, lo, hi, k, ef=100, m=16):
-        a, b = self.s.range(lo, hi)
-        share = (b - a) / max(1, len(self.s.vid))
-        p = self.parts[0 if share <= self.how.get("tau_a", 0.01) else 2 if share >= self.how.get("tau_b", 0.5) else 1]
-        out = p.search(q, lo, hi, k, ef, m)
-        self.spent = p.spent
+    def many(self, q, lo, hi, k, ef=100, m=16):
+        share = (np.searchsorted(self.s.attr, hi, "right") - np.searchsorted(self.s.attr, lo, "left")) / max(1, len(self.s.vid))
+        which = np.where(share <= self.how.get("tau_a", 0.01), 0, np.where(share >= self.how.get("tau_b", 0.5), 2, 1))
+        spent, out = np.zeros(len(q)), [[] for _ in q]
+        for i, p in enumerate(self.parts):
+            at = np.flatnonzero(which == i)
+            if len(at):
+                for j, f, n in zip(at, p.many(q[at], lo[at], hi[at], k, ef, m), p.spent, strict=True):
+                    out[j], spent[j] = f, n
+        self.spent = spent
         return out
 
 
 class Degraded(Segmented):
-    """The index with a share of its edges dropped by a hash, to lower its inclusiveness."""
+    """The index with a share of its edges dropped by a hash. With ``inclusiveness`` the share is chosen so that, measured over runs of half of the segments, about so many percent
+    of the edges of these runs' own graphs remain; ``measured`` is what does."""
 
     name = "degraded_index"
 
     def prepare(self):
         super().prepare()
-        keep = self.how.get("keep", 0.5)
-        for adj, mask in zip(self.g.adj, self.g.mask, strict=True):
-            for v, chunks in adj.items():
-                for j, c in enumerate(chunks):
-                    chunks[j] = [(d, o) for d, o in c if (v * 2654435761 + o * 40503 + 12345) % 1000003 / 1000003 < keep]
-                mask[v] &= {o for c in chunks for _, o in c}
+        keep, aim = self.how.get("keep", 0.5), self.how.get("inclusiveness")
+        if aim is not None:
+            keep = min(1.0, aim / max(1e-9, self.inclusiveness()))
+        for g in self.g.layers:
+            v, o = g.node[:, None, None].astype(np.int64), g.ids.astype(np.int64)
+            gone = (v * 2654435761 + o * 40503 + 12345) % 1000003 / 1000003 >= keep
+            order = np.argsort(gone | (g.ids < 0), axis=2, kind="stable")
+            for name, empty in (("ids", -1), ("dist", np.inf), ("mask", False)):
+                setattr(g, name, np.take_along_axis(np.where(gone, empty, getattr(g, name)), order, axis=2))
+        self.measured = self.inclusiveness() if aim is not None else None
+
+    def inclusiveness(self) -> float:
+        """Percent of the edges of graphs built for some runs of segments alone that this one has."""
+        seg, s = np.searchsorted(self.cuts, self.s.attr, "right"), self.g.segments
+        half = max(1, s // 2)
+        got = [common_edges(self.g, self.s, np.flatnonzero((seg >= a) & (seg < a + half)), self.params) for a in sorted({0, (s - half) // 2, s - half})]
+        return 100.0 * sum(a for a, _ in got) / max(1, sum(n for _, n in got))
 
 
 # Product quantisation.
@@ -388,34 +500,33 @@ class Coded(Method):
                     lo, hi = self.s.attr[max(0, i - n // 8)], self.s.attr[min(n - 1, i + n // 8)]
                     a, b = self.s.range(lo, hi)
                     best = {v for _, v in self._scan(self.s.x[i], np.arange(a, b), 10)}
-                    hits += len(best & {v for _, v in self._run(plan, self.s.x[i], a, b, 10)})
+                    hits += len(best & {v for _, v in self._run(plan, self.s.x[i], a, b, 10)[0]})
                     total += len(best)
                 self.good[plan] = hits / max(1, total)
 
     def size(self):
         return self.codes.nbytes + sum(b.nbytes for b in self.book.books)
 
-    def _run(self, plan, q, a, b, k):
+    def _run(self, plan, q, a, b, k) -> tuple[Found, float]:
         n, width = len(self.s.vid), self.how.get("rerank", 4) * k
         if plan == "exact":
-            return self._scan(q, np.arange(a, b), k)
+            return self._scan(q, np.arange(a, b), k), b - a
         ids = np.arange(a, b) if plan == "pre" else np.arange(n)
         if plan == "post":
             width = int(np.ceil(width * n / max(1, b - a)))
         d = self.book.distances(q, self.codes[ids])
-        self.spent += len(ids) * len(self.book.cuts) / max(1, self.s.x.shape[1])
         near = ids[np.argsort(d, kind="stable")[:width]]
-        return self._scan(q, near[(near >= a) & (near < b)], k)
+        near = near[(near >= a) & (near < b)]
+        return self._scan(q, near, k), len(near) + len(ids) * len(self.book.cuts) / max(1, self.s.x.shape[1])
 
     def cost(self, plan, y):
         n, d, p, r = len(self.s.vid), self.s.x.shape[1], len(self.book.cuts), self.how.get("rerank", 4) * 10
         return {"exact": y * d, "pre": y * p + r * d, "post": n * p + r * d * n / max(1, y)}[plan]
 
-    def search(self, q, lo, hi, k, ef=100, m=16):
-        self.spent = 0
+    def one(self, q, lo, hi, k, ef, m):
         a, b = self.s.range(lo, hi)
         if a >= b:
-            return []
+            return [], 0
         plan = self.how.get("plan", "cost")
         if plan == "cost":
             fit = [p for p, r in self.good.items() if r >= self.how.get("target", 0.9)]
@@ -453,14 +564,15 @@ class PartitionedCodes(Method):
     def size(self):
         return sum(p.size() for _, _, p in self.parts)
 
-    def search(self, q, lo, hi, k, ef=100, m=16):
+    def one(self, q, lo, hi, k, ef, m):
         a, b = self.s.range(lo, hi)
-        self.spent, found = 0, []
+        spent, found = 0, []
         for x, y, p in self.parts:
             if x < b and a < y:
-                found += p.search(q, lo, hi, k, ef, m)
-                self.spent += p.spent
-        return sorted(found)[:k]
+                got, n = p.one(q, lo, hi, k, ef, m)
+                found += got
+                spent += n
+        return sorted(found)[:k], spent
 
 
 class CellCodes(Coded):
@@ -474,14 +586,15 @@ class CellCodes(Coded):
         self.cells = kmeans(self.s.x, self.how.get("cells", max(1, int(len(self.s.vid) ** 0.5))))
         self.cell = ((self.s.x**2).sum(axis=1)[:, None] - 2 * self.s.x @ self.cells.T + (self.cells**2).sum(axis=1)).argmin(axis=1)
 
-    def search(self, q, lo, hi, k, ef=100, m=16):
+    def one(self, q, lo, hi, k, ef, m):
         a, b = self.s.range(lo, hi)
         near = np.argsort(((self.cells - q) ** 2).sum(axis=1), kind="stable")[: self.how.get("probes", 8)]
         ids = np.flatnonzero(np.isin(self.cell, near))
-        self.spent = len(self.cells) + len(ids) * len(self.book.cuts) / max(1, self.s.x.shape[1])
+        spent = len(self.cells) + len(ids) * len(self.book.cuts) / max(1, self.s.x.shape[1])
         d = self.book.distances(q, self.codes[ids])
         ids = ids[np.argsort(d, kind="stable")[:ef]]
-        return self._scan(q, ids[(ids >= a) & (ids < b)], k)
+        ids = ids[(ids >= a) & (ids < b)]
+        return self._scan(q, ids, k), spent + len(ids)
 
 
 METHODS: dict[str, type[Method]] = {c.name: c for c in (Segmented, OrderedScan, Layered, VectorStore, FlatGraph, FusedDistance, IntervalEdges, ManyGraphs, BuiltPerQuery, Dedicated, Degraded, Coded, CodedPre, CodedScan, PartitionedCodes, CellCodes)}
@@ -493,7 +606,3 @@ def common_edges(g: Graph, s: Shard, ids: np.ndarray, params: Params, layer: int
     mine = {(int(own.vid[a]), int(own.vid[b])) for a, b in own.edges(layer)}
     have = {(int(g.vid[a]), int(g.vid[b])) for a, b in g.edges(layer)}
     return len(mine & have), len(mine)
-
-
-
-

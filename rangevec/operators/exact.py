@@ -2,14 +2,22 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..functions.columns import METRICS, in_range
 
-#: A query batch of up to so many rows is broadcast; a larger one is joined by segment.
-MOST_BROADCAST = 20_000
+#: A query batch whose vectors take up to so many bytes is broadcast; a larger one is joined by segment, or taken in blocks.
+MOST_BYTES = 32 << 20
+
+
+def batch_blocks(queries: DataFrame) -> int:
+    """In how many blocks a query batch (qvec) may be broadcast, by its rows and the length of its vectors."""
+    seen = queries.agg(F.count(F.lit(1)).alias("n"), F.max(F.size("qvec")).alias("d")).first()
+    return max(1, -(-seen["n"] * (8 * (seen["d"] or 0) + 64) // MOST_BYTES))
 
 
 def top(df: DataFrame, by: list[str], k: Column, order: list[str] = ("dist", "vid")) -> DataFrame:
@@ -21,15 +29,17 @@ def top(df: DataFrame, by: list[str], k: Column, order: list[str] = ("dist", "vi
 def range_knn(base: DataFrame, queries: DataFrame, k: int | None = None, metric: str = "l2", segments: DataFrame | None = None) -> DataFrame:
     """(qid, rnk, vid, dist): for each query the k objects of its closed range nearest to it, by distance and then id; all objects if fewer.
 
-    A null bound is open, an object without attribute is in no range, an empty range gives no row. Small query batches are broadcast, and the
-    range is tested before any distance. Larger ones need ``segments``: both sides are then joined on the segments that a range meets.
+    A null bound is open, an object without attribute is in no range, an empty range gives no row. Query batches of a checked size are broadcast, and the
+    range is tested before any distance. With ``segments``, or beyond that size, both sides are joined on the segments that a range meets.
     """
     q = queries if k is None else queries.withColumn("k", F.lit(k))
     q = q.select("qid", "qvec", "lo", "hi", "k")
     dist = METRICS[metric](F.col("vec"), F.col("qvec")).alias("dist")
+    if segments is None and (parts := batch_blocks(q)) > 1:
+        from .segment import fit, table
+
+        segments = table(base, fit(base, max(64, parts)))
     if segments is None:
-        if q.limit(MOST_BROADCAST + 1).count() > MOST_BROADCAST:
-            raise ValueError("a query batch of this size needs segments")
         bounds = q.agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.max(F.col("lo").isNull() | F.col("hi").isNull()).alias("open")).first()
         if bounds["lo"] is not None and bounds["hi"] is not None and not bounds["open"]:
             # The batch's envelope reaches the scan; the join tests each range.
@@ -51,15 +61,17 @@ def knn(base: DataFrame, queries: DataFrame, k: int, metric: str = "l2") -> Data
 
 
 def range_knn_blocks(base: DataFrame, queries: DataFrame, k: int | None = None, block: int = 2048) -> DataFrame:
-    """``range_knn`` by matrix products: the queries, of a checked number, go to the tasks as one matrix; each batch hands on its k best for each query.
+    """``range_knn`` by matrix products: the queries go to the tasks as one matrix of a checked size, or several; each batch hands on its k best for each query.
 
     Products only choose candidates: a margin covers their rounding, and kept distances are taken from differences.
     """
     q = queries if k is None else queries.withColumn("k", F.lit(k))
-    rows = q.select("qid", "qvec", "lo", "hi", "k").limit(MOST_BROADCAST + 1).toArrow()
-    if rows.num_rows > MOST_BROADCAST:
-        raise ValueError("split the query batch")
-    spark = base.sparkSession
+    spark, parts = base.sparkSession, batch_blocks(q)
+    if parts > 1:
+        # The stated queries against all rows, in blocks.
+        each = [range_knn_blocks(base, q.where(F.pmod(F.xxhash64("qid"), F.lit(parts)) == i), None, block) for i in range(parts)]
+        return reduce(DataFrame.unionByName, each)
+    rows = q.select("qid", "qvec", "lo", "hi", "k").toArrow()
     if not rows.num_rows:
         return spark.createDataFrame([], "qid long, rnk int, vid long, dist double")
     qid = rows.column("qid").to_numpy()
@@ -96,7 +108,19 @@ def range_knn_blocks(base: DataFrame, queries: DataFrame, k: int | None = None,
 
 
 def cardinality(base: DataFrame, queries: DataFrame) -> DataFrame:
-    """(qid, y): the number of objects in each range, zero included."""
-    q = F.broadcast(queries.select("qid", "lo", "hi")) if queries.limit(MOST_BROADCAST + 1).count() <= MOST_BROADCAST else queries.select("qid", "lo", "hi")
-    hits = base.select("attr").join(q, in_range("attr", "lo", "hi")).groupBy("qid").agg(F.count(F.lit(1)).alias("y"))
-    return queries.select("qid").join(hits, "qid", "left").select("qid", F.coalesce("y", F.lit(0)).alias("y"))
+    """(qid, y): the number of objects in each range, zero included. Objects are ranked once, and each bound looks up the ranks at the nearest value below it."""
+    from ..sources.durable import ranked, settle
+    from .asof import asof
+
+    rows = base.where(F.col("attr").isNotNull() & ~F.isnan(F.col("attr").cast("double"))).select(F.col("attr").cast("double").alias("v"), "vid")
+    have = ranked(rows, ["v", "vid"], "rank").groupBy("v").agg(F.min("rank").alias("before"), (F.max("rank") + 1).alias("upto"))
+    have = settle(have.select("v", F.col("upto").alias("key"), F.struct("v", "before", "upto").alias("at")))
+    n = have.agg(F.max("key")).first()[0] or 0
+    ends = queries.select("qid", F.explode(F.array(F.struct(F.lit("lo").alias("end"), F.col("lo").cast("double").alias("v")), F.struct(F.lit("hi").alias("end"), F.col("hi").cast("double").alias("v")))).alias("e")).select("qid", "e.end", "e.v")
+    met = asof(ends.where("v IS NOT NULL"), have, "v", "at", "key")
+    below = F.when(F.col("at.v") == F.col("v"), F.col("at.before")).otherwise(F.col("at.upto"))
+    count = F.coalesce(F.when(F.col("end") == "lo", -below).otherwise(F.col("at.upto")), F.lit(0))
+    sums = met.groupBy("qid").agg(F.sum(count).alias("y"))
+    # An open upper bound holds everything.
+    y = F.coalesce("y", F.lit(0)) + F.when(F.col("hi").isNull(), F.lit(n)).otherwise(F.lit(0))
+    return queries.select("qid", "hi").join(sums, "qid", "left").select("qid", F.greatest(y, F.lit(0)).cast("long").alias("y"))

@@ -10,9 +10,9 @@ from .exact import top
 from .segment import intersecting
 
 
-def frontier_search(base: DataFrame, edges: DataFrame, queries: DataFrame, segments: DataFrame, ef: int = 50, m: int = 16, starts: int = 4, width: int = 4, most_hops: int = 60) -> DataFrame:
+def frontier_search(base: DataFrame, edges: DataFrame, queries: DataFrame, segments: DataFrame, ef: int = 50, m: int = 16, starts: int = 4, width: int = 4) -> DataFrame:
     """(qid, rnk, vid, dist). Each hop expands, for every query, its ``width`` nearest nodes not yet expanded that are within its ef best; chunks of the
-    range's segments are looked at, the first ceil(m / segments) of each. It ends when no query has such a node. State is at most ef results, ef routing nodes and the
+    range's segments are looked at, the first ceil(m / segments) of each. It ends when no query has such a node, which each hop brings nearer, since none is expanded twice. State is at most ef results, ef routing nodes and the
     visited ids of each query.
     """
     hit = intersecting(queries, segments).select("qid", "seg")
@@ -26,7 +26,7 @@ def frontier_search(base: DataFrame, edges: DataFrame, queries: DataFrame, segme
         return near.select("qid", "vid", l2("vec", "qvec").alias("dist"), in_range("attr", "lo", "hi").alias("ok"), F.lit(False).alias("done"))
 
     state = unsized(settle(measured(first.select("qid", "vid"))))
-    for _ in range(most_hops):
+    while True:
         rank = Window.partitionBy("qid", "ok").orderBy("dist", "vid")
         beam = state.withColumn("_r", F.row_number().over(rank))
         worst = beam.where(F.col("ok") & (F.col("_r") == ef)).select("qid", F.col("dist").alias("worst"))

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window, functions as F
+from pyspark.sql import Column, DataFrame, Window, functions as F
 
 
 def recall(found: DataFrame, truth: DataFrame, y: DataFrame, k: int | None = None) -> DataFrame:
@@ -47,18 +47,22 @@ def combinations_of(s: Column, contiguous: bool = False) -> Column:
     return s * (s + 1) / 2 if contiguous else F.pow(F.lit(2.0), s) - 1
 
 
-def build_model(sizes: list[int]) -> tuple[float, float]:
-    """Sum of s * log of segment sizes, and its bound n s log n."""
-    import math
+def build_model(segments: DataFrame, s: int) -> DataFrame:
+    """(searches, bound) of a build over segments (n): each of all objects searches the graphs of all ``s`` segments, the sum of log n_j, at most s log n, for each object."""
+    ln = F.when(F.col("n") > 1, F.log("n")).otherwise(F.lit(0.0))
+    total = segments.agg(F.sum("n").alias("n"), F.sum(ln).alias("one"))
+    return total.select("n", (F.col("n") * F.col("one")).alias("searches"), (F.col("n") * s * F.log("n")).alias("bound"))
 
-    s, n = len(sizes), sum(sizes)
-    return s * sum(x * math.log(max(x, 1)) / max(s, 1) for x in sizes), n * s * math.log(max(n, 1))
+
+def search_model(queries: DataFrame, n: int, tau_a: float = 0.01, tau_b: float = 0.5) -> DataFrame:
+    """(qid, strategy, cost) of queries (qid, y, hit), ``hit`` objects being in the segments that a range meets: y + log n before, log n after, log of the hit ones during the search."""
+    from ..plans.planner import choose
+
+    how = choose(F.col("y"), n, tau_a, tau_b)
+    ln = F.log(F.lit(float(n)))
+    return queries.select("qid", how.alias("strategy"), F.when(how == "pre", F.col("y") + ln).when(how == "post", ln).otherwise(F.log(F.greatest("hit", F.lit(2)).cast("double"))).alias("cost"))
 
 
 def log_slope(df: DataFrame, size: str, cost: str) -> DataFrame:
     """Slope and fit of a cost against the logarithm of a size."""
     return df.agg(F.regr_slope(cost, F.log(size)).alias("slope"), F.regr_r2(cost, F.log(size)).alias("r2"))
-
-
-def grid(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
-    return spark.createDataFrame(rows, schema)

@@ -2,21 +2,26 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import DataFrame, Window, functions as F
 
 from ..functions.columns import METRICS, in_range, interleave
-from .exact import top
+from .exact import batch_blocks, top
+
+
+def sent(queries: DataFrame) -> DataFrame:
+    """Queries, broadcast if their size allows; else Spark chooses how to meet them."""
+    return F.broadcast(queries) if batch_blocks(queries) == 1 else queries
 
 
 def exact_both(base: DataFrame, queries: DataFrame, k: int, metric: str = "l2") -> DataFrame:
     """Nearest objects with attr in [lo, hi] and attr2 in [lo2, hi2]."""
-    pairs = base.join(F.broadcast(queries), in_range("attr", "lo", "hi") & in_range("attr2", "lo2", "hi2"))
+    pairs = base.join(sent(queries), in_range("attr", "lo", "hi") & in_range("attr2", "lo2", "hi2"))
     return top(pairs.select("qid", "vid", METRICS[metric](F.col("vec"), F.col("qvec")).alias("dist")), ["qid"], F.lit(k)).select("qid", "rnk", "vid", "dist")
 
 
 def exact_either(base: DataFrame, queries: DataFrame, k: int, metric: str = "l2") -> DataFrame:
     """Nearest objects with one of the two."""
-    pairs = base.join(F.broadcast(queries), in_range("attr", "lo", "hi") | in_range("attr2", "lo2", "hi2"))
+    pairs = base.join(sent(queries), in_range("attr", "lo", "hi") | in_range("attr2", "lo2", "hi2"))
     return top(pairs.select("qid", "vid", METRICS[metric](F.col("vec"), F.col("qvec")).alias("dist")), ["qid"], F.lit(k)).select("qid", "rnk", "vid", "dist")
 
 
@@ -69,3 +74,28 @@ def zcover(lo: tuple[int, ...], hi: tuple[int, ...], bits: int, most: int = 16)
         else:
             out.append((a, b))
     return out
+
+
+def covers(queries: DataFrame, bounds: list[list[float]], bits: int, most: int = 16) -> DataFrame:
+    """Queries with zlo and zhi, a row for each of at most ``most`` intervals of keys that together cover the query's rectangle of cells."""
+    low, high = [cell(c, b) for c, b in zip(("lo", "lo2"), bounds, strict=True)], [cell(c, b) for c, b in zip(("hi", "hi2"), bounds, strict=True)]
+
+    @F.udf("array<struct<zlo:double,zhi:double>>")
+    def cut(a: list[int], b: list[int]) -> list[tuple[float, float]]:
+        return [(float(x), float(y)) for x, y in zcover(tuple(a), tuple(b), bits, most)]
+
+    return queries.withColumn("_z", F.explode(cut(F.array(*low), F.array(*high)))).select(*queries.columns, "_z.zlo", "_z.zhi")
+
+
+def zsearch(index, base: DataFrame, queries: DataFrame, bounds: list[list[float]], bits: int, k: int, most: int = 16) -> DataFrame:
+    """A conjunction by one index over the interleaved key of two attributes: (qid, rnk, vid, dist), exact.
+
+    ``index`` holds the key as its attribute, ``base`` (vid, attr1, attr2). Each interval that covers a query's rectangle is followed along the chain, and what it gives
+    has to pass the rectangle's own test, since a cover also holds cells outside.
+    """
+    parts = covers(queries, bounds, bits, most).withColumn("part", F.row_number().over(Window.partitionBy("qid").orderBy("zlo")))
+    # All objects of an interval are asked for: the test comes behind.
+    ask = parts.select((F.col("qid") * most + F.col("part") - 1).alias("qid"), "qvec", F.col("zlo").alias("lo"), F.col("zhi").alias("hi"))
+    found = index.search(ask, "pre", k=max(1, index.manifest.rows)).select(F.floor(F.col("qid") / most).alias("qid"), "vid", "dist")
+    near = found.join(base.select("vid", "attr1", "attr2"), "vid").join(queries.select("qid", "lo", "hi", "lo2", "hi2"), "qid").where(in_range("attr1", "lo", "hi") & in_range("attr2", "lo2", "hi2"))
+    return top(near.select("qid", "vid", "dist").distinct(), ["qid"], F.lit(k)).select("qid", "rnk", "vid", "dist")

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Row, functions as F
 
 from ..functions.columns import uniform
-from ..sources.durable import ranked
+from ..sources.durable import ranked, settle
 
 
 def fit(base: DataFrame, s: int, method: str = "exact", sample: float = 0.1, seed: int = 0) -> list[float]:
@@ -32,6 +32,40 @@ def fit(base: DataFrame, s: int, method: str = "exact", sample: float = 0.1, see
     return sorted(found - {first})
 
 
+def fit_nested(base: DataFrame, shards: int, s: int, method: str = "exact") -> tuple[list[float], list[list[float]]]:
+    """Boundaries of ``shards`` shards, and of ``s`` segments in each: ``fit`` for all of them in the same few passes, however many there are."""
+    rows = base.where(F.col("attr").isNotNull() & ~F.isnan(F.col("attr").cast("double"))).select("vid", F.col("attr").cast("double").alias("attr"))
+    if method == "sketch":
+        outer = fit(base, shards, method)
+        cut = F.percentile_approx("attr", [j / s for j in range(1, s)], 10_000) if s > 1 else F.array().cast("array<double>")
+        got = {r["shard"]: r["cut"] for r in rows.groupBy(segment_of(F.col("attr"), outer).alias("shard")).agg(cut.alias("cut")).collect()}
+        return outer, [sorted(set(got.get(i) or [])) for i in range(len(outer) + 1)]
+    if method == "sample":
+        rows = rows.where(uniform("vid", "sample:0") < 0.1)
+    elif method != "exact":
+        raise ValueError(f"no method {method}")
+    have = settle(ranked(rows, ["attr", "vid"], "rank").select("rank", "attr"))
+    n = have.count()
+    if not n:
+        return [], [[]]
+
+    def at(ranks: set[int]) -> dict[int, float]:
+        # One row for each boundary.
+        wanted = have.sparkSession.createDataFrame([(int(r),) for r in sorted(ranks)], "rank long")
+        return {r["rank"]: r["attr"] for r in have.join(F.broadcast(wanted), "rank").collect()}
+
+    found = at({-(-j * n // shards) for j in range(shards) if -(-j * n // shards) < n})
+    outer = sorted(set(found.values()) - {found[0]})
+    # Equal attributes fall together: a shard begins at the first of its boundary's rank.
+    edges = have.sparkSession.createDataFrame([(b,) for b in outer], "attr double")
+    first = {r["attr"]: r["rank"] for r in have.join(F.broadcast(edges), "attr").groupBy("attr").agg(F.min("rank").alias("rank")).collect()}
+    starts = [0, *(first[b] for b in outer)]
+    ends = [*starts[1:], n]
+    picks = [[a + -(-j * (b - a) // s) for j in range(s) if a + -(-j * (b - a) // s) < b] for a, b in zip(starts, ends, strict=True)]
+    value = at({r for p in picks for r in p})
+    return outer, [sorted({value[r] for r in p} - {value[p[0]]}) for p in picks]
+
+
 def segment_of(attr: Column, bounds: list[float]) -> Column:
     """Segment number, from 0; -1 without an attribute."""
     if not bounds:

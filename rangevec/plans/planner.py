@@ -119,34 +119,32 @@ def narrowest(queries: DataFrame, estimates: dict[str, DataFrame]) -> DataFrame:
 
 # SQL surface.
 def register_udtf(spark: SparkSession, index, name: str = "range_ann", ef: int = 100, m: int = 16) -> None:
-    """``SELECT ... FROM q, LATERAL range_ann(q.qvec, q.lo, q.hi, q.k)`` over a one-shard index, whose stored nodes go out once."""
+    """``SELECT ... FROM q, LATERAL range_ann(q.qvec, q.lo, q.hi, q.k)``: workers map the shards' files, so nothing of the index goes out."""
     from pyspark.sql.functions import udtf
 
-    from ..operators.index import graph_of
+    from ..operators.index import _arrays
+    from ..operators.kernel import Graph, estimated
 
-    if len(index.manifest.inner) != 1:
-        raise ValueError("the table function holds one shard; use RangeIndex.search for more")
-    # One shard is bounded by a worker's memory.
-    sent = spark.sparkContext.broadcast((index.nodes.toPandas(), index.manifest.s, index.params, index.manifest.inner[0], index.manifest.tau))
+    s, params, outer, inner, (tau_a, tau_b) = index.manifest.s, index.params, index.manifest.outer, index.manifest.inner, index.manifest.tau
+    paths = {shard: path for shard, path, _ in index.manifest.parts}
 
     @udtf(returnType="vid long, dist double")
     class RangeAnn:
-        def __init__(self):
-            nodes, s, params, self.cuts, self.tau = sent.value
-            self.g = graph_of(nodes, s, params)
-
         def eval(self, qvec, lo: float, hi: float, k: int):
             import numpy as np
 
-            g, x = self.g, np.asarray(qvec, np.float64)
-            lo, hi = (-np.inf if lo is None else lo), (np.inf if hi is None else hi)
-            y = len(g.in_range(lo, hi))
-            segs = list(range(int(np.searchsorted(self.cuts, lo, "right")), int(np.searchsorted(self.cuts, hi, "right")) + 1))
-            beam = max(ef, k)
-            found = g.pre(x, lo, hi, k) if y <= self.tau[0] * g.size else g.post(x, lo, hi, k, beam, True) if y >= self.tau[1] * g.size else g.hybrid(x, lo, hi, k, beam, segs, m)
-            for d, v in found:
-                yield int(g.vid[v]), float(d)
+            x, found = np.asarray(qvec, np.float64), []
+            lo, hi, beam = (-np.inf if lo is None else lo), (np.inf if hi is None else hi), max(ef, k)
+            for shard in range(int(np.searchsorted(outer, lo, "right")), int(np.searchsorted(outer, hi, "right")) + 1):
+                if shard not in paths:
+                    continue
+                a = _arrays(paths[shard])
+                g, cuts = Graph.of_arrays(a, s, params), inner[shard]
+                share = estimated(a["histogram"], np.array([lo]), np.array([hi]))[0] / max(1, g.size)
+                segs = range(int(np.searchsorted(cuts, lo, "right")), int(np.searchsorted(cuts, hi, "right")) + 1)
+                got = g.pre(x, lo, hi, k) if share <= tau_a else g.post(x, lo, hi, k, beam) if share >= tau_b else g.hybrid(x, lo, hi, k, beam, segs, m)
+                found += [(d, int(g.vid[v])) for d, v in got]
+            for d, v in sorted(found)[:k]:
+                yield v, float(d)
 
     spark.udtf.register(name, RangeAnn)
-
-

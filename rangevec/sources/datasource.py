@@ -4,17 +4,18 @@ from __future__ import annotations
 
 import json
 from collections.abc import Iterator
-from urllib.parse import urlparse
 
 from pyspark.sql import SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, GreaterThan, GreaterThanOrEqual, InputPartition, LessThan, LessThanOrEqual
 
+from .durable import open_arrays
+
 SCHEMA = "vid long, vec array<double>, attr double, seg int, shard int"
 
 
 class ShardPartition(InputPartition):
-    def __init__(self, shard: int):
-        super().__init__(shard)
+    def __init__(self, shard: int, path: str):
+        super().__init__((shard, path))
 
 
 class IndexReader(DataSourceReader):
@@ -23,39 +24,31 @@ class IndexReader(DataSourceReader):
     def __init__(self, path: str, lo: float = float("-inf"), hi: float = float("inf")):
         self.path, self.lo, self.hi = path, lo, hi
 
-    def _dataset(self, folder: str):
-        import pyarrow.dataset as ds
-        from pyarrow import fs
-
-        if urlparse(self.path).scheme in ("", "file"):
-            return ds.dataset(f"{urlparse(self.path).path}/{folder}", format="parquet" if folder != "manifest" else "csv", exclude_invalid_files=False)
-        system, root = fs.FileSystem.from_uri(self.path)
-        return ds.dataset(f"{root}/{folder}", filesystem=system, format="parquet")
-
     def partitions(self) -> list[ShardPartition]:
         from pyarrow import fs
 
         system, root = fs.FileSystem.from_uri(self.path if "://" in self.path or self.path.startswith("file:") else f"file://{self.path}")
         text = next(x.path for x in system.get_file_info(fs.FileSelector(f"{root}/manifest")) if x.base_name.startswith("part-") and x.size)
         with system.open_input_stream(text) as f:
-            outer = json.loads(f.read())["outer"]
-        ends = [float("-inf"), *outer, float("inf")]
-        return [ShardPartition(i) for i, (a, b) in enumerate(zip(ends, ends[1:], strict=False)) if a <= self.hi and self.lo < b]
+            manifest = json.loads(f.read())
+        ends = [float("-inf"), *manifest["outer"], float("inf")]
+        files = {shard: path for shard, path, _ in manifest["parts"]}
+        return [ShardPartition(i, files[i]) for i, (a, b) in enumerate(zip(ends, ends[1:], strict=False)) if a <= self.hi and self.lo < b and i in files]
 
     def read(self, partition: ShardPartition) -> Iterator[tuple]:
-        import pyarrow.compute as pc
+        import numpy as np
 
-        data = self._dataset(f"nodes/shard={partition.value}/layer=0")
-        for b in data.to_batches(columns=["vid", "vec", "attr", "seg"], filter=(pc.field("attr") >= self.lo) & (pc.field("attr") <= self.hi)):
-            for r in b.to_pylist():
-                yield r["vid"], r["vec"], r["attr"], r["seg"], partition.value
+        shard, path = partition.value
+        a = open_arrays(path)
+        for i in np.flatnonzero((a["attr"] >= self.lo) & (a["attr"] <= self.hi)):
+            yield int(a["vid"][i]), a["x"][i].tolist(), float(a["attr"][i]), int(a["seg"][i]), shard
 
 
 class PushedReader(IndexReader):
     """The same, with bounds taken from the query's filters."""
 
     def pushFilters(self, filters: list[Filter]) -> Iterator[Filter]:
-        """Bounds of attr choose shards and reach Parquet; every filter is applied again by Spark."""
+        """Bounds of attr choose shards and rows; every filter is applied again by Spark."""
         for f in filters:
             if getattr(f, "attribute", None) == ("attr",) and isinstance(getattr(f, "value", None), (int, float)):
                 if isinstance(f, (GreaterThan, GreaterThanOrEqual, EqualTo)):
