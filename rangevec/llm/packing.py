@@ -10,7 +10,6 @@ import unicodedata
 import zlib
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, functions as F
@@ -18,7 +17,9 @@ from pyspark.sql import DataFrame, functions as F
 from .shared import by_row, release, settle, slices
 
 CACHE_WORDS, REST_SECONDS = 700_000, 2.0
-MARKS = tuple(".,;:!?|")
+MARKS = frozenset(".,;:!?|")
+#: What the names of special tokens begin with.
+SPECIAL = "<|"
 TEXT_BYTES = 12 << 20
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long"
 
@@ -100,19 +101,18 @@ class WordTokenizer:
     def _places(self, words: list[str]) -> np.ndarray:
         if len(self.at) + len(words) > CACHE_WORDS:
             self._forget()
-        new = [w for w in words if w not in self.at]
-        # ASCII words are lower-cased first; a mark behind letters is a cut of its own, so both are looked up apart.
-        plain = [w.lower() if w.isascii() else w for w in new]
-        marked = [(w, s[:-1], s[-1]) for w, s in zip(new, plain, strict=True) if s[-1:] in MARKS and s[:-1].isalpha()]
-        alone = [s for s in plain if not (s[-1:] in MARKS and s[:-1].isalpha())]
-        need = [s for s in dict.fromkeys([*alone, *(s for _, s, _ in marked), *MARKS]) if s not in self.at]
+        at = self.at
+        new = [w for w in words if w not in at]
+        # A mark behind letters is a cut of its own, so both are looked up apart.
+        marked = [w for w in new if w[-1:] in MARKS and w[:-1].isalpha()]
+        stems, apart = [w[:-1] for w in marked], set(marked)
+        need = [s for s in dict.fromkeys([*(w for w in new if w not in apart), *stems, *MARKS]) if s not in at]
         parts = [self._ids(need[i : i + 2000]) for i in range(0, len(need), 2000)]
         self._add(need, [x for x, _ in parts], [n for _, n in parts])
-        if marked := [x for x in marked if x[0] not in self.at]:
-            pair = np.array([(self.at[s], self.at[m]) for _, s, m in marked])
-            self._add([w for w, _, _ in marked], [self._joined(pair.ravel()).to_numpy()], [self.sizes[pair].sum(axis=1)])
-        at = self.at
-        return np.fromiter([at[w] if w in at else at[w.lower()] for w in words], np.int64, len(words))
+        if marked:
+            pair = np.array([(at[s], at[w[-1]]) for s, w in zip(stems, marked, strict=True)])
+            self._add(marked, [self._joined(pair.ravel()).to_numpy()], [self.sizes[pair].sum(axis=1)])
+        return np.fromiter(map(at.__getitem__, words), np.int64, len(words))
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts, and where each text's ids begin, with their end."""
@@ -120,7 +120,13 @@ class WordTokenizer:
             return self._encode(texts)
 
     def _encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        lists = pc.ascii_split_whitespace(pc.fill_null(texts, ""))
+        texts = pc.fill_null(texts, "")
+        if pc.any(pc.match_substring(texts, SPECIAL)).as_py():
+            # Special tokens are found in texts as they are, before letters become small.
+            found = [np.array(e.ids, np.uint32) for e in self.inner.encode_batch_fast(texts.to_pylist(), add_special_tokens=False)]
+            return np.concatenate(found), np.concatenate([[0], np.cumsum([len(x) for x in found])]).astype(np.int64)
+        # The vocabulary is one of small letters; A-Z first, so that fewer words differ.
+        lists = pc.ascii_split_whitespace(pc.ascii_lower(texts))
         ends = np.concatenate([[0], np.cumsum(pc.list_value_length(lists).to_numpy(zero_copy_only=False))]).astype(np.int64)
         coded = lists.flatten().dictionary_encode()
         place = self._places(coded.dictionary.to_pylist())[coded.indices.to_numpy(zero_copy_only=False)]
@@ -158,10 +164,11 @@ def _pieces(path: str, end_id: int, window: int):
         for b in slices(batches, "text", TEXT_BYTES):
             ids, offs = tokenizer.encode(b.column("text"))
             out = []
-            for doc, lo, hi in zip(b.column("doc_id").to_pylist(), offs[:-1], offs[1:], strict=True):
+            for row, (lo, hi) in enumerate(zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)):
                 own = np.append(ids[lo:hi], np.uint32(end_id)).astype("<u4")
-                out += [(doc, s, len(own[s : s + window]), zlib.crc32(own[s : s + window].tobytes()), len(own)) for s in range(0, len(own), window)]
-            yield pa.RecordBatch.from_pandas(pd.DataFrame(out, columns=["doc_id", "start", "length", "ids_crc32", "doc_tokens"]), preserve_index=False)
+                out += [(row, s, len(own[s : s + window]), zlib.crc32(own[s : s + window].tobytes()), len(own)) for s in range(0, len(own), window)]
+            row, *rest = (pa.array(c, pa.int64()) for c in zip(*out, strict=True))
+            yield pa.RecordBatch.from_arrays([b.column("doc_id").take(row), *rest], names=["doc_id", "start", "length", "ids_crc32", "doc_tokens"])
         tokenizer.rest()
 
     return run
@@ -238,19 +245,19 @@ def pack(docs: DataFrame, tokenizer_path: str, id_col: str = "doc_id", text_col:
     pieces = settle(rows.mapInArrow(_pieces(tokenizer_path, end_id, window), PIECES))
     groups = max(1, -(-pieces.count() // group_pieces))
 
-    def place(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values(["doc_id", "start", "length", "ids_crc32"], kind="stable").reset_index(drop=True)
-        full = pdf.index[pdf.length == window].tolist()
-        rest = pdf.index[pdf.length < window].to_numpy()
-        seqs = [[i] for i in full] + [[int(rest[i]) for i in g] for g in pack_group([int(x) for x in pdf.length.to_numpy()[rest]], window)] if len(rest) else [[i] for i in full]
-        seq, off = np.zeros(len(pdf), np.int64), np.zeros(len(pdf), np.int64)
-        length = pdf.length.to_numpy()
+    def place(table: pa.Table) -> pa.Table:
+        table = table.sort_by([(c, "ascending") for c in ("doc_id", "start", "length", "ids_crc32", "doc_tokens")])
+        length = table.column("length").to_numpy()
+        full, rest = np.flatnonzero(length == window), np.flatnonzero(length < window)
+        seqs = [[i] for i in full] + ([[int(rest[i]) for i in g] for g in pack_group(length[rest].tolist(), window)] if len(rest) else [])
+        seq, off = np.zeros(len(length), np.int64), np.zeros(len(length), np.int64)
         for n, items in enumerate(seqs):
             at = 0
             for i in items:
                 seq[i], off[i] = n, at
                 at += length[i]
-        return pdf.assign(sequence_id=pdf.g.to_numpy() * (1 << 24) + seq, offset=off).drop(columns="g")
+        first = table.column("g")[0].as_py() * (1 << 24)
+        return table.drop_columns("g").append_column("sequence_id", pa.array(first + seq)).append_column("offset", pa.array(off))
 
     dealt = pieces.withColumn("g", F.pmod(F.xxhash64(F.lit(11), "doc_id", "start"), F.lit(groups)))
-    return dealt.groupBy("g").applyInPandas(place, PIECES + ", sequence_id long, offset long")
+    return dealt.groupBy("g").applyInArrow(place, PIECES + ", sequence_id long, offset long")

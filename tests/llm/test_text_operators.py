@@ -137,7 +137,8 @@ def test_apportion(spark):
 def test_packing(spark):
     from tokenizers import Tokenizer
 
-    rows = EDGE + [(200 + i, " ".join(base[: 1 + i % 20]) + " don't STOP, 3½ é̂" * (i % 7)) for i in range(200)]
+    rows = EDGE + [(200 + i, " ".join(base[: 1 + i % 20]) + " don't STOP, 3½ é̂ İ I\u0307 Å." * (i % 7)) for i in range(200)]
+    rows += [(None, "no id"), (900, "ends <|endoftext|> here <|ENDOFTEXT|> A|b x|"), (901, "<|startoftext|>"), (902, "Mixed.CASE Word! word? WORD: \x1c odd\u00a0space")]
     path = tokenizer_path()
     t = Tokenizer.from_file(path)
     want = Counter()
@@ -145,7 +146,8 @@ def test_packing(spark):
         ids = t.encode(text or "", add_special_tokens=False).ids + [2]
         want[(i, tuple(ids))] += 1
     got = packing.pack(frame(spark, rows), path, group_pieces=64).toPandas()
-    whole = {(i, len(ids)): ids for i, ids in want}
+    whole = {(i or -1, len(ids)): ids for i, ids in want}
+    got["doc_id"] = got.doc_id.fillna(-1).astype(int)
     for r in got.itertuples():
         ids = np.array(whole[(r.doc_id, r.doc_tokens)][r.start : r.start + r.length], "<u4")
         assert len(ids) == r.length and zlib.crc32(ids.tobytes()) == r.ids_crc32
@@ -154,6 +156,17 @@ def test_packing(spark):
         s = s.sort_values("offset")
         assert s.length.sum() <= 4096 and s.offset.tolist() == (s.length.cumsum() - s.length).tolist()
     assert packing.pack(frame(spark, []), path).collect() == []
+    # A vocabulary that looks across white space is read text by text.
+    other, few = tokenizer_path("byte_bpe_50k.json"), rows[-30:]
+    t = Tokenizer.from_file(other)
+    want = {(i, zlib.crc32(np.array([*t.encode(text or "", add_special_tokens=False).ids, 2], "<u4").tobytes())) for i, text in few}
+    assert {(r["doc_id"], r["ids_crc32"]) for r in packing.pack(frame(spark, few), other).collect()} == want
+
+
+def test_many_pieces_above_half_a_window():
+    """Such pieces share no window, however many there are."""
+    assert len(packing.pack_group([2049] * 700, 4096)) == 700
+    assert len(packing.pack_group([2049] * 100 + [2047] * 100, 4096)) == 100
 
 
 @settings(max_examples=80, deadline=None)
