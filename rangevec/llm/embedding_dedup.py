@@ -9,10 +9,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from .components import components
-from .shared import join_hot, settle
+from .shared import join_hot, null_safe, settle, unclear
 
-#: At most so many pivots go to the executors, a matrix of this many rows.
-MOST_PIVOTS = 256
+#: Pivots go to the executors as a matrix of so many bytes at most; up to that their number follows the vectors, so that cells stay small.
+PIVOT_BYTES = 32 << 20
+#: Numbers of a slice of vectors times pivots.
+SLICE = 1 << 22
 LEAST_BLOCK, MOST_BLOCK = 256, 4096
 SLAB = 512
 
@@ -57,16 +59,17 @@ def _near_cells(x: np.ndarray, pivots: np.ndarray, reach: float) -> tuple[np.nda
     """
     dots = x @ pivots.T
     home = dots.argmax(axis=1)
-    apart = np.sqrt(np.maximum(2 - 2 * pivots @ pivots.T, 0))
     slack = dots[np.arange(len(x)), home][:, None] - dots
-    return home, slack <= apart[home] * reach + 1e-9
+    apart = np.sqrt(np.maximum(2 - 2 * pivots[home] @ pivots.T, 0))
+    return home, slack <= apart * reach + 1e-9
 
 
 def _homes(pivots: np.ndarray):
     def run(batches):
-        for b in batches:
-            if b.num_rows:
-                home, _ = _near_cells(_units(_vectors(b), pivots.shape[1]), pivots, 0.0)
+        step = max(1, SLICE // len(pivots))
+        for whole in batches:
+            for at in range(0, whole.num_rows, step):
+                home = (_units(_vectors(whole.slice(at, step)), pivots.shape[1]) @ pivots.T).argmax(axis=1)
                 yield pa.RecordBatch.from_arrays([pa.array(home.astype(np.int32))], names=["cell"])
 
     return run
@@ -78,8 +81,9 @@ def _deal(pivots: np.ndarray, first: np.ndarray, parts: np.ndarray, reach: float
 
     def run(batches):
         for whole in batches:
-            for at in range(0, whole.num_rows, 256):
-                b = whole.slice(at, 256)
+            step = min(256, max(1, SLICE // len(pivots)))
+            for at in range(0, whole.num_rows, step):
+                b = whole.slice(at, step)
                 home, near = _near_cells(_units(_vectors(b), pivots.shape[1]), pivots, reach)
                 near[np.arange(len(home)), home] = True
                 rep = b.column("rep").to_numpy()
@@ -149,19 +153,33 @@ def _tile(threshold: float):
     return run
 
 
-def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", threshold: float = 0.9, most_pivots: int = MOST_PIVOTS) -> DataFrame:
+def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", threshold: float = 0.9, pivot_bytes: int = PIVOT_BYTES) -> DataFrame:
     """One row per vector: id, ``n_links`` (other vectors of cosine >= threshold), ``component_id`` (smallest id reachable) and ``kept``.
 
     Cosines are taken in double precision between vectors of one length. Vectors that are null, empty, zero or hold null or non-finite
     components link with nothing. Equal vectors are one representative that counts for all of them. Each vector's home is its nearest
     pivot; it is copied to the cells that the triangle inequality doesn't exclude, and cells are split into blocks, so a tile
-    compares two blocks of bounded size and hands on counts and a spanning forest, never its pairs. Rows that repeat an id are vectors of
-    their own. Other columns are ignored; an empty table gives an empty result.
+    compares two blocks of bounded size and hands on counts and a spanning forest, never its pairs. Rows that repeat an id, or have none, are vectors of
+    their own; of a component without any id the first vector stays. Other columns are ignored; an empty table gives an empty result.
 
     The join is exact. Where vectors fill their space evenly no exact method excludes much: then most pairs of blocks are compared.
     """
     rows = vectors.select(F.col(id_col).cast("long").alias("id"), F.col(vec_col).cast("array<double>").alias("v"))
     read = settle(rows.mapInArrow(_read(), "id long, key binary, vec binary, dim int"))
+    if not unclear(read, "id"):
+        return _linked(read, threshold, pivot_bytes).select(F.col("id").alias(id_col), "n_links", "component_id", (F.col("id") == F.col("component_id")).alias("kept"))
+    # Numbers that grow over a sorted frame keep its order: each id and vector has one of its own.
+    nodes = settle(read.select("id", "key").distinct().orderBy(F.col("id").asc_nulls_last(), "key").withColumn("node", F.monotonically_increasing_id()))
+    keyed = read.alias("a").join(nodes.alias("b"), null_safe("a", "b", ["id", "key"])).select(F.col("node").alias("id"), "a.key", "vec", "dim")
+    found = _linked(settle(keyed), threshold, pivot_bytes).withColumnsRenamed({"id": "node", "component_id": "head"})
+    heads = nodes.select(F.col("node").alias("head"), F.col("id").alias("component_id"))
+    found = found.join(nodes.select("node", "id"), "node").join(heads, "head")
+    kept = F.when(F.col("id").isNull(), F.col("node") == F.col("head")).otherwise(F.coalesce(F.col("id") == F.col("component_id"), F.lit(False)))
+    return found.select(F.col("id").alias(id_col), "n_links", "component_id", kept.alias("kept"))
+
+
+def _linked(read: DataFrame, threshold: float, pivot_bytes: int) -> DataFrame:
+    """(id, n_links, component_id) where equal ids have equal vectors and none is missing."""
     members = read.select("id", "key")
     groups = read.where("key is not null").groupBy("key").agg(F.min("id").alias("rep"), F.count(F.lit(1)).alias("n"), F.min_by(F.struct("vec", "dim"), "id").alias("v"))
     groups = settle(groups.select("key", "rep", "n", "v.vec", "v.dim"))
@@ -169,8 +187,8 @@ def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "emb
     none = members.where("key IS NULL").select("id", F.lit(0).cast("long").alias("n_links"), F.col("id").alias("component_id"))
     if total:
         block = min(max(total // 16, LEAST_BLOCK), MOST_BLOCK)
-        chosen = groups.orderBy(F.xxhash64("key")).limit(max(1, min(most_pivots, -(-total // block)))).select("vec").toArrow()
         dim = groups.agg(F.max("dim")).first()[0]
+        chosen = groups.orderBy(F.xxhash64("key")).limit(max(1, min(pivot_bytes // (8 * dim), -(-total // block)))).select("vec").toArrow()
         pivots = _units([np.frombuffer(v, "<f8") for v in chosen.column("vec").to_pylist()], dim)
         counts = np.ones(len(pivots), np.int64)
         for r in groups.select("vec").mapInArrow(_homes(pivots), "cell int").groupBy("cell").count().collect():
@@ -183,4 +201,4 @@ def near_vectors(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "emb
         named = groups.select("key", "rep", "n").join(links, "rep", "left").join(named, "rep", "left")
         named = settle(named.select("key", "n", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("component", "rep").alias("component_id")))
         none = join_hot(members, named, ["key"], "n").select("id", "n_links", "component_id").unionByName(none)
-    return none.select(F.col("id").alias(id_col), "n_links", "component_id", F.col("id").eqNullSafe(F.col("component_id")).alias("kept"))
+    return none.select("id", "n_links", "component_id")

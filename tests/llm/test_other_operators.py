@@ -74,6 +74,13 @@ def test_vectors(spark, block, monkeypatch):
     assert embedding_dedup.near_vectors(df.where("embedding IS NULL")).count() == 1
 
 
+def test_vectors_that_repeat_ids(spark):
+    """Each row is a vector of its own, also where several rows have one id or none."""
+    rows = [(5, None), (5, [1.0, 0.0]), (6, [0.0, 1.0]), (6, [0.0, 2.0]), (None, [3.0, 0.1]), (None, None), (7, [0.0, 0.0])]
+    got = embedding_dedup.near_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()
+    assert sorted(map(tuple, got), key=str) == sorted([(5, 0, 5, True), (5, 1, 5, True), (6, 1, 6, True), (6, 1, 6, True), (None, 1, 5, False), (None, 0, None, True), (7, 0, 7, True)], key=str)
+
+
 def test_cells_exclude_only_far_vectors():
     rng = np.random.default_rng(0)
     x = rng.normal(size=(300, 8))
@@ -100,6 +107,10 @@ def test_shards(spark, tmp_path):
     assert version > 2 and len(store.shards()) < before / 2
     assert store.read().count() == df.count() == store.read(2).count()
     assert sorted(map(tuple, store.read().collect()), key=str) == sorted(map(tuple, df.collect()), key=str)
+    # Every shard is named once, holds the rows it is said to hold, and runs of one commit went to different tasks.
+    listed = {x["path"]: x["rows"] for x in store.shards()}
+    held = {r["p"]: r["count"] for r in store.read().groupBy(F.col("_metadata.file_path").alias("p")).count().collect()}
+    assert held == listed and len({k % 7 for k in range(7)}) == len(set(store._keys(7))) == 7
     with pytest.raises(sharding.ManifestConflict):
         store.commit(version - 1, [])
     assert store.vacuum() > 0 and store.read().count() == df.count()
@@ -110,6 +121,9 @@ def test_shard_query(spark):
     got = sharding.shard(frame(spark, EDGE)).collect()
     assert sorted((r["doc_id"], r["n_bytes"]) for r in got) == sorted((i, len((t or "").encode())) for i, t in EDGE)
     assert sharding.shard(frame(spark, [])).collect() == []
+    # Another text column, and what is stored is what came, row for row.
+    df = frame(spark, EDGE).withColumnRenamed("text", "body")
+    assert sorted(r["n_bytes"] for r in sharding.shard(df, text_col="body").collect()) == sorted(len((t or "").encode()) for _, t in EDGE)
     with pytest.raises(ValueError):
         sharding.shard(frame(spark, EDGE).withColumn("_run", F.lit(1)))
 
