@@ -25,7 +25,7 @@ K, S, M = 10, 4, 4
 #: Rows of a shard that the beam of the full-beam searches holds whole.
 FULL_BEAM_ROWS = 300
 #: Rows of a shard of an index that grows: a task holds it whole.
-SHARD_ROWS = 2000
+SHARD_ROWS = 1000
 
 
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
