@@ -66,12 +66,17 @@ def range_knn_blocks(base: DataFrame, queries: DataFrame, k: int | None = None,
     Products only choose candidates: a margin covers their rounding, and kept distances are taken from differences.
     """
     q = queries if k is None else queries.withColumn("k", F.lit(k))
-    spark, parts = base.sparkSession, batch_blocks(q)
+    parts = batch_blocks(q)
     if parts > 1:
-        # The stated queries against all rows, in blocks.
-        each = [range_knn_blocks(base, q.where(F.pmod(F.xxhash64("qid"), F.lit(parts)) == i), None, block) for i in range(parts)]
+        # The stated queries against all rows, in blocks of about half the bound.
+        each = [_block_knn(base, q.where(F.pmod(F.xxhash64("qid"), F.lit(2 * parts)) == i), block) for i in range(2 * parts)]
         return reduce(DataFrame.unionByName, each)
-    rows = q.select("qid", "qvec", "lo", "hi", "k").toArrow()
+    return _block_knn(base, q, block)
+
+
+def _block_knn(base: DataFrame, q: DataFrame, block: int) -> DataFrame:
+    """``range_knn_blocks`` for queries that go to the tasks as one matrix."""
+    spark, rows = base.sparkSession, q.select("qid", "qvec", "lo", "hi", "k").toArrow()
     if not rows.num_rows:
         return spark.createDataFrame([], "qid long, rnk int, vid long, dist double")
     qid = rows.column("qid").to_numpy()

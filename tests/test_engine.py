@@ -188,7 +188,7 @@ def test_large_batches_are_split(spark, work, monkeypatch):
     """Beyond the broadcast bound, exact searches go by segments or in blocks, with the same results."""
     base, q = work
     want = rows(range_knn(base, q).select("qid", "rnk", "vid"))
-    monkeypatch.setattr(exact, "MOST_BYTES", 5000)
+    monkeypatch.setattr(exact, "MOST_BYTES", 15_000)
     assert exact.batch_blocks(q) > 1
     assert rows(range_knn_blocks(base, q).select("qid", "rnk", "vid")) == want == rows(range_knn(base, q).select("qid", "rnk", "vid"))
 
