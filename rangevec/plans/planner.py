@@ -104,7 +104,7 @@ def adapt(index, old: DataFrame, base: DataFrame, threshold: float = 0.2, sample
     q = base.where(uniform("vid", "recalibration") < sample).select(F.col("vid").alias("qid"), F.col("vec").alias("qvec"))
     _, points = calibrate(index, base, settle(rank_ranges(base, q, how.get("k", 10), salt="recalibration")), **how)
     p = points.first()
-    return RangeIndex(index.spark, index.nodes, replace(index.manifest, tau=(p["tau_a"], p["tau_b"])))
+    return RangeIndex(index.spark, replace(index.manifest, tau=(p["tau_a"], p["tau_b"])))
 
 
 def narrowest(queries: DataFrame, estimates: dict[str, DataFrame]) -> DataFrame:
