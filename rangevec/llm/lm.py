@@ -1,4 +1,4 @@
-"""Interpolated modified Kneser-Ney bigram model: counted in Spark, kept as sorted arrays that workers map into memory."""
+"""Interpolated modified Kneser-Ney model of order two or three: counted in Spark, kept as sorted arrays that workers map into memory."""
 
 from __future__ import annotations
 
@@ -23,6 +23,7 @@ FLUSH = 3_000_000
 LEAST_PARTS = 32
 PART_BYTES, PART_TOKENS = 64 << 20, 1 << 21
 LOW32 = np.uint64((1 << 32) - 1)
+BLOB = pa.schema([("part", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())])
 
 
 def _put(folder: str, name: str, array: np.ndarray) -> None:
@@ -137,12 +138,82 @@ def _discounts(n: list[int]) -> np.ndarray:
     return np.array([0.0, *(min(max(k - (k + 1) * y * b / a, 0.0), float(k)) for k, a, b in ((1, n1, n2), (2, n2, n3), (3, n3, n4)))])
 
 
+@dataclass
+class Pairs:
+    """Sorted bigram keys in parts. A bigram's place is its number among all; ``first`` holds the place at which each part begins, and the end."""
+
+    folder: str
+    bounds: np.ndarray
+    first: np.ndarray
+
+    def find(self, keys: np.ndarray, *tallies: str) -> list[np.ndarray]:
+        """Place (-1: unknown) and the named counts of sorted keys."""
+        out = [np.full(len(keys), -1, np.int64), *(np.zeros(len(keys), np.int64) for _ in tallies)]
+        ends = np.searchsorted(keys, np.append(self.bounds[1:], np.uint64(2**64 - 1)), "left")
+        lo = int(np.searchsorted(keys, self.bounds[0])) if len(self.bounds) else len(keys)
+        for p, hi in enumerate(ends[: len(self.bounds)]):
+            if hi > lo:
+                have = _get(self.folder, f"pairs-{p}")
+                i = np.minimum(np.searchsorted(have, keys[lo:hi]), len(have) - 1)
+                ok = have[i] == keys[lo:hi]
+                out[0][lo:hi] = np.where(ok, self.first[p] + i, -1)
+                for tally, to in zip(tallies, out[1:], strict=True):
+                    to[lo:hi] = np.where(ok, _get(self.folder, f"{tally}-{p}")[i], 0)
+                lo = hi
+        return out
+
+
+@dataclass
+class Triples:
+    """Sorted trigram keys: a bigram's place above ``bits`` bits of the word behind it. The trigrams of a part of the bigrams lie in the sub-parts from ``start`` on, by word."""
+
+    pairs: Pairs
+    start: np.ndarray
+    bits: int
+
+    def sub_part(self, keys: np.ndarray) -> np.ndarray:
+        p = np.searchsorted(self.pairs.first, (keys >> np.uint64(self.bits)).astype(np.int64), "right") - 1
+        word = (keys & np.uint64((1 << self.bits) - 1)) * np.uint64(0x9E3779B97F4A7C15)
+        return self.start[p] + ((word >> np.uint64(40)) % np.diff(self.start)[p].astype(np.uint64)).astype(np.int64)
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        """Counts of sorted keys."""
+        out = np.zeros(len(keys), np.int64)
+        s = self.sub_part(keys)
+        order = np.argsort(s, kind="stable")
+        cuts = np.flatnonzero(np.diff(s[order], prepend=-1))
+        for lo, hi in zip(cuts, np.append(cuts[1:], len(s)) if len(s) else cuts, strict=True):
+            at = order[lo:hi]
+            have, n = _get(self.pairs.folder, f"triples-{s[at[0]]}"), _get(self.pairs.folder, f"triple_times-{s[at[0]]}")
+            if len(have):
+                i = np.minimum(np.searchsorted(have, keys[at]), len(have) - 1)
+                out[at] = np.where(have[i] == keys[at], n[i], 0)
+        return out
+
+    def kinds(self, place: np.ndarray) -> np.ndarray:
+        """For bigrams in order of place (-1: unknown) the numbers of words that follow them once, twice and more often."""
+        out = np.zeros((len(place), 3), np.int64)
+        ends = np.searchsorted(place, self.pairs.first[1:], "left")
+        lo = int(np.searchsorted(place, 0))
+        for p, hi in enumerate(ends):
+            if hi > lo:
+                for s in range(self.start[p], self.start[p + 1]):
+                    out[lo:hi] += _get(self.pairs.folder, f"behind-{s}")[place[lo:hi] - self.pairs.first[p]]
+                lo = hi
+        return out
+
+
 @dataclass
 class Model:
+    """``cut`` and ``cut3`` are what bigram and trigram counts lose; without ``triples`` the order is two. ``tally`` names the bigram counts: of places, or of words before."""
+
     vocabulary: Vocabulary
     docs: int
-    bounds: np.ndarray
-    split: dict[int, tuple[int, int, int]]
+    pairs: Pairs
+    triples: Triples | None
+    tally: str
+    split: dict[int, tuple[int, int, int, int]]
+    cut3: np.ndarray
     cut: np.ndarray
     low_cut: np.ndarray
     low_total: int
@@ -164,38 +235,56 @@ class Model:
         spare = float(self.low_cut[1:] @ self.low_kinds) / self.low_total
         return np.maximum(n - self.low_cut[np.minimum(n, 3)], 0) / self.low_total + spare / (v.size + 1)
 
-    def pairs(self, keys: np.ndarray) -> np.ndarray:
-        """Counts of sorted bigram keys."""
-        out = np.zeros(len(keys), np.int64)
-        ends = np.searchsorted(keys, np.append(self.bounds[1:], np.uint64(2**64 - 1)), "left")
-        lo = int(np.searchsorted(keys, self.bounds[0])) if len(self.bounds) else len(keys)
-        for p, hi in enumerate(ends[: len(self.bounds)]):
-            if hi > lo:
-                have, n = _get(self.vocabulary.folder, f"pairs-{p}"), _get(self.vocabulary.folder, f"times-{p}")
-                i = np.minimum(np.searchsorted(have, keys[lo:hi]), len(have) - 1)
-                out[lo:hi] = np.where(have[i] == keys[lo:hi], n[i], 0)
-                lo = hi
-        return out
-
     def kinds(self, context: np.ndarray) -> np.ndarray:
-        """For each context the numbers of words that follow it once, twice and more often."""
-        out = np.zeros((len(context), 3), np.int64)
+        """For each context the numbers of words with a count of one, two and more behind it, and the sum of the counts."""
+        out = np.zeros((len(context), 4), np.int64)
         order = np.argsort(context)
         sorted_ = context[order]
-        part = np.searchsorted(self.bounds, (sorted_.astype(np.uint64) << np.uint64(32)) | LOW32, "right") - 1
+        part = np.searchsorted(self.pairs.bounds, (sorted_.astype(np.uint64) << np.uint64(32)) | LOW32, "right") - 1
         for p in np.unique(part[(part >= 0) & (sorted_ >= 0)]):
             at = order[(part == p) & (sorted_ >= 0)]
             have = _get(self.vocabulary.folder, f"contexts-{p}")
             i = np.minimum(np.searchsorted(have["u"], context[at]), len(have) - 1)
             ok = have["u"][i] == context[at]
-            for j, c in enumerate(("n1", "n2", "n3")):
+            for j, c in enumerate(KINDS):
                 out[at, j] = np.where(ok, have[c][i], 0)
         for u, n in self.split.items():
             out[context == u] = n
         return out
 
 
-CONTEXT = np.dtype([("u", "<i8"), ("n1", "<i8"), ("n2", "<i8"), ("n3", "<i8")])
+KINDS = ("n1", "n2", "n3", "total")
+CONTEXT = np.dtype([("u", "<i8"), *((c, "<i8") for c in KINDS)])
+
+
+def _store_contexts(folder: str, p: int, u: np.ndarray, c: np.ndarray) -> None:
+    """The contexts of a part's bigrams; beside them numbers of bigrams with count 1 to 4, the first context and the last, as other parts may share them."""
+    at = np.flatnonzero(np.concatenate([[True], u[1:] != u[:-1]]))
+    ctx = np.zeros(len(at), CONTEXT)
+    ctx["u"] = u[at]
+    for name, value in (("n1", c == 1), ("n2", c == 2), ("n3", c > 2), ("total", c)):
+        ctx[name] = np.add.reduceat(value.astype(np.int64), at)
+    _put(folder, f"contexts-{p}", ctx)
+    _put(folder, f"level-{p}", np.array([*((c == i).sum() for i in range(1, 5)), *ctx[0].item(), *ctx[-1].item()], np.int64))
+
+
+def _narrow(c: np.ndarray) -> np.ndarray:
+    return c.astype("<u2") if not c.size or c.max() < 1 << 16 else c.astype("<u4")
+
+
+def _planes(numbers: np.ndarray) -> bytes:
+    """All first bytes, all second ones and so on: what shuffle files compress well."""
+    return np.ascontiguousarray(numbers.view(np.uint8).reshape(len(numbers), -1).T).tobytes()
+
+
+def _numbers(planes: bytes, dtype: str) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(planes, np.uint8).reshape(np.dtype(dtype).itemsize, -1).T).view(dtype).ravel()
+
+
+def _runs(sorted_: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Different values, and how often each is there."""
+    first = np.flatnonzero(np.concatenate([[True], sorted_[1:] != sorted_[:-1]])) if len(sorted_) else np.zeros(0, np.int64)
+    return sorted_[first], np.diff(np.append(first, len(sorted_)))
 
 
 def _tokens(texts: pa.Array, v: Vocabulary | None):
@@ -220,24 +309,30 @@ def _contexts(v: Vocabulary, h: np.ndarray, docs: int):
     return np.append(number, v.size), np.append(count, docs), np.append(mass, v.tokens)
 
 
-def fit(docs: DataFrame, learn: Column, text_col: str = "text") -> Model:
-    """Count all documents where ``learn`` holds.
+def fit(docs: DataFrame, learn: Column, text_col: str = "text", order: int = 3) -> Model:
+    """Count all documents where ``learn`` holds, for a model of order 2 or 3.
 
     Word counts come first and fix the word numbers. A bigram's key is its two numbers. Keys are dealt to parts of about equal
     tokens: under independence a pair's place among all tokens follows from the word counts, which also splits frequent contexts.
+    A trigram's key is the place of its first two words among all bigrams, and its last word; it lies with that bigram's part, in as many
+    sub-parts as the part's tokens ask for. Of order three, a bigram counts the different words before it; behind the begin of
+    a text, where none is, its occurrences. The first token of a text is scored behind the begin alone. Where no gram of a level has
+    one of the counts 1 to 4, that level's counts lose 0.5, 0.75 and 0.9. More than 2^32 words, or place and word of more
+    than 64 bits, raise an error.
     """
+    if order not in (2, 3):
+        raise ValueError("the order is 2 or 3")
     spark = docs.sparkSession
     folder = f"{shared_folder(spark).rstrip('/')}/lm-{uuid.uuid4().hex}"
     rows = docs.where(learn).select(F.coalesce(F.col(text_col), F.lit("")).alias("text"))
     size = int(str(rows._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
     bits = max(LEAST_PARTS.bit_length() - 1, min(16, (size // PART_BYTES).bit_length()))
-    word_schema = pa.schema([("part", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())])
 
     def blobs(part: np.ndarray, k: np.ndarray, c: np.ndarray):
         """One row for each part; keys are sorted, and parts follow them."""
-        at = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]])) if len(k) else []
-        for lo, hi in zip(at, [*at[1:], len(k)], strict=True):
-            yield pa.RecordBatch.from_arrays([pa.array([int(part[lo])], pa.int32()), pa.array([k[lo:hi].tobytes()], pa.binary()), pa.array([c[lo:hi].astype("<u4").tobytes()], pa.binary())], schema=word_schema)
+        at = np.flatnonzero(np.diff(part, prepend=-1))
+        for lo, hi in zip(at, np.append(at[1:], len(k)) if len(k) else at, strict=True):
+            yield pa.RecordBatch.from_arrays([pa.array([int(part[lo])], pa.int32()), pa.array([_planes(np.diff(k[lo:hi], prepend=np.uint64(0)))], pa.binary()), pa.array([_planes(c[lo:hi].astype("<u4"))], pa.binary())], schema=BLOB)
 
     def words(batches):
         def key_of(b):
@@ -247,7 +342,7 @@ def fit(docs: DataFrame, learn: Column, text_col: str = "text") -> Model:
         yield from _counted(batches, key_of, lambda k, c: blobs((k >> np.uint64(64 - bits)).astype(np.int64), k, c))
 
     def read(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
-        return _merge([np.frombuffer(x, np.uint64) for x in table.column("keys").to_pylist()], [np.frombuffer(x, "<u4").astype(np.int64) for x in table.column("counts").to_pylist()])
+        return _merge([np.cumsum(_numbers(x, "<u8"), dtype=np.uint64) for x in table.column("keys").to_pylist()], [_numbers(x, "<u4").astype(np.int64) for x in table.column("counts").to_pylist()])
 
     def store_words(table: pa.Table) -> pa.Table:
         p = table.column("part")[0].as_py()
@@ -272,9 +367,7 @@ def fit(docs: DataFrame, learn: Column, text_col: str = "text") -> Model:
         def key_of(b):
             codes, before, _, h = _tokens(b.column("text"), v)
             number, _, _ = _contexts(v, h, begun)
-            k = np.sort((number[before].astype(np.uint64) << np.uint64(32)) | number[codes].astype(np.uint64))
-            first = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]]))
-            return k[first], np.diff(np.append(first, len(k)))
+            return _runs(np.sort((number[before].astype(np.uint64) << np.uint64(32)) | number[codes].astype(np.uint64)))
 
         def emit(k, c):
             yield from blobs(_part_of(v, begun, parts, k), k, c)
@@ -285,19 +378,15 @@ def fit(docs: DataFrame, learn: Column, text_col: str = "text") -> Model:
         p = table.column("part")[0].as_py()
         k, c = read(table)
         u = (k >> np.uint64(32)).astype(np.int64)
-        at = np.flatnonzero(np.concatenate([[True], u[1:] != u[:-1]]))
-        ctx = np.zeros(len(at), CONTEXT)
-        ctx["u"] = u[at]
-        for name, hit in (("n1", c == 1), ("n2", c == 2), ("n3", c > 2)):
-            ctx[name] = np.add.reduceat(hit.astype(np.int64), at)
+        if order == 2:
+            _store_contexts(folder, p, u, c)
         _put(folder, f"pairs-{p}", k)
-        _put(folder, f"times-{p}", c.astype("<u2") if c.max() < 1 << 16 else c.astype("<u4"))
-        _put(folder, f"contexts-{p}", ctx)
-        _put(folder, f"stats-{p}", np.array([int(k[0] >> np.uint64(32)), int(k[0] & LOW32), *(int((c == i).sum()) for i in range(1, 5))], np.int64))
+        _put(folder, f"times-{p}", _narrow(c))
+        _put(folder, f"stats-{p}", np.array([int(u[0]), int(k[0] & LOW32), len(k), int(c.sum())], np.int64))
         w, times = np.unique((k & LOW32).astype(np.int64), return_counts=True)
         part = np.searchsorted(v.first, w, "right") - 1
         own = list(blobs(part, w.astype(np.uint64), times))
-        return pa.Table.from_batches(own, schema=word_schema)
+        return pa.Table.from_batches(own, schema=BLOB)
 
     def store_after(table: pa.Table) -> pa.Table:
         p = table.column("part")[0].as_py()
@@ -311,20 +400,86 @@ def fit(docs: DataFrame, learn: Column, text_col: str = "text") -> Model:
     known = _known_parts(folder, parts) if v.tokens else []
     stats = [_get(folder, f"stats-{p}") for p in known]
     if len(known) < parts and known:
-        _rename(folder, known)
+        _rename(folder, known, ("pairs", "times", "stats", *(("contexts", "level") if order == 2 else ())))
     bounds = np.array([(int(s[0]) << 32) | int(s[1]) for s in stats], np.uint64)
+    bigrams = Pairs(folder, bounds, np.concatenate([[0], np.cumsum([s[2] for s in stats])]).astype(np.int64))
+    low_n = [sum(r[f"n{i}"] for r in low) for i in range(1, 5)]
+    low_kinds = np.array([low_n[0], low_n[1], sum(r["n"] for r in low) - low_n[0] - low_n[1]])
+    triples, cut3 = None, _discounts([0, 0, 0, 0])
+    if order == 3 and stats:
+        triples, cut3 = _fit_triples(rows, v, begun, bigrams, np.array([s[3] for s in stats]), blobs, read)
+    levels = [_get(folder, f"level-{p}") for p in range(len(stats))]
     ends: dict[int, np.ndarray] = {}
     seen: dict[int, int] = {}
-    for p in range(len(stats)):
-        ctx = _get(folder, f"contexts-{p}")
-        for row in {0, len(ctx) - 1}:
-            u = int(ctx[row]["u"])
-            ends[u] = ends.get(u, 0) + np.array([ctx[row][c] for c in ("n1", "n2", "n3")])
+    for level in levels:
+        for u, *n in {tuple(level[4:9].tolist()), tuple(level[9:].tolist())}:
+            ends[u] = ends.get(u, 0) + np.array(n)
             seen[u] = seen.get(u, 0) + 1
     split = {u: tuple(map(int, ends[u])) for u, times in seen.items() if times > 1}
-    low_n = [sum(r[f"n{i}"] for r in low) for i in range(1, 5)]
-    kinds = np.array([low_n[0], low_n[1], sum(r["n"] for r in low) - low_n[0] - low_n[1]])
-    return Model(v, begun, bounds, split, _discounts([int(sum(s[1 + i] for s in stats)) for i in range(1, 5)]), _discounts(low_n), sum(r["total"] for r in low), kinds)
+    cut = _discounts([int(sum(level[i] for level in levels)) for i in range(4)])
+    return Model(v, begun, bigrams, triples, "adjusted" if triples else "times", split, cut3, cut, _discounts(low_n), sum(r["total"] for r in low), low_kinds)
+
+
+def _fit_triples(rows: DataFrame, v: Vocabulary, begun: int, pairs: Pairs, tokens: np.ndarray, blobs, read) -> tuple[Triples, np.ndarray]:
+    """Count trigrams, and for each bigram the different words before it."""
+    spark, folder = rows.sparkSession, v.folder
+    bits = v.size.bit_length()
+    if int(pairs.first[-1]).bit_length() + bits > 64:
+        raise ValueError("place and word of a trigram have more than 64 bits")
+    triples = Triples(pairs, np.concatenate([[0], np.cumsum(np.maximum(1, -(-tokens // (2 * PART_TOKENS))))]).astype(np.int64), bits)
+    word = np.uint64((1 << bits) - 1)
+
+    def count(batches):
+        def key_of(b):
+            codes, before, offs, h = _tokens(b.column("text"), v)
+            number, _, _ = _contexts(v, h, begun)
+            distinct, inv = np.unique((number[before].astype(np.uint64) << np.uint64(32)) | number[codes].astype(np.uint64), return_inverse=True)
+            inner = np.ones(len(codes), bool)
+            inner[offs[:-1]] = False
+            at = np.flatnonzero(inner)
+            place = pairs.find(distinct)[0].astype(np.uint64)
+            return _runs(np.sort((place[inv[at - 1]] << np.uint64(bits)) | number[codes[at]].astype(np.uint64)))
+
+        def emit(k, c):
+            s = triples.sub_part(k)
+            order = np.argsort(s, kind="stable")
+            yield from blobs(s[order], k[order], c[order])
+
+        yield from _counted(batches, key_of, emit)
+
+    def store(table: pa.Table) -> pa.Table:
+        s = table.column("part")[0].as_py()
+        p = int(np.searchsorted(triples.start, s, "right")) - 1
+        k, c = read(table)
+        _put(folder, f"triples-{s}", k)
+        _put(folder, f"triple_times-{s}", _narrow(c))
+        own = _get(folder, f"pairs-{p}")
+        local = (k >> np.uint64(bits)).astype(np.int64) - pairs.first[p]
+        _put(folder, f"behind-{s}", _narrow(np.bincount(local * 3 + np.minimum(c, 3) - 1, minlength=3 * len(own)).reshape(-1, 3)))
+        _put(folder, f"triple_stats-{s}", np.array([(c == i).sum() for i in range(1, 5)], np.int64))
+        back, before = _runs(np.sort((own[local] & LOW32) << np.uint64(32) | (k & word)))
+        return pa.Table.from_batches(list(blobs(np.searchsorted(pairs.bounds, back, "right") - 1, back, before)), schema=BLOB)
+
+    def adjust(table: pa.Table) -> pa.Table:
+        p = table.column("part")[0].as_py()
+        own, n = _get(folder, f"pairs-{p}"), _get(folder, f"times-{p}")
+        u = (own >> np.uint64(32)).astype(np.int64)
+        k, c = read(table)
+        adjusted = np.where(u == v.size, n, 0).astype(np.int64)
+        adjusted[np.searchsorted(own, k)] = c
+        _put(folder, f"adjusted-{p}", _narrow(adjusted))
+        _store_contexts(folder, p, u, adjusted)
+        return pa.table({"part": pa.array([p], pa.int32())})
+
+    def every(n: int) -> DataFrame:
+        """A row without keys for each part, so that none lacks its files."""
+        return spark.range(n).selectExpr("CAST(id AS int) AS part", "CAST('' AS binary) AS keys", "CAST('' AS binary) AS counts")
+
+    blob = "part int, keys binary, counts binary"
+    subs = int(triples.start[-1])
+    back = rows.mapInArrow(count, blob).unionByName(every(subs)).groupBy("part").applyInArrow(store, blob)
+    back.unionByName(every(len(pairs.bounds))).groupBy("part").applyInArrow(adjust, "part int").collect()
+    return triples, _discounts(np.sum([_get(folder, f"triple_stats-{s}") for s in range(subs)], axis=0).tolist())
 
 
 def _part_of(v: Vocabulary, begun: int, parts: int, k: np.ndarray) -> np.ndarray:
@@ -356,11 +511,11 @@ def _known_parts(folder: str, parts: int) -> list[int]:
     return [p for p, i in enumerate(fs.get_file_info([f"{path}/stats-{p}.npy" for p in range(parts)])) if i.type != pafs.FileType.NotFound]
 
 
-def _rename(folder: str, known: list[int]) -> None:
+def _rename(folder: str, known: list[int], names: tuple[str, ...]) -> None:
     """Close the gaps that empty parts leave."""
     fs, path = pafs.FileSystem.from_uri(folder if "://" in folder or folder.startswith("file:") else f"file://{folder}")
     for new, old in enumerate(known):
-        for name in ("pairs", "times", "contexts", "stats") if new != old else ():
+        for name in names if new != old else ():
             fs.move(f"{path}/{name}-{old}.npy", f"{path}/{name}-{new}.npy")
     _get.cache_clear()
 
@@ -369,7 +524,7 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
     """One row per document: id, ``n_tokens``, ``n_known``, ``train_tokens``, ``base_score``, ``score`` and ``perplexity``.
 
     Words are ``[^\\x20\\x09-\\x0D]+`` after lower-casing A-Z, an end behind them counts as a token, null counts as an empty text. ``base_score`` is
-    the log10 probability under add-one smoothed word counts, ``score`` that of the bigram model. Rows that repeat an id are scored
+    the log10 probability under add-one smoothed word counts, ``score`` that of the model. Rows that repeat an id are scored
     one by one. Other columns are ignored; an empty table gives an empty result.
     """
     shared = docs.sparkSession.sparkContext.broadcast(model)
@@ -388,11 +543,23 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
             both = (u >= 0) & (w >= 0)
             key = np.where(both, (u.astype(np.uint64) << np.uint64(32)) | w.astype(np.uint64), np.uint64(2**64 - 1))
             distinct, inv = np.unique(key, return_inverse=True)
-            c = np.where(both, m.pairs(distinct)[inv], 0)
-            times = count[before]
-            seen = (u >= 0) & (times > 0) & (kinds.sum(axis=1)[before] > 0)
-            spare = (kinds @ m.cut[1:])[before]
-            p = np.where(seen, (np.maximum(c - m.cut[np.minimum(c, 3)], 0) + spare * low[codes]) / np.maximum(times, 1), low[codes])
+            place, c, *raw = m.pairs.find(distinct, m.tally, *(["times"] if m.triples else []))
+            c = c[inv]
+            spare, times = (kinds[:, :3] @ m.cut[1:])[before], kinds[:, 3][before]
+            p = np.where(times > 0, (np.maximum(c - m.cut[np.minimum(c, 3)], 0) + spare * low[codes]) / np.maximum(times, 1), low[codes])
+            if m.triples:
+                inner = np.ones(len(codes), bool)
+                inner[offs[:-1]] = False
+                at = np.flatnonzero(inner)
+                behind = np.zeros((len(distinct), 3), np.int64)
+                known = place >= 0
+                behind[known] = m.triples.kinds(place[known])
+                at = at[behind.any(axis=1)[inv[at - 1]]]
+                pair, w = inv[at - 1], w[at]
+                key = (place[pair].astype(np.uint64) << np.uint64(m.triples.bits)) | np.maximum(w, 0).astype(np.uint64)
+                distinct, same = np.unique(key, return_inverse=True)
+                c = np.where(w >= 0, m.triples.find(distinct)[same], 0)
+                p[at] = (np.maximum(c - m.cut3[np.minimum(c, 3)], 0) + (behind @ m.cut3[1:])[pair] * p[at]) / raw[0][pair]
             n = np.diff(offs)
             total = by_row(np.log10(p), offs)
             yield pa.RecordBatch.from_arrays([b.column("_id"), pa.array(n), pa.array(by_row((count[codes] > 0).astype(np.int64), offs)), pa.array(np.full(len(n), v.tokens)), pa.array(by_row(base[codes], offs)), pa.array(total), pa.array(10 ** np.minimum(-total / n, 300))], schema=schema)

@@ -247,9 +247,9 @@ def test_licenses(spark):
     assert licenses.scan(frame(spark, [])).collect() == []
 
 
-def brute_lm(rows, learn):
+def brute_lm(rows, learn, order):
     tokens = {n: [*WORD.findall(low(t)), None] for n, (_, t) in enumerate(rows)}
-    uni, bi, follows, kinds = Counter(), Counter(), defaultdict(set), defaultdict(Counter)
+    uni, bi, tri, follows, kinds, kinds3, preceded = Counter(), Counter(), Counter(), defaultdict(set), defaultdict(Counter), defaultdict(Counter), defaultdict(set)
     docs = 0
     for n, own in tokens.items():
         if learn(rows[n][0]):
@@ -258,9 +258,18 @@ def brute_lm(rows, learn):
             for a, b in zip(["<begin>", *own[:-1]], own, strict=True):
                 bi[(a, b)] += 1
                 follows[b].add(a)
+            for a, b, c in zip(["<begin>", *own[:-2]], own[:-1], own[1:], strict=True) if len(own) > 1 else ():
+                tri[(a, b, c)] += 1
+                preceded[(b, c)].add(a)
+    seen = Counter(bi)
+    if order == 3:
+        bi = {k: len(preceded[k]) if k[0] != "<begin>" else c for k, c in seen.items()}
+    ctx = Counter()
     for (a, _), c in bi.items():
         kinds[a][min(c, 3)] += 1
-    ctx = {**uni, "<begin>": docs}
+        ctx[a] += c
+    for (a, b, _), c in tri.items():
+        kinds3[(a, b)][min(c, 3)] += 1
 
     def cut(counts):
         n = [sum(c == i for c in counts) for i in range(1, 5)]
@@ -269,6 +278,7 @@ def brute_lm(rows, learn):
         y = n[0] / (n[0] + 2 * n[1])
         return [0, *(min(max(k - (k + 1) * y * n[k] / n[k - 1], 0), k) for k in (1, 2, 3))]
 
+    f = cut(tri.values())
     d, e = cut(bi.values()), cut([len(x) for x in follows.values()])
     big, v, total = sum(uni.values()), len(uni), sum(len(x) for x in follows.values())
     spare0 = sum(e[min(len(x), 3)] for x in follows.values()) / total / (v + 1) if total else 1 / (v + 1)
@@ -280,19 +290,26 @@ def brute_lm(rows, learn):
     out = []
     for n, own in tokens.items():
         s = b = 0.0
-        for a, w in zip(["<begin>", *own[:-1]], own, strict=True):
+        for i, w in enumerate(own):
+            a = own[i - 1] if i else "<begin>"
             b += np.log10((uni.get(w, 0) + 1) / (big + v + 1))
-            if ctx.get(a, 0) and kinds[a]:
+            p = lower(w)
+            if kinds[a]:
                 c = bi.get((a, w), 0)
-                s += np.log10(max(c - d[min(c, 3)], 0) / ctx[a] + sum(d[k] * x for k, x in kinds[a].items()) / ctx[a] * lower(w))
-            else:
-                s += np.log10(lower(w))
+                p = max(c - d[min(c, 3)], 0) / ctx[a] + sum(d[k] * x for k, x in kinds[a].items()) / ctx[a] * p
+            h = (own[i - 2] if i > 1 else "<begin>", a)
+            if order == 3 and i and kinds3[h]:
+                c = tri.get((*h, w), 0)
+                p = max(c - f[min(c, 3)], 0) / seen[h] + sum(f[k] * x for k, x in kinds3[h].items()) / seen[h] * p
+            s += np.log10(p)
         out.append((rows[n][0], len(own), sum(uni.get(w, 0) > 0 for w in own), big, b, s))
     return out
 
 
-@pytest.mark.parametrize("learned", [True, False])
-def test_lm(spark, learned, monkeypatch):
+@pytest.mark.parametrize(("learned", "order", "part"), [(True, 2, None), (True, 3, None), (True, 3, 40), (False, 3, None)])
+def test_lm(spark, learned, order, part, monkeypatch):
+    if part:
+        monkeypatch.setattr(lm, "PART_TOKENS", part)
     rng = np.random.default_rng(4)
     vocab = [f"w{i}" for i in range(60)]
     rows = EDGE + [(1000 + i, " ".join(rng.choice(vocab, int(rng.integers(0, 40)), p=np.arange(60, 0, -1) / 1830))) for i in range(300)]
@@ -300,8 +317,8 @@ def test_lm(spark, learned, monkeypatch):
     learn = lambda i: learned and zlib.crc32(str(i).encode()) % 7 != 2
     from pyspark.sql import functions as F
 
-    got = lm.score(df, lm.fit(df, (remainder(7) != 2) & F.lit(learned))).collect()
-    want = sorted(brute_lm(rows, learn))
+    got = lm.score(df, lm.fit(df, (remainder(7) != 2) & F.lit(learned), order=order)).collect()
+    want = sorted(brute_lm(rows, learn, order))
     have = sorted((r["doc_id"], r["n_tokens"], r["n_known"], r["train_tokens"], r["base_score"], r["score"]) for r in got)
     assert [h[:4] for h in have] == [w[:4] for w in want]
     assert np.allclose([h[4:] for h in have], [w[4:] for w in want], rtol=1e-9)
