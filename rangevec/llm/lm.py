@@ -62,6 +62,21 @@ def _get(folder: str, name: str) -> np.ndarray:
     return np.load(path, mmap_mode="r")
 
 
+def _put_counts(folder: str, name: str, counts: np.ndarray) -> None:
+    """A byte for each count. 255 stands for what is no less: such counts follow in a list, by place."""
+    much = np.flatnonzero(counts >= 255)
+    _put(folder, f"much-{name}", np.stack([much, counts[much]]).astype("<i8"))
+    _put(folder, name, np.minimum(counts, 255).astype(np.uint8))
+
+
+def _get_counts(folder: str, name: str, at: np.ndarray) -> np.ndarray:
+    out = _get(folder, name)[at].astype(np.int64)
+    if (out == 255).any():
+        much = _get(folder, f"much-{name}")
+        out[out == 255] = much[1][np.searchsorted(much[0], at[out == 255])]
+    return out
+
+
 def _word_hashes(words: list[str]) -> np.ndarray:
     h = hashes(words)
     return np.where(h < 2, h + np.uint64(2), h)
@@ -158,7 +173,7 @@ class Pairs:
                 ok = have[i] == keys[lo:hi]
                 out[0][lo:hi] = np.where(ok, self.first[p] + i, -1)
                 for tally, to in zip(tallies, out[1:], strict=True):
-                    to[lo:hi] = np.where(ok, _get(self.folder, f"{tally}-{p}")[i], 0)
+                    to[lo:hi] = np.where(ok, _get_counts(self.folder, f"{tally}-{p}", i), 0)
                 lo = hi
         return out
 
@@ -184,10 +199,10 @@ class Triples:
         cuts = np.flatnonzero(np.diff(s[order], prepend=-1))
         for lo, hi in zip(cuts, np.append(cuts[1:], len(s)) if len(s) else cuts, strict=True):
             at = order[lo:hi]
-            have, n = _get(self.pairs.folder, f"triples-{s[at[0]]}"), _get(self.pairs.folder, f"triple_times-{s[at[0]]}")
+            have = _get(self.pairs.folder, f"triples-{s[at[0]]}")
             if len(have):
                 i = np.minimum(np.searchsorted(have, keys[at]), len(have) - 1)
-                out[at] = np.where(have[i] == keys[at], n[i], 0)
+                out[at] = np.where(have[i] == keys[at], _get_counts(self.pairs.folder, f"triple_times-{s[at[0]]}", i), 0)
         return out
 
     def kinds(self, place: np.ndarray) -> np.ndarray:
@@ -198,7 +213,7 @@ class Triples:
         for p, hi in enumerate(ends):
             if hi > lo:
                 for s in range(self.start[p], self.start[p + 1]):
-                    out[lo:hi] += _get(self.pairs.folder, f"behind-{s}")[place[lo:hi] - self.pairs.first[p]]
+                    out[lo:hi] += _get_counts(self.pairs.folder, f"behind-{s}", 3 * (place[lo:hi] - self.pairs.first[p])[:, None] + np.arange(3))
                 lo = hi
         return out
 
@@ -268,10 +283,6 @@ def _store_contexts(folder: str, p: int, u: np.ndarray, c: np.ndarray) -> None:
     _put(folder, f"level-{p}", np.array([*((c == i).sum() for i in range(1, 5)), *ctx[0].item(), *ctx[-1].item()], np.int64))
 
 
-def _narrow(c: np.ndarray) -> np.ndarray:
-    return c.astype("<u2") if not c.size or c.max() < 1 << 16 else c.astype("<u4")
-
-
 def _planes(numbers: np.ndarray) -> bytes:
     """All first bytes, all second ones and so on: what shuffle files compress well."""
     return np.ascontiguousarray(numbers.view(np.uint8).reshape(len(numbers), -1).T).tobytes()
@@ -381,7 +392,7 @@ def fit(docs: DataFrame, learn: Column, text_col: str = "text", order: int = 3)
         if order == 2:
             _store_contexts(folder, p, u, c)
         _put(folder, f"pairs-{p}", k)
-        _put(folder, f"times-{p}", _narrow(c))
+        _put_counts(folder, f"times-{p}", c)
         _put(folder, f"stats-{p}", np.array([int(u[0]), int(k[0] & LOW32), len(k), int(c.sum())], np.int64))
         w, times = np.unique((k & LOW32).astype(np.int64), return_counts=True)
         part = np.searchsorted(v.first, w, "right") - 1
@@ -400,7 +411,7 @@ def fit(docs: DataFrame, learn: Column, text_col: str = "text", order: int = 3)
     known = _known_parts(folder, parts) if v.tokens else []
     stats = [_get(folder, f"stats-{p}") for p in known]
     if len(known) < parts and known:
-        _rename(folder, known, ("pairs", "times", "stats", *(("contexts", "level") if order == 2 else ())))
+        _rename(folder, known, ("pairs", "times", "much-times", "stats", *(("contexts", "level") if order == 2 else ())))
     bounds = np.array([(int(s[0]) << 32) | int(s[1]) for s in stats], np.uint64)
     bigrams = Pairs(folder, bounds, np.concatenate([[0], np.cumsum([s[2] for s in stats])]).astype(np.int64))
     low_n = [sum(r[f"n{i}"] for r in low) for i in range(1, 5)]
@@ -452,22 +463,22 @@ def _fit_triples(rows: DataFrame, v: Vocabulary, begun: int, pairs: Pairs, token
         p = int(np.searchsorted(triples.start, s, "right")) - 1
         k, c = read(table)
         _put(folder, f"triples-{s}", k)
-        _put(folder, f"triple_times-{s}", _narrow(c))
+        _put_counts(folder, f"triple_times-{s}", c)
         own = _get(folder, f"pairs-{p}")
         local = (k >> np.uint64(bits)).astype(np.int64) - pairs.first[p]
-        _put(folder, f"behind-{s}", _narrow(np.bincount(local * 3 + np.minimum(c, 3) - 1, minlength=3 * len(own)).reshape(-1, 3)))
+        _put_counts(folder, f"behind-{s}", np.bincount(local * 3 + np.minimum(c, 3) - 1, minlength=3 * len(own)))
         _put(folder, f"triple_stats-{s}", np.array([(c == i).sum() for i in range(1, 5)], np.int64))
         back, before = _runs(np.sort((own[local] & LOW32) << np.uint64(32) | (k & word)))
         return pa.Table.from_batches(list(blobs(np.searchsorted(pairs.bounds, back, "right") - 1, back, before)), schema=BLOB)
 
     def adjust(table: pa.Table) -> pa.Table:
         p = table.column("part")[0].as_py()
-        own, n = _get(folder, f"pairs-{p}"), _get(folder, f"times-{p}")
+        own = _get(folder, f"pairs-{p}")
         u = (own >> np.uint64(32)).astype(np.int64)
         k, c = read(table)
-        adjusted = np.where(u == v.size, n, 0).astype(np.int64)
+        adjusted = np.where(u == v.size, _get_counts(folder, f"times-{p}", np.arange(len(own))), 0)
         adjusted[np.searchsorted(own, k)] = c
-        _put(folder, f"adjusted-{p}", _narrow(adjusted))
+        _put_counts(folder, f"adjusted-{p}", adjusted)
         _store_contexts(folder, p, u, adjusted)
         return pa.table({"part": pa.array([p], pa.int32())})
 

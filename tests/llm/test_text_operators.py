@@ -313,6 +313,8 @@ def test_lm(spark, learned, order, part, monkeypatch):
     rng = np.random.default_rng(4)
     vocab = [f"w{i}" for i in range(60)]
     rows = EDGE + [(1000 + i, " ".join(rng.choice(vocab, int(rng.integers(0, 40)), p=np.arange(60, 0, -1) / 1830))) for i in range(300)]
+    # Counts and numbers of followers that a byte does not hold.
+    rows += [(2000 + i, "a " * 300 + " ".join(f"x y z{j}" for j in range(300))) for i in range(3)]
     df = frame(spark, rows)
     learn = lambda i: learned and zlib.crc32(str(i).encode()) % 7 != 2
     from pyspark.sql import functions as F
