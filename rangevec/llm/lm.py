@@ -16,7 +16,7 @@ import pyarrow as pa
 import pyarrow.fs as pafs
 from pyspark.sql import Column, DataFrame, functions as F
 
-from .shared import Words, by_row, hashes, shared_folder, slices
+from .shared import Words, by_row, hashes, shared_folder, slices, tidy
 
 END = np.uint64(0)
 FLUSH = 3_000_000
@@ -417,6 +417,7 @@ def fit(docs: DataFrame, learn: Column, text_col: str = "text", order: int = 3)
     low_n = [sum(r[f"n{i}"] for r in low) for i in range(1, 5)]
     low_kinds = np.array([low_n[0], low_n[1], sum(r["n"] for r in low) - low_n[0] - low_n[1]])
     triples, cut3 = None, _discounts([0, 0, 0, 0])
+    tidy(spark)
     if order == 3 and stats:
         triples, cut3 = _fit_triples(rows, v, begun, bigrams, np.array([s[3] for s in stats]), blobs, read)
     levels = [_get(folder, f"level-{p}") for p in range(len(stats))]
@@ -490,6 +491,8 @@ def _fit_triples(rows: DataFrame, v: Vocabulary, begun: int, pairs: Pairs, token
     subs = int(triples.start[-1])
     back = rows.mapInArrow(count, blob).unionByName(every(subs)).groupBy("part").applyInArrow(store, blob)
     back.unionByName(every(len(pairs.bounds))).groupBy("part").applyInArrow(adjust, "part int").collect()
+    del back
+    tidy(spark)
     return triples, _discounts(np.sum([_get(folder, f"triple_stats-{s}") for s in range(subs)], axis=0).tolist())
 
 
