@@ -245,7 +245,7 @@ class Model:
         lo = int(np.searchsorted(number[order], 0))
         for p, hi in enumerate(ends):
             if hi > lo:
-                n[order[lo:hi]] = _get(v.folder, f"after-{p}")[number[order[lo:hi]] - v.first[p]]
+                n[order[lo:hi]] = _get_counts(v.folder, f"after-{p}", number[order[lo:hi]] - v.first[p])
                 lo = hi
         spare = float(self.low_cut[1:] @ self.low_kinds) / self.low_total
         return np.maximum(n - self.low_cut[np.minimum(n, 3)], 0) / self.low_total + spare / (v.size + 1)
@@ -269,7 +269,7 @@ class Model:
 
 
 KINDS = ("n1", "n2", "n3", "total")
-CONTEXT = np.dtype([("u", "<i8"), *((c, "<i8") for c in KINDS)])
+CONTEXT = np.dtype([("u", "<u4"), *((c, "<u4") for c in KINDS[:3]), ("total", "<i8")])
 
 
 def _store_contexts(folder: str, p: int, u: np.ndarray, c: np.ndarray) -> None:
@@ -404,7 +404,7 @@ def fit(docs: DataFrame, learn: Column, text_col: str = "text", order: int = 3)
         k, c = read(table)
         after = np.zeros(v.first[p + 1] - v.first[p], "<u4")
         after[k.astype(np.int64) - v.first[p]] = c
-        _put(folder, f"after-{p}", after)
+        _put_counts(folder, f"after-{p}", after)
         return pa.table({"part": pa.array([p], pa.int32()), "total": pa.array([int(c.sum())], pa.int64()), **{f"n{i}": pa.array([int((c == i).sum())], pa.int64()) for i in range(1, 5)}, "n": pa.array([len(c)], pa.int64())})
 
     low = rows.mapInArrow(pairs, blob).groupBy("part").applyInArrow(store_pairs, blob).groupBy("part").applyInArrow(store_after, "part int, total long, n1 long, n2 long, n3 long, n4 long, n long").collect()
