@@ -284,12 +284,14 @@ def _store_contexts(folder: str, p: int, u: np.ndarray, c: np.ndarray) -> None:
 
 
 def _planes(numbers: np.ndarray) -> bytes:
-    """All first bytes, all second ones and so on: what shuffle files compress well."""
-    return np.ascontiguousarray(numbers.view(np.uint8).reshape(len(numbers), -1).T).tobytes()
+    """All first bytes, all second ones and so on, compressed behind their length."""
+    raw = np.ascontiguousarray(numbers.view(np.uint8).reshape(len(numbers), -1).T).tobytes()
+    return len(raw).to_bytes(8, "little") + pa.compress(raw, codec="zstd", asbytes=True)
 
 
 def _numbers(planes: bytes, dtype: str) -> np.ndarray:
-    return np.ascontiguousarray(np.frombuffer(planes, np.uint8).reshape(np.dtype(dtype).itemsize, -1).T).view(dtype).ravel()
+    raw = pa.decompress(planes[8:], int.from_bytes(planes[:8], "little"), codec="zstd", asbytes=True) if planes else b""
+    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(np.dtype(dtype).itemsize, -1).T).view(dtype).ravel()
 
 
 def _runs(sorted_: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
