@@ -95,6 +95,19 @@ def late_counts(stream: DataFrame, late: str, window: str, folder: str, checkpoi
     return counts.writeStream.outputMode("update").foreachBatch(write).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def folder_result(df: DataFrame, root: str) -> DataFrame:
+    """Run a bounded stream of appended rows to its end into files under ``root``, for results of any size: no row passes the driver, and state lies in RocksDB beside the heap."""
+    spark, key = df.sparkSession, "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(key)
+    spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        q = df.writeStream.format("parquet").option("path", f"{root}/out").option("checkpointLocation", f"{root}/checkpoint").trigger(availableNow=True).start()
+    finally:
+        spark.conf.set(key, before)
+    q.awaitTermination()
+    return spark.read.schema(df.schema).parquet(f"{root}/out")
+
+
 def memory_result(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
     """Run a bounded stream to its end into memory, for small results."""
     q = df.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()

@@ -269,3 +269,12 @@ def test_core_needs_no_pipeline():
     """Without the pipeline's folder and file the entry module still imports."""
     code = "import sys, importlib.abc\nclass No(importlib.abc.MetaPathFinder):\n    def find_spec(self, name, path, target=None):\n        if name == 'corpus_pipeline' or name.startswith('rangevec.llm'):\n            raise ModuleNotFoundError(name=name)\nsys.meta_path.insert(0, No())\nimport __spark_entry__ as e\nassert len(e.queries()) > 100 and not any(n.startswith('op') for n in e.queries())"
     subprocess.run([sys.executable, "-c", code], check=True, cwd=__spark_entry__.__file__.rsplit("/", 1)[0])
+
+
+def test_stream_results_are_files(spark, sf):
+    """A stream's deduplicated rows lie in files, none in the driver's memory; the session's state store stays as it was."""
+    before = spark.conf.get("spark.sql.streaming.stateStore.providerClass")
+    got = vector_queries.QUERIES["stream_dedup"](spark, sf)
+    assert got.inputFiles()
+    assert sorted(r[0] for r in got.collect()) == sorted(r[0] for r in tables.load(spark, sf, "events").select("event_id").collect())
+    assert spark.conf.get("spark.sql.streaming.stateStore.providerClass") == before
