@@ -278,3 +278,40 @@ def test_stream_results_are_files(spark, sf):
     assert got.inputFiles()
     assert sorted(r[0] for r in got.collect()) == sorted(r[0] for r in tables.load(spark, sf, "events").select("event_id").collect())
     assert spark.conf.get("spark.sql.streaming.stateStore.providerClass") == before
+
+
+@pytest.mark.parametrize(("metric", "spread"), [("l2", None), ("cosine", None), ("ip", None), ("l2", 3.0)])
+def test_best_over_blocks(metric, spread, monkeypatch):
+    """The k best by tiles and blocks are those of all distances, with ties, repeated and zero vectors, open ranges and different k; no tile is larger than its bound."""
+    r, n, nq = np.random.default_rng(0), 700, 60
+    v, x = np.round(r.normal(size=(n, 8)), 1), np.round(r.normal(size=(nq, 8)), 1)
+    v[5], v[100:300] = 0, v[99]
+    attr, lo, vid, ks = r.integers(0, 50, n) * 1.0, r.integers(0, 50, nq) * 1.0, r.permutation(n), r.integers(1, 12, nq)
+    hi = lo + r.integers(0, 30, nq)
+    if spread is None:
+        lo[0], hi[1] = -np.inf, np.inf
+    monkeypatch.setattr(exact._Best, "TILE", 1000)
+    best, sizes = exact._Best(x, lo, hi, ks, metric, spread), []
+    rough = best._rough
+    best._rough = lambda at, *a: sizes.append((at.stop - at.start) * len(a[0])) or rough(at, *a)
+    for i in range(0, n, 64):
+        best.see(v[i : i + 64], attr[i : i + 64], vid[i : i + 64])
+    assert max(sizes) <= 1000
+    want = []
+    for i in range(nq):
+        with np.errstate(invalid="ignore"):
+            dot = (v * x[i]).sum(axis=1)
+            d = {"l2": np.sqrt(((v - x[i]) ** 2).sum(axis=1)), "ip": -dot, "cosine": 1 - dot / (np.sqrt((v**2).sum(axis=1)) * np.sqrt((x[i] ** 2).sum()))}[metric]
+        if spread:
+            d = d + np.maximum(np.abs(attr - (lo[i] + hi[i]) / 2) - (hi[i] - lo[i]) / 2, 0) / spread
+        inside = np.flatnonzero((attr >= lo[i]) & (attr <= hi[i]) if spread is None else np.ones(n, bool))
+        want += [(i, int(vid[a]), float(d[a])) for a in inside[np.lexsort([vid[inside], d[inside]])][: ks[i]]]
+    got = [(int(a), int(b), float(c)) for a, b, c in zip(*best.rows(), strict=True)]
+    assert [g[:2] for g in got] == [w[:2] for w in want] and np.allclose([g[2] for g in got], [w[2] for w in want], rtol=0, atol=1e-12, equal_nan=True)
+
+
+@pytest.mark.parametrize("name", ["exact_cosine"])
+def test_exact_queries_go_by_products(spark, sf, name):
+    """No join of every query with every object."""
+    plan = vector_queries.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "NestedLoop" not in plan and "Cartesian" not in plan
