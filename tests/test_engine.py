@@ -310,7 +310,7 @@ def test_best_over_blocks(metric, spread, monkeypatch):
     assert [g[:2] for g in got] == [w[:2] for w in want] and np.allclose([g[2] for g in got], [w[2] for w in want], rtol=0, atol=1e-12, equal_nan=True)
 
 
-@pytest.mark.parametrize("name", ["exact_cosine", "exact_half_bounded", "exact_knn_all"])
+@pytest.mark.parametrize("name", ["exact_cosine", "exact_half_bounded", "exact_knn_all", "fused_distance_exact"])
 def test_exact_queries_go_by_products(spark, sf, name):
     """No join of every query with every object."""
     plan = vector_queries.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
