@@ -315,3 +315,18 @@ def test_exact_queries_go_by_products(spark, sf, name):
     """No join of every query with every object."""
     plan = vector_queries.QUERIES[name](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "MapInArrow" in plan and "NestedLoop" not in plan and "Cartesian" not in plan
+
+
+def _scans(df):
+    return df._jdf.queryExecution().executedPlan().toString().count("FileScan parquet")
+
+
+def test_combinations_of_years(spark, sf):
+    """The years of each customer's orders as segments, from the orders themselves."""
+    got, o = vector_queries.QUERIES["combination_counts"](spark, sf), tables.load(spark, sf, "orders").toPandas()
+    years = set(o.groupby("o_custkey").o_orderdate.apply(lambda d: d.dt.year.nunique()))
+    assert _scans(got) and rows(got) == rows_of([(s, 2**s - 1, s * (s + 1) // 2) for s in years])
+
+
+def rows_of(found):
+    return sorted(found, key=str)
