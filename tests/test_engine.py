@@ -330,3 +330,10 @@ def test_combinations_of_years(spark, sf):
 
 def rows_of(found):
     return sorted(found, key=str)
+
+
+def test_penalty_of_priorities(spark, sf):
+    """Tables as large as the orders of each priority."""
+    got, o = vector_queries.QUERIES["multi_graph_penalty"](spark, sf), tables.load(spark, sf, "orders").toPandas()
+    want = [(s, int(n), round(s * (1 - np.log(s) / np.log(n)), 6)) for s in (2, 4, 8, 16) for n in o.groupby("o_orderpriority").size()]
+    assert _scans(got) and np.allclose(sorted(map(tuple, got.collect())), sorted(want), rtol=0, atol=2e-6)
