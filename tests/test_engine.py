@@ -337,3 +337,10 @@ def test_penalty_of_priorities(spark, sf):
     got, o = vector_queries.QUERIES["multi_graph_penalty"](spark, sf), tables.load(spark, sf, "orders").toPandas()
     want = [(s, int(n), round(s * (1 - np.log(s) / np.log(n)), 6)) for s in (2, 4, 8, 16) for n in o.groupby("o_orderpriority").size()]
     assert _scans(got) and np.allclose(sorted(map(tuple, got.collect())), sorted(want), rtol=0, atol=2e-6)
+
+
+def test_space_of_orders(spark, sf):
+    """The model's size for as many objects as there are orders with a price."""
+    got, n = vector_queries.QUERIES["space_model"](spark, sf), tables.load(spark, sf, "orders").count()
+    want = [(s, m, metrics.space_units(n, s, m) * 4 / 1048576) for s in (1, 2, 4, 8, 16) for m in (8, 16, 32)]
+    assert _scans(got) and np.allclose(sorted(map(tuple, got.collect())), sorted(want), rtol=0, atol=1e-4)
