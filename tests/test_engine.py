@@ -344,3 +344,11 @@ def test_space_of_orders(spark, sf):
     got, n = vector_queries.QUERIES["space_model"](spark, sf), tables.load(spark, sf, "orders").count()
     want = [(s, m, metrics.space_units(n, s, m) * 4 / 1048576) for s in (1, 2, 4, 8, 16) for m in (8, 16, 32)]
     assert _scans(got) and np.allclose(sorted(map(tuple, got.collect())), sorted(want), rtol=0, atol=1e-4)
+
+
+def test_shards_follow_rows(spark, sf, monkeypatch):
+    """A larger table is built by more tasks, and queries that ask for several shards get them at least."""
+    monkeypatch.setattr(vector_queries, "INDEX_ROWS", 100)
+    index, base, _ = vector_queries._index(spark, sf, s=4, m=4, ef_cons=16)
+    assert len(index.manifest.parts) == 5 and index.manifest.rows == base.count()
+    assert len(vector_queries._index(spark, sf, s=4, m=4, ef_cons=16, least=7)[0].manifest.parts) == 7
