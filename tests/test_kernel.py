@@ -352,3 +352,34 @@ def test_zcover(r, most):
     for a in range(lo[0], hi[0] + 1):
         for b in range(lo[1], hi[1] + 1):
             assert any(x <= key(a, b) <= y for x, y in cover)
+
+
+def _recalls(name, how, ef, span, n=1500, d=32, k=10, m=8):
+    """Mean recall of a method over ranges of ``span`` objects, vectors spread evenly."""
+    x, attr, vid, level = data(n, d, seed=4)
+    s = Shard.of(vid, x, attr, level)
+    method, q = METHODS[name](s, Params(m=m, ef_cons=30), **how), np.random.default_rng(5).normal(size=(20, d))
+    lo = np.linspace(0, n - span, 20).astype(int).astype(float)
+    got, hits = method.many(q, lo, lo + span - 1, k, ef), 0
+    for i, f in enumerate(got):
+        a, b = s.range(lo[i], lo[i] + span - 1)
+        hits += len({v for _, v in f} & {v for _, v in method._scan(q[i], np.arange(a, b), k)})
+    return hits / (20 * min(k, span))
+
+
+@pytest.mark.parametrize("name, how", [("pq_pre", {"rerank": 1}), ("pq_scan", {"rerank": 1}), ("ivfpq", {"probes": 2})])
+def test_codes_go_on_while_nearer_objects_may_be_left(name, how):
+    """The number of codes to compare again, or of cells, is where a search begins and not where it ends."""
+    assert _recalls(name, {"centroids": 8, **how}, 20, 1200) >= 0.95
+
+
+@pytest.mark.parametrize("n", [30, 2, 1])
+def test_few_objects_are_all_found_by_code(n):
+    x, attr, vid, level = data(n, 6)
+    for name in ("pq_pre", "pq_scan", "ivfpq"):
+        method = METHODS[name](Shard.of(vid, x, attr, level), Params(m=4), rerank=1, probes=1)
+        assert {v for _, v in method.search(np.zeros(6), -1.0, 1e9, 40, 50)} == set(vid.tolist())
+
+
+def test_segments_give_what_a_small_range_holds():
+    assert _recalls("multi_segment_hnsw", {"segments": 4}, 10, 12) >= 0.95
