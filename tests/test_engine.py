@@ -352,3 +352,15 @@ def test_shards_follow_rows(spark, sf, monkeypatch):
     index, base, _ = vector_queries._index(spark, sf, s=4, m=4, ef_cons=16)
     assert len(index.manifest.parts) == 5 and index.manifest.rows == base.count()
     assert len(vector_queries._index(spark, sf, s=4, m=4, ef_cons=16, least=7)[0].manifest.parts) == 7
+
+
+@pytest.mark.parametrize("name", ["baseline_interval_graph", "baseline_optimal", "baseline_degraded", "baseline_dedicated"])
+def test_slow_builds_are_dealt_to_shards(spark, sf, name, monkeypatch):
+    """Shards of these methods stay small, however many rows the table has."""
+    from rangevec.plans import vector_queries as vq
+
+    seen, shards_of = [], vq.ex.shards_of
+    monkeypatch.setattr(vq, "METHOD_ROWS", dict.fromkeys(vq.METHOD_ROWS, 60))
+    monkeypatch.setattr(vq.ex, "shards_of", lambda *a, **how: seen.append(shards_of(*a, **how)) or seen[-1])
+    got = vq.QUERIES[name](spark, sf).collect()
+    assert len(seen[0]) >= 3 and all(r["good"] for r in got)

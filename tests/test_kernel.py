@@ -383,3 +383,27 @@ def test_few_objects_are_all_found_by_code(n):
 
 def test_segments_give_what_a_small_range_holds():
     assert _recalls("multi_segment_hnsw", {"segments": 4}, 10, 12) >= 0.95
+
+
+def test_graphs_of_ranges_grow_from_the_ends(monkeypatch):
+    """Ranges that begin at an end of the shard share one growing graph; all others are built. What they give is exact under a full beam."""
+    x, attr, vid, level = data(200, 8, seed=6)
+    s, inserted = Shard.of(vid, x, attr, level), []
+    insert = Graph.insert
+    monkeypatch.setattr(Graph, "insert", lambda g, v: (inserted.append(v), insert(g, v))[1])
+    method, q = METHODS["optimal_hnsw"](s, Params(m=8, ef_cons=60)), np.random.default_rng(7).normal(size=(40, 8))
+    lo, hi = np.concatenate([np.full(20, -5.0), np.arange(15) * 9 + 3.0, [50, 50, 50, 300, 199]]), np.concatenate([np.arange(20) * 9 + 10.0, np.full(15, 500.0), [80, 80, 80, 400, 199]])
+    got = method.many(q, lo, hi, 10, 200)
+    for i, f in enumerate(got):
+        a, b = s.range(lo[i], hi[i])
+        assert [v for _, v in f] == [v for _, v in method._scan(q[i], np.arange(a, b), 10)]
+    assert len(inserted) <= 2 * 200 + 31
+
+
+def test_graphs_of_runs_are_built_once(monkeypatch):
+    """A thinned index is measured twice against the same graphs."""
+    x, attr, vid, level = data(160, 8, seed=8)
+    inserted, insert = [], Graph.insert
+    monkeypatch.setattr(Graph, "insert", lambda g, v: (inserted.append(v), insert(g, v))[1])
+    method = METHODS["degraded_index"](Shard.of(vid, x, attr, level), Params(m=8, ef_cons=30), segments=4, inclusiveness=40)
+    assert abs(method.measured - 40) < 15 and len(inserted) == 160 + 3 * 80
