@@ -407,3 +407,14 @@ def test_graphs_of_runs_are_built_once(monkeypatch):
     monkeypatch.setattr(Graph, "insert", lambda g, v: (inserted.append(v), insert(g, v))[1])
     method = METHODS["degraded_index"](Shard.of(vid, x, attr, level), Params(m=8, ef_cons=30), segments=4, inclusiveness=40)
     assert abs(method.measured - 40) < 15 and len(inserted) == 160 + 3 * 80
+
+
+def test_growth_goes_on_until_results_stay():
+    """A beam that has just k results in range has not found the nearest ones."""
+    x, attr, vid, level = data(1500, 24, seed=9)
+    g = build(x, attr, vid, np.zeros(1500, np.int64), level, 1, Params(m=6, ef_cons=30))
+    q = np.random.default_rng(10).normal(size=(20, 24))
+    lo, hi = np.full(20, 0.0), np.full(20, 1200.0)
+    got, beams = g.post_many(q, lo, hi, 10, 14, True), [g.post_many(q, lo, hi, 10, 14 << i) for i in range(8)]
+    for b, f in enumerate(got):
+        assert len(f) == 10 and any(one[b] == two[b] == f for one, two in zip(beams, beams[1:], strict=False))
