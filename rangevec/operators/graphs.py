@@ -7,7 +7,8 @@ from itertools import combinations
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from ..functions.columns import l2, level
-from .exact import top
+from ..sources.durable import settle
+from .exact import range_knn_blocks, top
 
 
 def _pairs(src: DataFrame, dst: DataFrame) -> DataFrame:
@@ -123,10 +124,19 @@ def chain(base: DataFrame, m: int, rule: str = "decay") -> DataFrame:
 
 def bulk_backbone(base: DataFrame, m: int, ef_cons: int, rule: str = "decay") -> DataFrame:
     """(layer, src, chunk, dst, dist, rnk): for each node, layer and segment the ef_cons nearest others pruned to m; the order-free form of the build."""
-    rows = layers(base, m, rule)
-    a = rows.select("layer", F.col("vid").alias("src"), F.col("vec").alias("a"))
-    b = rows.select("layer", F.col("vid").alias("dst"), F.col("vec").alias("b"), F.col("seg").alias("chunk"))
-    near = a.join(b, (a.layer == b.layer) & (F.col("src") != F.col("dst"))).select(a.layer, "src", "chunk", "dst", l2("a", "b").alias("dist"))
+    rows = settle(layers(base, m, rule).select("layer", "vid", F.col("vec").cast("array<double>").alias("vec"), "seg"))
+    most = rows.agg(F.max("seg").alias("seg"), F.max("layer").alias("layer")).first()
+    if most["seg"] is None:
+        return pruned_edges(rows.select("layer", F.col("vid").alias("src"), F.col("seg").alias("chunk"), F.col("vid").alias("dst"), F.lit(0.0).alias("dist")), base, m, ["layer", "src", "chunk"])
+    # Layer and segment are one number, the attribute in which a node asks for one value; an object of that value may be the node itself.
+    wide = most["seg"] + 1
+    codes = wide * (most["layer"] + 1)
+    chunks = rows.select("layer", "vid", "vec", F.explode(F.sequence(F.lit(0), F.lit(most["seg"]))).alias("chunk"))
+    code = (F.col("layer") * wide + F.col("chunk")).cast("long")
+    ask = chunks.select((F.col("vid") * codes + code).alias("qid"), F.col("vec").alias("qvec"), code.cast("double").alias("lo"), code.cast("double").alias("hi"), F.lit(ef_cons + 1).alias("k"))
+    have = rows.select("vid", "vec", (F.col("layer") * wide + F.col("seg")).cast("double").alias("attr"))
+    near = range_knn_blocks(have.sortWithinPartitions("attr"), ask).select(F.expr(f"(qid - pmod(qid, {codes})) div {codes}").cast("long").alias("src"), F.pmod("qid", F.lit(codes)).alias("_code"), F.col("vid").alias("dst"), "dist")
+    near = near.where("src <> dst").select(F.floor(F.col("_code") / wide).cast("int").alias("layer"), "src", F.pmod("_code", F.lit(wide)).cast("int").alias("chunk"), "dst", "dist")
     near = top(near, ["layer", "src", "chunk"], F.lit(ef_cons), ["dist", "dst"]).drop("rnk")
     return pruned_edges(near, base, m, ["layer", "src", "chunk"])
 
