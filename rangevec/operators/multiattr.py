@@ -94,8 +94,8 @@ def zsearch(index, base: DataFrame, queries: DataFrame, bounds: list[list[float]
     has to pass the rectangle's own test, since a cover also holds cells outside.
     """
     parts = covers(queries, bounds, bits, most).withColumn("part", F.row_number().over(Window.partitionBy("qid").orderBy("zlo")))
-    # All objects of an interval are asked for: the test comes behind.
-    ask = parts.select((F.col("qid") * most + F.col("part") - 1).alias("qid"), "qvec", F.col("zlo").alias("lo"), F.col("zhi").alias("hi"))
-    found = index.search(ask, "pre", k=max(1, index.manifest.rows)).select(F.floor(F.col("qid") / most).alias("qid"), "vid", "dist")
-    near = found.join(base.select("vid", "attr1", "attr2"), "vid").join(queries.select("qid", "lo", "hi", "lo2", "hi2"), "qid").where(in_range("attr1", "lo", "hi") & in_range("attr2", "lo2", "hi2"))
-    return top(near.select("qid", "vid", "dist").distinct(), ["qid"], F.lit(k)).select("qid", "rnk", "vid", "dist")
+    # The rectangle is tested in the index, so an interval gives k objects and not all that it holds.
+    ask = parts.select((F.col("qid") * most + F.col("part") - 1).alias("qid"), "qvec", F.col("zlo").alias("lo"), F.col("zhi").alias("hi"), *[F.col(a).alias(b) for a, b in (("lo", "lo2"), ("hi", "hi2"), ("lo2", "lo3"), ("hi2", "hi3"))])
+    found = index.search(ask, "pre", k=k, also=base.select("vid", F.col("attr1").alias("attr2"), F.col("attr2").alias("attr3")))
+    near = found.select(F.floor(F.col("qid") / most).alias("qid"), "vid", "dist").distinct()
+    return top(near, ["qid"], F.lit(k)).select("qid", "rnk", "vid", "dist")

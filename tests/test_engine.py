@@ -364,3 +364,32 @@ def test_slow_builds_are_dealt_to_shards(spark, sf, name, monkeypatch):
     monkeypatch.setattr(vq.ex, "shards_of", lambda *a, **how: seen.append(shards_of(*a, **how)) or seen[-1])
     got = vq.QUERIES[name](spark, sf).collect()
     assert len(seen[0]) >= 3 and all(r["good"] for r in got)
+
+
+def test_bulk_backbone_compares_by_matrices(spark):
+    """Copies, far ids and an empty chunk; the plan pairs no rows."""
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(60, 5))
+    x[10:14] = x[10]
+    vid, seg = np.arange(60) * 10**9 - 5, np.where(np.arange(60) % 3 == 0, 0, 2)
+    base = spark.createDataFrame([(int(v), a.tolist(), int(s)) for v, a, s in zip(vid, x, seg, strict=True)], "vid long, vec array<double>, seg int")
+    found = graphs.bulk_backbone(base, 4, 4)
+    assert "MapInArrow" in found._jdf.queryExecution().toString()
+    got = {(r["src"], r["chunk"]): r["dst"] for r in found.where("layer = 0 and rnk = 1").collect()}
+    for i in range(60):
+        for s in (0, 2):
+            to = [j for j in np.flatnonzero(seg == s) if j != i]
+            assert got[int(vid[i]), s] == vid[min(to, key=lambda j: (((x[i] - x[j]) ** 2).sum(), vid[j]))]
+    assert graphs.bulk_backbone(base.limit(0), 4, 4).count() == 0
+
+
+def test_zorder_search_asks_for_k_objects(spark, sf, monkeypatch):
+    """An interval gives its k nearest objects of the rectangle, of several shards."""
+    from rangevec.operators.index import RangeIndex
+    from rangevec.plans import vector_queries as vq
+
+    seen, search = [], RangeIndex.search
+    monkeypatch.setattr(vq, "INDEX_ROWS", 120)
+    monkeypatch.setattr(RangeIndex, "search", lambda self, *a, **how: seen.append((how["k"], len(self.manifest.outer))) or search(self, *a, **how))
+    assert rows(vq.QUERIES["zorder_index"](spark, sf)) == rows(vq.QUERIES["and_two_attributes"](spark, sf))
+    assert seen[0][0] == vq.K and seen[0][1] >= 2
