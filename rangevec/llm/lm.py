@@ -22,6 +22,8 @@ END = np.uint64(0)
 FLUSH = 3_000_000
 LEAST_PARTS = 32
 PART_BYTES, PART_TOKENS = 64 << 20, 1 << 21
+#: Of so many bigrams one has the place noted at which its trigrams begin.
+STRIDE = 8
 LOW32 = np.uint64((1 << 32) - 1)
 BLOB = pa.schema([("part", pa.int32()), ("keys", pa.binary()), ("counts", pa.binary())])
 
@@ -180,7 +182,10 @@ class Pairs:
 
 @dataclass
 class Triples:
-    """Sorted trigram keys: a bigram's place above ``bits`` bits of the word behind it. The trigrams of a part of the bigrams lie in the sub-parts from ``start`` on, by word."""
+    """Trigrams in the order of their keys: a bigram's place above ``bits`` bits of the word behind it. The trigrams of a part of the bigrams lie in the sub-parts from ``start`` on, by word.
+
+    Only the words are stored, four bytes each: where those of a bigram lie follows from the numbers of words behind the bigrams before it, and every STRIDE-th place.
+    """
 
     pairs: Pairs
     start: np.ndarray
@@ -199,12 +204,32 @@ class Triples:
         cuts = np.flatnonzero(np.diff(s[order], prepend=-1))
         for lo, hi in zip(cuts, np.append(cuts[1:], len(s)) if len(s) else cuts, strict=True):
             at = order[lo:hi]
-            have = _get(self.pairs.folder, f"triples-{s[at[0]]}")
-            if len(have):
-                i = np.minimum(np.searchsorted(have, keys[at]), len(have) - 1)
-                out[at] = np.where(have[i] == keys[at], _get_counts(self.pairs.folder, f"triple_times-{s[at[0]]}", i), 0)
+            own = int(s[at[0]])
+            have = np.asarray(_get(self.pairs.folder, f"triples-{own}"))
+            word = (keys[at] & np.uint64((1 << self.bits) - 1)).astype(have.dtype)
+            i, end = self._spans(own, (keys[at] >> np.uint64(self.bits)).astype(np.int64))
+            # The first word of the span that is no less, by halves.
+            top, left = end.copy(), np.flatnonzero(i < end)
+            while len(left):
+                mid = (i[left] + top[left]) >> 1
+                less = have[mid] < word[left]
+                i[left[less]], top[left[~less]] = mid[less] + 1, mid[~less]
+                left = left[i[left] < top[left]]
+            inside = np.flatnonzero(i < end)
+            inside = inside[have[i[inside]] == word[inside]]
+            out[at[inside]] = _get_counts(self.pairs.folder, f"triple_times-{own}", i[inside])
         return out
 
+    def _spans(self, s: int, place: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Where the words behind bigrams, in order of place, begin and end in a sub-part."""
+        p = int(np.searchsorted(self.start, s, "right")) - 1
+        local, times = _runs(place - self.pairs.first[p])
+        block, inside = np.divmod(local, STRIDE)
+        last = 3 * int(self.pairs.first[p + 1] - self.pairs.first[p]) - 1
+        behind = _get_counts(self.pairs.folder, f"behind-{s}", np.minimum(3 * STRIDE * block[:, None] + np.arange(3 * STRIDE), last)).reshape(-1, STRIDE, 3).sum(axis=2)
+        first = _get(self.pairs.folder, f"starts-{s}")[block] + (behind * (np.arange(STRIDE) < inside[:, None])).sum(axis=1)
+        return np.repeat(first, times), np.repeat(first + behind[np.arange(len(local)), inside], times)
+
     def kinds(self, place: np.ndarray) -> np.ndarray:
         """For bigrams in order of place (-1: unknown) the numbers of words that follow them once, twice and more often."""
         out = np.zeros((len(place), 3), np.int64)
@@ -419,7 +444,7 @@ def fit(docs: DataFrame, learn: Column, text_col: str = "text", order: int = 3)
     low_n = [sum(r[f"n{i}"] for r in low) for i in range(1, 5)]
     low_kinds = np.array([low_n[0], low_n[1], sum(r["n"] for r in low) - low_n[0] - low_n[1]])
     triples, cut3 = None, _discounts([0, 0, 0, 0])
-    tidy(spark)
+    tidy(spark, rounds=2)
     if order == 3 and stats:
         triples, cut3 = _fit_triples(rows, v, begun, bigrams, np.array([s[3] for s in stats]), blobs, read)
     levels = [_get(folder, f"level-{p}") for p in range(len(stats))]
@@ -465,10 +490,11 @@ def _fit_triples(rows: DataFrame, v: Vocabulary, begun: int, pairs: Pairs, token
         s = table.column("part")[0].as_py()
         p = int(np.searchsorted(triples.start, s, "right")) - 1
         k, c = read(table)
-        _put(folder, f"triples-{s}", k)
+        _put(folder, f"triples-{s}", (k & word).astype("<u4"))
         _put_counts(folder, f"triple_times-{s}", c)
         own = _get(folder, f"pairs-{p}")
         local = (k >> np.uint64(bits)).astype(np.int64) - pairs.first[p]
+        _put(folder, f"starts-{s}", np.searchsorted(local, np.arange(0, len(own), STRIDE)).astype("<u4"))
         _put_counts(folder, f"behind-{s}", np.bincount(local * 3 + np.minimum(c, 3) - 1, minlength=3 * len(own)))
         _put(folder, f"triple_stats-{s}", np.array([(c == i).sum() for i in range(1, 5)], np.int64))
         back, before = _runs(np.sort((own[local] & LOW32) << np.uint64(32) | (k & word)))
@@ -494,7 +520,7 @@ def _fit_triples(rows: DataFrame, v: Vocabulary, begun: int, pairs: Pairs, token
     back = rows.mapInArrow(count, blob).unionByName(every(subs)).groupBy("part").applyInArrow(store, blob)
     back.unionByName(every(len(pairs.bounds))).groupBy("part").applyInArrow(adjust, "part int").collect()
     del back
-    tidy(spark)
+    tidy(spark, rounds=2)
     return triples, _discounts(np.sum([_get(folder, f"triple_stats-{s}") for s in range(subs)], axis=0).tolist())
 
 

@@ -6,6 +6,7 @@ import contextlib
 import ctypes
 import gc
 import tempfile
+import time
 from collections.abc import Iterator
 
 import numpy as np
@@ -43,10 +44,16 @@ def settle(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def tidy(spark: SparkSession) -> None:
-    """Let the driver find what nothing refers to any more: only then do shuffle and checkpoint files of earlier steps go."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+def tidy(spark: SparkSession, rounds: int = 1) -> None:
+    """Let the driver find what nothing refers to any more: only then do shuffle and checkpoint files of earlier steps go.
+
+    What a step's frames held is found in the second round, after a pause.
+    """
+    for i in range(rounds):
+        if i:
+            time.sleep(0.5)
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
 
 
 def unsized(df: DataFrame) -> DataFrame:

@@ -2,6 +2,7 @@
 
 import hashlib
 import re
+import time
 import zlib
 from collections import Counter, defaultdict
 
@@ -325,3 +326,28 @@ def test_lm(spark, learned, order, part, monkeypatch):
     assert [h[:4] for h in have] == [w[:4] for w in want]
     assert np.allclose([h[4:] for h in have], [w[4:] for w in want], rtol=1e-9)
     assert lm.score(frame(spark, []), lm.fit(frame(spark, []), F.lit(True))).collect() == []
+
+
+def test_lm_disk(spark):
+    """A trigram takes five bytes and a share of its bigram's, and when all is counted the shuffles of the first two passes are gone."""
+    from glob import glob
+    from urllib.parse import urlparse
+
+    from pyspark.sql import functions as F
+
+    def shuffled():
+        files = spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles().mkString("\n").split("\n")
+        return {f.split("/shuffle_")[1].split("_")[0] for f in files if "/shuffle_" in f}
+
+    rng = np.random.default_rng(5)
+    rows = frame(spark, [(i, " ".join(f"w{j}" for j in rng.integers(0, 3000, 400))) for i in range(200)])
+    old = shuffled()
+    model = lm.fit(rows, F.lit(True))
+    size = lambda name: sum(np.load(f).nbytes for f in glob(f"{urlparse(model.vocabulary.folder).path}/{name}-*.npy"))
+    n, bigrams = size("triple_times"), int(model.pairs.first[-1])
+    assert n > 75_000 and size("triples") + size("starts") <= 4 * n + bigrams
+    # The trigrams' pass has two shuffles, those before it three.
+    until = time.monotonic() + 10
+    while len(shuffled() - old) > 2 and time.monotonic() < until:
+        time.sleep(0.1)
+    assert len(shuffled() - old) <= 2
