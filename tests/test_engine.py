@@ -310,6 +310,30 @@ def test_best_over_blocks(metric, spread, monkeypatch):
     assert [g[:2] for g in got] == [w[:2] for w in want] and np.allclose([g[2] for g in got], [w[2] for w in want], rtol=0, atol=1e-12, equal_nan=True)
 
 
+@pytest.mark.parametrize("dim", [2, 4])
+def test_best_by_boxes(dim, monkeypatch):
+    """Going through boxes of objects gives what going through all gives, ties and copies included, and compares few of the pairs; queries with many lower bounds go through all."""
+    r, n, nq = np.random.default_rng(dim), 6000, 2000
+    v, x = np.round(r.random((n, dim)), 2), np.round(r.random((nq, dim)) * 1.5, 2)
+    # All but two are flags.
+    v[:, 2:], x[:, 2:] = np.round(v[:, 2:]), np.round(np.minimum(x[:, 2:], 1))
+    v[3000:4000] = v[:1000]
+    x = x[np.concatenate(exact._leaves(x, 64))]
+    attr, vid, ks = r.integers(0, 50, n) * 1.0, r.permutation(n), r.integers(1, 12, nq)
+    lo, hi = np.repeat([5.0, 20.0], nq // 2), np.full(nq, 30.0)
+    monkeypatch.setattr(exact._Best, "LEAF", 64)
+    monkeypatch.setattr(exact._Best, "SIDE", 64)
+    near, whole, pairs = exact._Best(x, lo, hi, ks, "l2", None), exact._Best(x, lo, hi, ks, "l2", None), []
+    monkeypatch.setattr(near, "_rough", lambda at, *a: pairs.append((at.stop - at.start) * len(a[0])) or exact._Best._rough(near, at, *a))
+    assert near.boxed and not exact._Best(x, r.random(nq), hi, ks, "l2", None).boxed
+    for i in range(0, n, 4000):
+        near.near(v[i : i + 4000], attr[i : i + 4000], vid[i : i + 4000])
+    for i in range(0, n, 512):
+        whole.see(v[i : i + 512], attr[i : i + 512], vid[i : i + 512])
+    assert sum(pairs) < n * nq / 2
+    assert all((a == b).all() for a, b in zip(near.rows(), whole.rows(), strict=True))
+
+
 @pytest.mark.parametrize("name", ["exact_cosine", "exact_half_bounded", "exact_knn_all", "fused_distance_exact"])
 def test_exact_queries_go_by_products(spark, sf, name):
     """No join of every query with every object."""
